@@ -72,6 +72,26 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def keep_rows(docs: DataFrame, text_col: str, keep: Callable[[list[str]], list[bool]]) -> DataFrame:
+    """The rows, with all their columns, whose text `keep` approves; a null text counts as empty."""
+    names = docs.columns
+    at = names.index(text_col)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(0, batch.num_rows, 1024):
+                part = batch.slice(k, 1024)
+                approved = keep([x or "" for x in part.column(at).to_pylist()])
+                yield part.filter(pa.array(approved, pa.bool_()))
+
+    return map_batches(docs, work, row_schema(docs))
+
+
+def row_schema(df: DataFrame) -> str:
+    """The frame's columns as a schema string, for work that hands whole rows on."""
+    return ", ".join(f"`{n}` {t}" for n, t in df.dtypes)
+
+
 def tokenizer_path(name: str) -> str:
     """Where the public vocabulary file lies on this machine (driver or executor)."""
     if os.path.sep in name:

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_batches, texts
+from .common import keep_rows, map_batches, texts
 
 WINDOW = 10
 MAX_AUTOMATON_CHARS = 16_000_000
@@ -125,15 +125,17 @@ def _blocks(items: DataFrame, limit: int) -> Iterator[list[tuple[str, str]]]:
         yield [(r["item_id"], r["text"]) for r in block.sort("item_id", "text").collect()]
 
 
+def _items(benchmark: DataFrame, item_col: str, text_col: str) -> DataFrame:
+    named = benchmark.select(F.col(item_col).cast("string").alias("item_id"), F.col(text_col).cast("string").alias("text"))
+    return named.where("item_id IS NOT NULL AND text IS NOT NULL").distinct()
+
+
 def find_contamination(
     docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text",
     item_col: str = "item_id", item_text_col: str = "text", max_automaton_chars: int = MAX_AUTOMATON_CHARS,
 ) -> DataFrame:
     """doc_id, n_words, n_hit, items (sorted array), spans (array of from/to offsets in the text)."""
-    items = benchmark.select(
-        F.col(item_col).cast("string").alias("item_id"), F.col(item_text_col).cast("string").alias("text")
-    ).where("item_id IS NOT NULL AND text IS NOT NULL").distinct()
-    blocks = list(_blocks(items, max_automaton_chars)) or [[]]
+    blocks = list(_blocks(_items(benchmark, item_col, item_text_col), max_automaton_chars)) or [[]]
     carried = "doc_id long, text string, n_words long, runs array<long>, items array<string>"
     frame = texts(docs, id_col, text_col).select(
         "doc_id", "text", F.lit(0).cast("long").alias("n_words"), F.array().cast("array<long>").alias("runs"),
@@ -173,3 +175,20 @@ def _scan(frame: DataFrame, items: list[tuple[str, str]], window: int, last: boo
 
     out = "doc_id long, n_words long, n_hit long, items array<string>, spans array<struct<`from`: long, `to`: long>>"
     return map_batches(frame, work, out if last else schema)
+
+
+def keep_clean(
+    docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, text_col: str = "text", item_col: str = "item_id",
+    item_text_col: str = "text", max_automaton_chars: int = MAX_AUTOMATON_CHARS,
+) -> DataFrame:
+    """The rows, with all their columns, in whose texts no benchmark window occurs."""
+    for block in _blocks(_items(benchmark, item_col, item_text_col), max_automaton_chars):
+        sent = docs.sparkSession.sparkContext.broadcast(block)
+        key = hashlib.sha256(repr(block).encode()).hexdigest()
+
+        def keep(bodies: list[str], sent=sent, key=key) -> list[bool]:
+            automaton = _built(key, sent.value, window)
+            return [not automaton.scan(x)[1] for x in bodies]
+
+        docs = keep_rows(docs, text_col, keep)
+    return docs

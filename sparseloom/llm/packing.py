@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import durable, map_batches, texts, tokenizer_path
+from .common import durable, map_batches, row_schema, texts, tokenizer_path
 from .unicode_classes import LETTERS, NUMBERS, UNUSUAL, byte_symbols
 
 MAX_LENGTH = 2048
@@ -226,8 +226,7 @@ def pack_pieces(pieces: DataFrame, max_length: int = MAX_LENGTH) -> DataFrame:
                 [*(n for n in names if n != "rank"), "sequence_id", "offset"],
             )
 
-    kinds = ", ".join(f"`{n}` {t}" for n, t in ranked.dtypes if n != "rank")
-    return map_batches(ranked, work, f"{kinds}, sequence_id long, offset long")
+    return map_batches(ranked, work, f"{row_schema(ranked.drop('rank'))}, sequence_id long, offset long")
 
 
 def pack_documents(

@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_batches, texts
+from .common import keep_rows, map_batches, texts
 
 FOLDS = 5
 HELD_OUT_FOLD = 0
@@ -182,3 +182,14 @@ def classify(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, m
         "doc_id", (fold(F.col("doc_id")) == HELD_OUT_FOLD).alias("held_out"), "score",
         (F.col("score") >= threshold).cast("int").alias("predicted"),
     )
+
+
+def keep_good(docs: DataFrame, model: Ranking, text_col: str = "text") -> DataFrame:
+    """The rows of documents whose score reaches the threshold, with all their columns."""
+    sent = docs.sparkSession.sparkContext.broadcast(model)
+
+    def keep(bodies: list[str]) -> list[bool]:
+        rows = np.array([features(x) for x in bodies], float).reshape(len(bodies), -1)
+        return (sent.value.score(rows) >= sent.value.threshold).tolist()
+
+    return keep_rows(docs, text_col, keep)

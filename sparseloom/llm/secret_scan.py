@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_batches, texts
+from .common import map_batches, row_schema, texts
 
 KINDS = ("assign", "access", "hex")
 MAX_LAYER_BYTES = 64_000_000
@@ -285,7 +285,7 @@ def redact_documents(docs: DataFrame, text_col: str = "text") -> DataFrame:
             columns = [pa.array(bodies, batch.schema.field(at).type) if i == at else c for i, c in enumerate(batch.columns)]
             yield pa.RecordBatch.from_arrays(columns, schema=batch.schema)
 
-    return map_batches(docs, work, ", ".join(f"`{n}` {t}" for n, t in docs.dtypes))
+    return map_batches(docs, work, row_schema(docs))
 
 
 def joined(spans):

@@ -242,3 +242,14 @@ def near_duplicates(
     names = linked.unionByName(alone)
     digits = F.lower(F.lpad(F.hex("fp"), 16, "0"))
     return rows.join(names, "fp").select("doc_id", digits.alias("fingerprint"), "component_id", "fp")
+
+
+def deduplicate(docs: DataFrame, radius: int = RADIUS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One document of each near-duplicate group, the one with the smallest id, with all its columns.
+
+    Rows without an id cannot be named by a group and stay. Of rows with equal ids one stays.
+    """
+    grouped = near_duplicates(docs, radius, id_col=id_col, text_col=text_col)
+    kept = grouped.where("doc_id = component_id").select(F.col("doc_id").alias(id_col)).distinct()
+    staying = docs.join(kept, id_col, "left_semi").dropDuplicates([id_col])
+    return staying.unionByName(docs.where(F.col(id_col).isNull())).select(*docs.columns)
