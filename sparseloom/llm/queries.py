@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from .common import table
 from .decontamination import find_contamination
+from .flac import encode_media, read_media
 from .lm_scoring import score_documents
 from .packing import pack_documents
 from .quality import classify
@@ -28,6 +29,11 @@ def op3_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_documents(table(spark, sf_dir, "documents"))
 
 
+def op5_flac_media(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document's bytes stored as FLAC, read back, verified and described."""
+    return read_media(encode_media(table(spark, sf_dir, "documents")))
+
+
 def op6_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Secrets in every document, in plain sight and inside nested encodings."""
     found = find_secrets(table(spark, sf_dir, "documents"))
@@ -63,6 +69,7 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_best_fit_packing": op1_best_fit_packing,
     "op3_lm_scoring": op3_lm_scoring,
+    "op5_flac_media": op5_flac_media,
     "op6_secret_scans": op6_secret_scans,
     "op7_quality_classifier": op7_quality_classifier,
     "op8_simhash_near_dedup": op8_simhash_near_dedup,
