@@ -10,12 +10,14 @@ from pyspark.sql import functions as F
 from .common import table
 from .decontamination import find_contamination
 from .flac import encode_media, read_media
+from .html_extract import extract_pages
 from .lm_scoring import score_documents
 from .packing import pack_documents
 from .quality import classify
 from .secret_scan import find_secrets, joined
 from .simhash import near_duplicates
 from .token_counts import count_tokens
+from .warc import REVISIT_SQL, revisit_report
 
 
 def op1_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -24,11 +26,21 @@ def op1_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packed.select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
 
 
+def op2_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Main text of every page."""
+    return extract_pages(table(spark, sf_dir, "pages"))
+
+
 def op3_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Log-probability of every document under the log-bilinear model and the unigram base."""
     return score_documents(table(spark, sf_dir, "documents"))
 
 
+def op4_warc_revisits(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every not-modified revisit of the crawl that the pages stand for, resolved."""
+    return revisit_report(table(spark, sf_dir, "pages"))
+
+
 def op5_flac_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every document's bytes stored as FLAC, read back, verified and described."""
     return read_media(encode_media(table(spark, sf_dir, "documents")))
@@ -68,7 +80,9 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_best_fit_packing": op1_best_fit_packing,
+    "op2_html_extraction": op2_html_extraction,
     "op3_lm_scoring": op3_lm_scoring,
+    "op4_warc_revisits": op4_warc_revisits,
     "op5_flac_media": op5_flac_media,
     "op6_secret_scans": op6_secret_scans,
     "op7_quality_classifier": op7_quality_classifier,
@@ -77,4 +91,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_token_counts": op10_token_counts,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op4_warc_revisits": REVISIT_SQL}
