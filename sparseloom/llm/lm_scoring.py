@@ -37,7 +37,7 @@ from .common import durable, map_batches, texts
 
 FOLDS = 7
 HELD_OUT_FOLD = 2
-HOT = 100_000
+HOT = 60_000
 OWN_CLASSES = 700
 DIMENSIONS = 40
 DRAWS = 1_000_000
@@ -115,11 +115,11 @@ class Vocabulary:
 def vocabulary(counted: DataFrame, hot: int = HOT, own_classes: int = OWN_CLASSES) -> Vocabulary:
     """Read the fixed-size parts of the counts: totals, class sizes, the most frequent tokens."""
     sizes = counted.groupBy("shared").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).collect()
-    top = counted.orderBy(F.desc("n"), "token").limit(hot).toPandas()
-    words, counts = [bytes(t) for t in top["token"]], top["n"].to_numpy(np.int64)
+    top = counted.orderBy(F.desc("n"), "token").limit(hot).toArrow()
+    words, counts = top.column("token").to_pylist(), top.column("n").to_numpy().astype(np.int64)
     own = min(own_classes, len(words))
     total, distinct = sum(r["n"] for r in sizes), sum(r["v"] for r in sizes)
-    shared = top["shared"].to_numpy(np.int64)
+    shared = top.column("shared").to_numpy().astype(np.int64)
     classes = np.where(np.arange(len(words)) < own, np.arange(len(words)), own + shared)
     n, v = np.zeros(own + SHARED_CLASSES, np.int64), np.zeros(own + SHARED_CLASSES, np.int64)
     for r in sizes:
@@ -161,8 +161,9 @@ def draw_contexts(docs: DataFrame, vocab: Vocabulary, draws: int = DRAWS, seed:
             yield pa.RecordBatch.from_arrays([pa.array(found[:, k], pa.int32()) for k in range(3)], ["far", "near", "target"])
 
     training = docs.where(fold(F.col("doc_id")) != HELD_OUT_FOLD).select("text")
-    got = map_batches(training, work, "far int, near int, target int").toPandas()
-    return got.sort_values(["far", "near", "target"], kind="stable").to_numpy(np.int64).reshape(-1, 3)
+    got = map_batches(training, work, "far int, near int, target int").toArrow()
+    rows = np.stack([got.column(c).to_numpy() for c in ("far", "near", "target")], axis=1)
+    return rows[np.lexsort(rows.T[::-1])]
 
 
 @dataclass(frozen=True)
