@@ -155,9 +155,9 @@ def train(
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), rows], ["doc_id", "mark", "x"])
 
     found = map_batches(pairs.select("doc_id", "text", "mark"), work, "doc_id long, mark int, x array<double>")
-    got = found.toPandas().sort_values("doc_id", kind="stable")
-    rows = np.array(got["x"].tolist(), float) if len(got) else np.zeros((0, len(features(""))))
-    return fit(rows, got["mark"].to_numpy() == 1, threshold, steps)
+    got = found.toArrow().sort_by("doc_id").combine_chunks()
+    x = np.concatenate([c.flatten().to_numpy() for c in got.column("x").chunks] or [np.zeros(0)])
+    return fit(x.reshape(got.num_rows, -1) if got.num_rows else np.zeros((0, len(features("")))), got.column("mark").to_numpy() == 1, threshold, steps)
 
 
 def score(docs: DataFrame, model: Ranking, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
