@@ -222,7 +222,12 @@ query("agg_degree_hist", f"SELECT deg, count(*) AS n FROM (SELECT src, count(*)
 
 # ------------------------------------------------------------------ windows, sorts, limits, sets
 
-_cust = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+
+
+def _by_customer():
+    return Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+
+
 query("win_row_number", "SELECT o_custkey, o_orderkey, rn FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS rn FROM orders) WHERE rn <= 3")(
     lambda t: relational.top_per_group(t.orders, ["o_custkey"], [F.desc("o_totalprice"), F.col("o_orderkey")], 3).select("o_custkey", "o_orderkey", "rn")
 )
@@ -236,7 +241,7 @@ query("win_lag", "SELECT conv_id, turn, lag(role) OVER w AS before, lead(role) O
     lambda t: t.conversations.select("conv_id", "turn", F.lag("role").over(w := Window.partitionBy("conv_id").orderBy("turn")).alias("before"), F.lead("role").over(w).alias("after"))
 )
 query("win_first", "SELECT o_orderkey, first_value(o_orderkey) OVER w AS f, last_value(o_orderkey) OVER w AS l, nth_value(o_orderkey, 2) OVER w AS n FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")(
-    lambda t: t.orders.select("o_orderkey", F.first("o_orderkey").over(w := _cust.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("f"), F.last("o_orderkey").over(w).alias("l"), F.nth_value("o_orderkey", 2).over(w).alias("n"))
+    lambda t: t.orders.select("o_orderkey", F.first("o_orderkey").over(w := _by_customer().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("f"), F.last("o_orderkey").over(w).alias("l"), F.nth_value("o_orderkey", 2).over(w).alias("n"))
 )
 query("win_range", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 1 HOUR PRECEDING AND CURRENT ROW) AS n FROM events")(
     lambda t: t.events.select("event_id", F.count(F.lit(1)).over(Window.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(-3_600_000_000, 0)).alias("n"))
@@ -245,7 +250,7 @@ query("win_frame", "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id
     lambda t: t.events.select("event_id", F.round(F.avg("value").over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-3, 0)), 6).alias("a"))
 )
 query("win_running_sum", "SELECT o_orderkey, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2) AS s FROM orders")(
-    lambda t: t.orders.select("o_orderkey", F.round(F.sum("o_totalprice").over(_cust.rowsBetween(Window.unboundedPreceding, 0)), 2).alias("s"))
+    lambda t: t.orders.select("o_orderkey", F.round(F.sum("o_totalprice").over(_by_customer().rowsBetween(Window.unboundedPreceding, 0)), 2).alias("s"))
 )
 query("sort_global", "SELECT c_custkey, c_acctbal FROM customer ORDER BY c_acctbal DESC, c_custkey")(lambda t: t.customer.select("c_custkey", "c_acctbal").orderBy(F.desc("c_acctbal"), "c_custkey"))
 query("sort_within", "SELECT c_custkey, c_acctbal FROM customer")(lambda t: t.customer.select("c_custkey", "c_acctbal").repartition("c_custkey").sortWithinPartitions("c_acctbal"))
