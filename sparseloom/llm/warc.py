@@ -94,8 +94,9 @@ def resolve_revisits(records: DataFrame, slices: int = SLICES) -> DataFrame:
     thin_full = full.select("key", "ts", F.lit(1).alias("is_full"), "record_id", F.struct(F.col("record_id").alias("id"), "ts", "etag", "last_modified", "digest").alias("base"), F.lit(None).cast("struct<etag:string,last_modified:string,digest:string>").alias("visit"))
     thin_visit = placed.select("key", "ts", F.lit(0).alias("is_full"), "record_id", F.lit(None).cast(thin_full.schema["base"].dataType).alias("base"), F.struct("etag", "last_modified", "digest").alias("visit"))
     rows = thin_full.unionByName(thin_visit)
-    cuts = sorted(set(rows.select("ts").approxQuantile("ts", [k / slices for k in range(1, slices)], 0.5 / slices)))
-    at = F.size(F.filter(F.lit(cuts).cast("array<double>"), lambda c: c <= F.col("ts"))) if cuts else F.lit(0)
+    shares = [k / slices for k in range(1, slices)]
+    cuts = sorted(set(rows.agg(F.percentile_approx("ts", shares, 2 * slices)).first()[0] or [])) if shares else []
+    at = F.size(F.filter(F.array(*map(F.lit, cuts)).cast("array<long>"), lambda c: c <= F.col("ts"))) if cuts else F.lit(0)
     rows = rows.withColumn("slice", at)
 
     order = [F.col("ts"), F.col("is_full"), F.col("record_id")]
