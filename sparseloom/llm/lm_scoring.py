@@ -115,7 +115,7 @@ class Vocabulary:
 def vocabulary(counted: DataFrame, hot: int = HOT, own_classes: int = OWN_CLASSES) -> Vocabulary:
     """Read the fixed-size parts of the counts: totals, class sizes, the most frequent tokens."""
     sizes = counted.groupBy("shared").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).collect()
-    top = counted.orderBy(F.desc("n"), "token").limit(hot).toArrow()
+    top = _most_frequent(counted, hot)
     words, counts = top.column("token").to_pylist(), top.column("n").to_numpy().astype(np.int64)
     own = min(own_classes, len(words))
     total, distinct = sum(r["n"] for r in sizes), sum(r["v"] for r in sizes)
@@ -130,6 +130,23 @@ def vocabulary(counted: DataFrame, hot: int = HOT, own_classes: int = OWN_CLASSE
     return Vocabulary({w: i for i, w in enumerate(words)}, counts, classes, own, total, distinct, n, v)
 
 
+def _most_frequent(counted: DataFrame, hot: int) -> pa.Table:
+    """Tokens above a count that at most `hot` tokens reach, most frequent first.
+
+    The count comes from a histogram over logarithmic steps, so no task sorts more than it sends.
+    """
+    step = F.floor(F.log2("n") * 64).cast("int")
+    sizes = counted.groupBy(step.alias("step")).agg(F.count(F.lit(1)).alias("v")).collect()  # at most 64 rows per doubling
+    least, held = None, 0
+    for r in sorted(sizes, key=lambda r: -r["step"]):
+        held += r["v"]
+        if held > hot:
+            break
+        least = r["step"]
+    kept = counted.where(step >= least) if least is not None else counted.limit(0)
+    return kept.select("token", "shared", "n").toArrow().sort_by([("n", "descending"), ("token", "ascending")])
+
+
 class _Lookup(dict):
     """Hot tokens by number; others by their class, as a negative number."""
 
