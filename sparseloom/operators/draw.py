@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.rng import u01, u52
+from ..functions.rng import h52, u01, u52
 from ..sources.tables import durable, ensure_importable
 
 KEYS = ["batch", "row_id"]
@@ -65,7 +65,7 @@ def _ranked(rows: DataFrame, order: list[str], s: int) -> DataFrame:
 def race(prob: DataFrame, s: int, seed: int, layer: int, unit: bool = False, rng: str = "md5") -> DataFrame:
     """One pass: exponential arrival times at rate w, the `s` earliest. Unit weights compare plain integers."""
     at = [F.col("batch"), layer, F.col("row_id"), F.col("col")]
-    key = u52(seed, *at, kind=rng) if unit else -F.log(u01(seed, *at, kind=rng)) / F.col("w")
+    key = (h52(seed, *at) if rng == "md5" else u52(seed, *at, kind=rng)) if unit else -F.log(u01(seed, *at, kind=rng)) / F.col("w")
     return _ranked(prob.withColumn("key", key), ["key"], s)
 
 

@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.rng import BITS, u52
+from ..functions.rng import BITS, h52, u52
 from ..sources.graphs import running_offsets
 from ..sources.tables import durable
 from . import draw, grid, matrix
@@ -90,7 +90,7 @@ def _hop(spec: SampleSpec, frontier: DataFrame, edges: DataFrame, adjacency: Dat
         return picked.select("batch", "row_id", "src", F.col("col").alias("dst"), "rank"), picked
     if node_wise and spec.method == "race_uniform" and spec.strategy != "grid":
         # the drawn row keeps its src column: no second join
-        key = u52(spec.seed, F.col("batch"), layer, F.col("row_id"), F.col("col"))
+        key = h52(spec.seed, F.col("batch"), layer, F.col("row_id"), F.col("col"))
         best = Window.partitionBy("batch", "row_id").orderBy("key", "col")
         kept = prob.withColumn("key", key).withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= s)
         sampled = kept.select("batch", "row_id", "src", F.col("col").alias("dst"), F.col("rank").cast("long").alias("rank"))

@@ -11,7 +11,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.rng import u52
+from ..functions.rng import h52, u52
 from . import matrix
 
 
@@ -185,7 +185,7 @@ def pushdown(frontier: DataFrame, adjacency: DataFrame, s: int, seed: int, layer
     same one that `race` with unit weights gives. Works on a bucketed adjacency without moving it.
     """
     met = frontier.join(adjacency.select("src", "nbrs"), F.col("v") == F.col("src"))
-    keyed = F.transform("nbrs", lambda n: F.struct(u52(seed, F.col("batch"), layer, F.col("row_id"), n).alias("key"), n.alias("dst")))
+    keyed = F.transform("nbrs", lambda n: F.struct(h52(seed, F.col("batch"), layer, F.col("row_id"), n).alias("key"), n.alias("dst")))
     picks = F.slice(F.array_sort(keyed), 1, s)
     out = met.select("batch", "row_id", "src", F.posexplode(picks).alias("at", "pick"))
     return out.select("batch", "row_id", "src", F.col("pick.dst").alias("dst"), (F.col("at") + 1).cast("long").alias("rank"))
