@@ -161,10 +161,10 @@ def link_fingerprints(
         moved = np.flatnonzero(root != np.arange(len(fps)))
         return pa.table({"a": fps[moved].view(np.int64), "b": fps[root[moved]].view(np.int64)})
 
-    return _by_cell(placed, work)
+    return _by_cell(placed, work, radius, n_pivots)
 
 
-def _by_cell(placed: DataFrame, work) -> DataFrame:
+def _by_cell(placed: DataFrame, work, radius: int, n_pivots: int) -> DataFrame:
     """`work` once per cell, over rows clustered and sorted by cell; cells arrive in streams."""
     keys = ["choice", "bits", "t", "u"]
     spread = placed.repartition(*[F.col(k) for k in keys]).sortWithinPartitions(*keys)
@@ -178,19 +178,18 @@ def _by_cell(placed: DataFrame, work) -> DataFrame:
             sizes = np.diff(bounds)
             out = [work(None, table.slice(bounds[i], sizes[i])) for i in np.flatnonzero(sizes > 2)]
             two = bounds[:-1][sizes == 2]  # most cells: two fingerprints, all compared at once
-            out.append(_pairs_of_two(fps[two], fps[two + 1]))
+            out.append(_pairs_of_two(fps[two], fps[two + 1], radius, references(n_pivots)))
             yield from pa.concat_tables(out).combine_chunks().to_batches()
 
     return map_batches(spread, run, "a long, b long").distinct()
 
 
-def _pairs_of_two(x: np.ndarray, y: np.ndarray) -> pa.Table:
+def _pairs_of_two(x: np.ndarray, y: np.ndarray, radius: int, pivots: np.ndarray) -> pa.Table:
     a, b = x.astype(np.int64).view(np.uint64), y.astype(np.int64).view(np.uint64)
-    pivots = references()
     keep = np.ones(len(a), bool)
     for p in pivots:  # discard by the largest coordinate difference, then verify
-        keep[keep] = np.abs(np.bitwise_count(a[keep] ^ p).astype(np.int8) - np.bitwise_count(b[keep] ^ p).astype(np.int8)) <= RADIUS
-    keep[keep] = np.bitwise_count(a[keep] ^ b[keep]) <= RADIUS
+        keep[keep] = np.abs(np.bitwise_count(a[keep] ^ p).astype(np.int8) - np.bitwise_count(b[keep] ^ p).astype(np.int8)) <= radius
+    keep[keep] = np.bitwise_count(a[keep] ^ b[keep]) <= radius
     return pa.table({"a": x[keep].astype(np.int64), "b": y[keep].astype(np.int64)})
 
 

@@ -32,6 +32,15 @@ def test_quality_is_learned_and_held_out(spark):
     assert np.mean([r["predicted"] == r["quality"] for r in held]) > 0.9
 
 
+def test_quality_learns_from_a_bounded_sample(spark):
+    docs, labels = table(spark, SF01, "documents"), table(spark, SF01, "labels")
+    few = quality.train(docs.union(docs), labels, max_labelled=120)
+    again = quality.train(docs, labels, max_labelled=120)
+    assert np.allclose(few.weights, again.weights) and few.weights.any()
+    rows = quality.score(docs, few).join(labels, "doc_id").collect()
+    assert np.mean([(r["score"] >= 0.3) == (r["quality"] == 1) for r in rows]) > 0.85
+
+
 def test_quality_on_odd_rows(spark, odd_docs, no_docs):
     labels = spark.createDataFrame([(1, 1, 0), (4, 0, 0), (5, 1, None), (9, 0, 0), (None, 1, 0), (3, None, 0), (99, 1, 0), (8, 1, 0), (8, 0, 0)], "doc_id long, quality int, toxic int")
     rows = quality.classify(odd_docs, labels).collect()
@@ -136,6 +145,12 @@ def test_links_keep_reachability_in_crowded_cells(spark, cell_rows):
     assert [root.get(x, x) for x in fps] == brute_groups(fps, fps)
 
 
+@pytest.mark.parametrize("radius, linked", [(1, False), (2, True), (5, True)])
+def test_radius_holds_for_lone_pairs(spark, radius, linked):
+    fps = spark.createDataFrame([(12345,), (12345 ^ 3,)], "fp long")
+    assert simhash.link_fingerprints(fps, radius=radius, blocks=radius + 2, n_pivots=3).count() == linked
+
+
 def test_components(spark):
     pairs = [(i, i + 1) for i in range(40)] + [(100, i) for i in range(101, 160)] + [(7, 7), (None, 3), (5, None), (200, 201), (201, 200)]
     got = {r["vertex"]: r["root"] for r in components(spark.createDataFrame(pairs, "a long, b long")).collect()}
