@@ -135,14 +135,16 @@ def find_contamination(
     item_col: str = "item_id", item_text_col: str = "text", max_automaton_chars: int = MAX_AUTOMATON_CHARS,
 ) -> DataFrame:
     """doc_id, n_words, n_hit, items (sorted array), spans (array of from/to offsets in the text)."""
-    blocks = list(_blocks(_items(benchmark, item_col, item_text_col), max_automaton_chars)) or [[]]
+    blocks = _blocks(_items(benchmark, item_col, item_text_col), max_automaton_chars)
     carried = "doc_id long, text string, n_words long, runs array<long>, items array<string>"
     frame = texts(docs, id_col, text_col).select(
         "doc_id", "text", F.lit(0).cast("long").alias("n_words"), F.array().cast("array<long>").alias("runs"),
         F.array().cast("array<string>").alias("items"),
     )
-    for k, block in enumerate(blocks):
-        frame = _scan(frame, block, window, last=k + 1 == len(blocks), schema=carried)
+    block = next(blocks, [])  # the driver holds two blocks at most
+    while (following := next(blocks, None)) is not None:
+        frame, block = _scan(frame, block, window, last=False, schema=carried), following
+    frame = _scan(frame, block, window, last=True, schema=carried)
     return frame.withColumn("n_items", F.size("items").cast("long"))
 
 
