@@ -16,7 +16,8 @@ every text whole.
 
 Defined results: null and empty texts have the features of the empty text and a score;
 repeated rows each give a row; labels with null id or null mark, and labels of unknown
-documents, are passed over; of contradicting labels of one document the larger counts; without
+documents, are passed over; of contradicting labels of one document the larger counts, and of
+repeated ids one row is learned from; without
 both kinds of labels every score is 0.5; other columns are ignored.
 """
 
@@ -39,6 +40,8 @@ FOLDS = 5
 HELD_OUT_FOLD = 0
 MAX_LABELLED = 20_000
 THRESHOLD = 0.3
+#: Range of the hash that chooses labelled rows.
+_ORDERS = 1 << 40
 
 #: What a byte is: lower-case letter, upper-case letter, digit, blank, line end, sentence
 #: mark, other mark, beyond ASCII. Fixed values.
@@ -145,7 +148,10 @@ def train(
     marked = labels.select(F.col(id_col).cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("mark"))
     marked = marked.where("doc_id IS NOT NULL AND mark IS NOT NULL").where(fold(F.col("doc_id")) != HELD_OUT_FOLD)
     marked = marked.groupBy("doc_id").agg(F.max("mark").alias("mark"))
-    chosen = marked.orderBy(F.xxhash64("doc_id", F.lit(5)), "doc_id").limit(max_labelled)
+    marked = marked.withColumn("order", F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(_ORDERS)))
+    # all but a little over `max_labelled` leave before the sort, so that its last task stays small at any size
+    reach = min(_ORDERS, int(_ORDERS * (1.1 * max_labelled + 1000) / max(1, marked.count())))
+    chosen = marked.where(F.col("order") < reach).orderBy("order", "doc_id").limit(max_labelled).drop("order")
     pairs = texts(docs, id_col, text_col).join(F.broadcast(chosen), "doc_id")  # at most max_labelled rows of two numbers
     kind = pa.list_(pa.float64())
 
@@ -155,6 +161,7 @@ def train(
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), rows], ["doc_id", "mark", "x"])
 
     found = map_batches(pairs.select("doc_id", "text", "mark"), work, "doc_id long, mark int, x array<double>")
+    found = found.groupBy("doc_id", "mark").agg(F.min("x").alias("x"))  # at most one row of each id comes to the driver
     got = found.toArrow().sort_by("doc_id").combine_chunks()
     x = np.concatenate([c.flatten().to_numpy() for c in got.column("x").chunks] or [np.zeros(0)])
     return fit(x.reshape(got.num_rows, -1) if got.num_rows else np.zeros((0, len(features("")))), got.column("mark").to_numpy() == 1, threshold, steps)
