@@ -11,7 +11,7 @@ from ..functions.rng import BITS, h52, u52
 from ..sources.graphs import running_offsets
 from ..sources.tables import durable
 from . import draw, grid, matrix
-from .samplers import NodeWise, Sampler, pushdown
+from .samplers import NodeWise, Sampler, positions, pushdown
 
 #: Ranges of the hash by which training vertices are ranked; their counts are a table of this size.
 RANK_RANGES = 1 << 10
@@ -48,11 +48,16 @@ class SampleSpec:
     fanout: tuple[int | None, ...] = (15, 10, 5)
     seed: int = 42
     method: str = "race_uniform"
+    #: `positions` needs adjacency rows, and so the bucketed strategy.
     strategy: str = "shuffle"  # shuffle, replicated, bucketed (pushdown), grid
     grid: grid.Grid | None = None
     options: tuple[tuple[str, object], ...] = ()
     cut_layers: bool = False
 
+    def __post_init__(self) -> None:
+        if self.method == "positions" and not (self.strategy == "bucketed" and isinstance(self.sampler, NodeWise)):
+            raise ValueError("positions are drawn from adjacency rows: a node-wise sampler, strategy 'bucketed'")
+
 
 def sample_minibatches(edges: DataFrame, batches: DataFrame, spec: SampleSpec, adjacency: DataFrame | None = None) -> DataFrame:
     """(batch, layer, row_id, src, dst, rank) over all layers; layers count down to 1 away from the batch."""
@@ -76,7 +81,8 @@ def sample_minibatches(edges: DataFrame, batches: DataFrame, spec: SampleSpec, a
 def _hop(spec: SampleSpec, frontier: DataFrame, edges: DataFrame, adjacency: DataFrame | None, s: int | None, layer: int):
     node_wise = isinstance(spec.sampler, NodeWise)
     if spec.strategy == "bucketed" and node_wise and s is not None:
-        sampled = pushdown(frontier, adjacency, s, spec.seed, layer)
+        drawn = positions if spec.method == "positions" else pushdown
+        sampled = drawn(frontier, adjacency, s, spec.seed, layer, **dict(spec.options))
         return sampled, sampled.select("batch", "row_id", F.col("dst").alias("col"), "rank")
     if spec.strategy == "grid" and node_wise:
         q = frontier.select("batch", F.col("row_id").alias("row"), F.col("v").alias("col"), F.lit(1).cast("long").alias("val"))

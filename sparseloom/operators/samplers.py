@@ -191,3 +191,20 @@ def pushdown(frontier: DataFrame, adjacency: DataFrame, s: int, seed: int, layer
     return out.select("batch", "row_id", "src", F.col("pick.dst").alias("dst"), (F.col("at") + 1).cast("long").alias("rank"))
 
 
+def positions(frontier: DataFrame, adjacency: DataFrame, s: int, seed: int, layer: int, rng: str = "md5") -> DataFrame:
+    """Node-wise draws of positions in the adjacency row: `s` random numbers a row, however many neighbours it has.
+
+    Of d neighbours, m = min(s, d) draws are made; draw t is below d - m + t + 1, and where it hits a position already
+    taken, the last position of its range is taken instead. Every set of m neighbours is equally likely. The
+    samples are others than those of `race`, which needs a random number for each neighbour.
+    """
+    met = frontier.join(adjacency.select("src", "nbrs"), F.col("v") == F.col("src"))
+    free = F.size("nbrs") - F.least(F.lit(s), F.size("nbrs"))
+    at = [F.col("batch"), layer, F.col("row_id")]
+    below = F.sequence(free + 1, F.size("nbrs")).cast("array<long>")
+    draws = F.transform(below, lambda n: F.pmod(u52(seed, *at, n - free - 1, kind=rng), n))
+    untaken = lambda taken, r: F.when(F.array_contains(taken, r), free + F.size(taken)).otherwise(r)
+    picked = F.aggregate(draws, F.array().cast("array<long>"), lambda taken, r: F.concat(taken, F.array(untaken(taken, r).cast("long"))))
+    found = F.transform(picked, lambda p: F.element_at("nbrs", (p + 1).cast("int")))
+    out = met.select("batch", "row_id", "src", F.posexplode(found).alias("at", "dst"))
+    return out.select("batch", "row_id", "src", "dst", (F.col("at") + 1).cast("long").alias("rank"))

@@ -82,6 +82,25 @@ def node_sql(graph: str, vertices: str, fanout: tuple[int, ...], size: int = BAT
     return f"WITH edges AS ({graph}), {batches_sql(vertices, size)}, {hops_sql(fanout, distinct)} {union}"
 
 
+def positions_sql(graph: str, vertices: str, fanout: tuple[int, ...], size: int = BATCH) -> str:
+    """Node-wise samples by positions in adjacency rows."""
+    out = ["f0 AS (SELECT batch, pos AS row_id, v FROM batches)"]
+    for h, s in enumerate(fanout):
+        layer = len(fanout) - h
+        draw = u52_sql(str(SEED), "batch", str(layer), "row_id", "t")
+        taken = "acc || [CASE WHEN list_contains(acc, x[1]) THEN d - m + len(acc) ELSE x[1] END]"
+        out.append(
+            f"m{h} AS (SELECT batch, row_id, src, nbrs, d, least({s}, d) AS m FROM f{h} JOIN adjacency ON v = src), "
+            f"p{h} AS (SELECT batch, row_id, src, nbrs, list_reduce(list_transform(range(m), lambda t: [{draw} % (d - m + t + 1)]), lambda acc, x: {taken}) AS picked FROM m{h}), "
+            f"u{h} AS (SELECT batch, row_id, src, nbrs, unnest(picked) AS p, generate_subscripts(picked, 1) AS rank FROM p{h}), "
+            f"h{h} AS (SELECT batch, CAST({layer} AS BIGINT) AS layer, row_id, src, nbrs[p + 1] AS dst, CAST(rank AS BIGINT) AS rank FROM u{h}), "
+            f"f{h + 1} AS (SELECT batch, row_id * {s} + rank - 1 AS row_id, dst AS v FROM h{h})"
+        )
+    union = " UNION ALL ".join(f"SELECT * FROM h{h}" for h in range(len(fanout)))
+    rows = "adjacency AS (SELECT src, list(dst ORDER BY dst) AS nbrs, count(*) AS d FROM edges GROUP BY src)"
+    return f"WITH edges AS ({graph}), {rows}, {batches_sql(vertices, size)}, {', '.join(out)} {union}"
+
+
 def its_sql(s: int, layer: int, draws: int, prob: str = "prob") -> str:
     """CTEs prefixed, hits, picked: first-hit draws from prefix sums of `prob`."""
     r = u52_sql(str(SEED), "batch", str(layer), "row_id", "t")
@@ -156,8 +175,7 @@ def node_prob(spark, d):
 def _node(fanout: tuple[int, ...], size: int = BATCH, source=_parts, **options) -> Query:
     def run(spark: SparkSession, d: str) -> DataFrame:
         edges, batches = source(spark, d, size)
-        sampler = NodeWise(options.pop("frontier")) if "frontier" in options else NodeWise()
-        return sample_minibatches(edges, batches, SampleSpec(sampler, fanout, SEED, **options))
+        return sample_minibatches(edges, batches, SampleSpec(NodeWise(), fanout, SEED, **options))
 
     return run
 
@@ -168,6 +186,8 @@ query("node_sample_trade_3hop", node_sql(TRADE, CUSTOMERS, FANOUT))(_node(FANOUT
 query("node_sample_paper", node_sql(TRADE, CUSTOMERS, PAPER_FANOUT, 1024))(_node(PAPER_FANOUT, 1024, _customers))
 query("node_replicated", node_sql(COPURCHASE, PARTS, FANOUT))(_node(FANOUT, strategy="replicated"))
 query("node_pushdown", node_sql(COPURCHASE, PARTS, FANOUT))(_node(FANOUT, strategy="bucketed"))
+query("node_positions", positions_sql(COPURCHASE, PARTS, FANOUT))(_node(FANOUT, strategy="bucketed", method="positions"))
+query("node_positions_paper", positions_sql(COPURCHASE, PARTS, PAPER_FANOUT, 1024))(_node(PAPER_FANOUT, 1024, strategy="bucketed", method="positions"))
 query("node_grid", node_sql(COPURCHASE, PARTS, (5,)))(_node((5,), strategy="grid", grid=Grid(8, 2)))
 
 

@@ -13,7 +13,7 @@ from sparseloom.sources.tables import SCHEMAS
 
 #: A cross-section; the driver compares all of them.
 NAMES = [
-    "batches_exact", "node_sample_3hop", "node_sample_distinct", "its_distinct", "race_distinct", "rejection_draws", "layer_sample", "layer_sample_2layer", "grid_spgemm_c2",
+    "batches_exact", "node_sample_3hop", "node_positions", "node_sample_distinct", "its_distinct", "race_distinct", "rejection_draws", "layer_sample", "layer_sample_2layer", "grid_spgemm_c2",
     "comm_ledger_aware", "comm_ledger_oblivious", "cost_model_table", "feature_fetch_cached", "feature_mean_1hop", "graph_similar", "graph_relabel", "graph_handoff", "join_asof", "join_interval",
     "agg_cube", "win_range", "udtf_sample_neighbors", "edges_roundtrip", "stream_session", "stream_sliding", "stream_reservoir", "stream_join", "udaf_vector_mean",
 ]

@@ -70,6 +70,24 @@ def test_short_rows_sinks_and_empty_inputs(spark, w6):
     assert draw.its_rounds(NodeWise().weigh(NodeWise().init_frontier(b), w6), 1, 3, 1).count() == 2
 
 
+def test_position_draws_are_uniform_sets(spark, w6):
+    b = spark.createDataFrame([(k, 0, 1) for k in range(3000)], "batch long, pos long, v long")
+    spec = SampleSpec(fanout=(2,), strategy="bucketed", method="positions")
+    sets: dict[int, set] = {}
+    for r in sample_minibatches(w6, b, spec).collect():
+        sets.setdefault(r["batch"], set()).add(r["dst"])
+    seen = Counter(map(frozenset, sets.values()))
+    assert set(seen) == {frozenset(x) for x in ((0, 2), (0, 4), (2, 4))}
+    assert all(abs(n / 3000 - 1 / 3) < 0.04 for n in seen.values())
+    short = SampleSpec(fanout=(5, None), strategy="bucketed", method="positions")
+    got = [r for r in sample_minibatches(w6, batches_of(spark, (1, 5)), short).collect() if r["layer"] == 2]
+    assert {(r["src"], r["dst"]) for r in got} == {(1, 0), (1, 2), (1, 4), (5, 3), (5, 4)}
+    fast = SampleSpec(fanout=(2,), strategy="bucketed", method="positions", options=(("rng", "fast"),))
+    assert max(Counter(r["batch"] for r in sample_minibatches(w6, b, fast).collect()).values()) == 2
+    with pytest.raises(ValueError):
+        SampleSpec(method="positions")
+
+
 def test_bulk_loop_serial_strategies_and_numpy_agree(spark, sf):
     t = tables.load(spark, sf)
     edges = graphs.copurchase_graph(t).cache()
