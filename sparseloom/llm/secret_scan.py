@@ -3,23 +3,28 @@
 The text itself is the first layer. Every layer is scanned for secrets, and every encoded
 stretch in it becomes a further layer: lines with URL escapes, lines with Unicode escapes,
 base64 runs (standard or URL alphabet, also wrapped in lines of 64 or 76), and gzip, zlib or bzip2
-data below base64. A layer seen before is not taken up again, which ends cycles; the
-worklist ends when no new layer appears. Each character of a layer remembers the range of the
+data below base64. A layer seen before at the same place is not taken up again, which ends cycles; equal layers
+of other places are. The worklist ends when no new layer appears. Each character of a layer remembers the range of the
 original text that it came from, so a finding inside any depth of wrapping is reported as a span
 of the original text. Findings in the text itself always stay.
 
 Defined results: null and empty texts have no spans; repeated rows each give a row; equal spans of one
 kind found through several layers count once; a null doc_id stays null; other columns are
-ignored. Compressed data that grows beyond `MAX_LAYER_BYTES` is scanned up to there, so that a
-decompression bomb cannot end a worker; plain text is never cut.
+ignored. Compressed data is inflated to its end, member after member, and scanned in pieces of about
+`PIECE` characters, so that a worker holds one of them at a time. Pieces end where no pattern can reach across;
+a longer stretch without such a place stays whole. Broken data is scanned up to the break, and what follows the
+last member as it stands.
 """
 
 from __future__ import annotations
 
 import binascii
 import bz2
+import codecs
+import hashlib
 import re
 import zlib
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -30,7 +35,7 @@ from pyspark.sql import functions as F
 from .common import map_batches, row_schema, texts
 
 KINDS = ("assign", "access", "hex")
-MAX_LAYER_BYTES = 64_000_000
+PIECE = 1 << 18
 REDACTED = "[SECRET]"
 
 # The patterns and least lengths of the base scan.
@@ -53,25 +58,52 @@ _BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
 _WRAPPED = re.compile(r"(?:^|(?<=[^A-Za-z0-9+/]))[A-Za-z0-9+/]{64}(?:[A-Za-z0-9+/]{12})?\r?\n(?:[A-Za-z0-9+/]+\r?\n)*[A-Za-z0-9+/]*={0,2}")
 _CONTROL = re.compile(rb"[\x00-\x08\x0b\x0c\x0e-\x1f\x7f]")
 _URL_SAFE = str.maketrans("-_", "+/")
+#: Up to the last character that no pattern holds, or the last line break that no wrapped run holds.
+_UP_TO_CUT = re.compile(r"""(?s:.*)(?:[^A-Za-z0-9+/_.=\x20"':\\{}%\r\n-]|(?<=[^A-Za-z0-9+/\r])\n)""")
 
 
 @dataclass(frozen=True)
 class Layer:
-    """A decoded text; `start[i]`, `end[i]`: the original range of its character i (None: itself)."""
+    """A decoded text; `start[i]`, `end[i]`: the original range of its character i (None: itself).
+
+    Single numbers are the range of all characters. `later`: a further piece of a layer already counted.
+    """
 
     text: str
-    start: list[int] | None = None
-    end: list[int] | None = None
+    start: list[int] | int | None = None
+    end: list[int] | int | None = None
     depth: int = 0
+    later: bool = False
 
     def original(self, a: int, b: int) -> tuple[int, int]:
+        if isinstance(self.start, int):
+            return self.start, self.end
         return (a, b) if self.start is None else (self.start[a], self.end[b - 1])
 
     def child(self, text: str, ranges: list[tuple[int, int]]) -> Layer:
         """`ranges`: for each character of `text`, the range of this layer it came from."""
+        if isinstance(self.start, int):
+            return Layer(text, self.start, self.end, self.depth + 1)
         found = [self.original(a, b) for a, b in ranges]
         return Layer(text, [a for a, _ in found], [b for _, b in found], self.depth + 1)
 
+    def piece(self, text: str, a: int, b: int, later: bool) -> Layer:
+        """All of `text` came from one range of this layer."""
+        return Layer(text, *self.original(a, b), self.depth + 1, later)
+
+    def key(self) -> bytes:
+        """A digest of the text and the original range of each of its characters."""
+        raw = self.text.encode("utf-8", "surrogatepass")
+        digest = hashlib.blake2b(b"%d:" % len(raw), digest_size=16)
+        digest.update(raw)
+        if isinstance(self.start, int):
+            digest.update(b"%d:%d" % (self.start, self.end))
+        else:
+            n = len(self.text)
+            digest.update(array("q", range(n) if self.start is None else self.start).tobytes())
+            digest.update(array("q", range(1, n + 1) if self.end is None else self.end).tobytes())
+        return digest.digest()
+
 
 def base_spans(text: str) -> list[tuple[int, str, int]]:
     """(start, kind, end) of what one text shows, leftmost and non-overlapping per kind."""
@@ -151,16 +183,63 @@ def _unicode(escape: str, at: int):
     return "".join(text), ranges
 
 
-def _inflate(data: bytes) -> bytes | None:
-    """What gzip, zlib or bzip2 data holds, up to `MAX_LAYER_BYTES`; None if it is neither."""
-    try:
-        if data[:2] == b"\x1f\x8b" or data[:1] == b"\x78" and len(data) > 2 and (data[0] << 8 | data[1]) % 31 == 0:
-            return zlib.decompressobj(47).decompress(data, MAX_LAYER_BYTES)
-        if data[:3] == b"BZh":
-            return bz2.BZ2Decompressor().decompress(data, MAX_LAYER_BYTES)
-    except (zlib.error, OSError, EOFError, ValueError):
-        pass
-    return None
+def _decompressor(data: bytes):
+    """For data that begins as gzip, zlib or bzip2 does; None for other data."""
+    if data[:2] == b"\x1f\x8b" or data[:1] == b"\x78" and len(data) > 2 and (data[0] << 8 | data[1]) % 31 == 0:
+        return zlib.decompressobj(47)
+    return bz2.BZ2Decompressor() if data[:3] == b"BZh" else None
+
+
+def _inflated(data: bytes) -> Iterator[bytes]:
+    """What all members hold, at most `PIECE` bytes at a time, and what follows them; raises where data is broken."""
+    while (member := _decompressor(data)) is not None:
+        while not member.eof:
+            out = member.decompress(data, PIECE)
+            data = member.unconsumed_tail if hasattr(member, "unconsumed_tail") else b""
+            if out:
+                yield out
+            elif not data and not member.eof:  # the data ends inside a member
+                return
+        data = member.unused_data.lstrip(b"\0")
+    if data:
+        yield data
+
+
+def _text_pieces(parts: Iterator[bytes]) -> Iterator[str]:
+    """The parts as text, cut where no pattern can reach across; at least one piece."""
+    decoder, held, size, any_cut = codecs.getincrementaldecoder("utf-8")("replace"), [], 0, False
+    for part in parts:
+        text = decoder.decode(part)
+        size += len(text)
+        if size >= PIECE and (cut := _UP_TO_CUT.match(text)):
+            yield "".join([*held, cut.group()])
+            text = text[cut.end() :]
+            held, size, any_cut = [], len(text), True
+        held.append(text)
+    rest = "".join([*held, decoder.decode(b"", True)])
+    if rest or not any_cut:
+        yield rest
+
+
+def _compressed(layer: Layer, data: bytes, a: int, b: int) -> Iterator[Layer]:
+    """Layers of compressed data that came from one range; returns whether it was such, and unbroken."""
+    if _decompressor(data) is None:
+        return False
+    broken = False
+
+    def parts() -> Iterator[bytes]:
+        nonlocal broken
+        try:
+            yield from _inflated(data)
+        except (zlib.error, OSError, EOFError, ValueError):
+            broken = True
+
+    later = False
+    for text in _text_pieces(parts()):
+        if text or not broken:
+            yield layer.piece(text, a, b, later)
+            later = True
+    return not broken
 
 
 def _from_base64(layer: Layer, run: str, places: list[int] | range) -> Iterator[Layer]:
@@ -178,10 +257,7 @@ def _from_base64(layer: Layer, run: str, places: list[int] | range) -> Iterator[
             continue
         if len(data) < 8:
             return
-        whole = _inflate(data)
-        if whole is not None:
-            text = whole.decode("utf-8", "replace")
-            yield layer.child(text, [(places[off], places[off + len(body) - 1] + 1)] * len(text))
+        if (yield from _compressed(layer, data, places[off], places[off + len(body) - 1] + 1)):
             return
         if _CONTROL.search(data):
             continue
@@ -223,18 +299,23 @@ def scan(text: str) -> tuple[list[tuple[int, str, int]], list[tuple[int, str, in
     """Base spans, all spans (each sorted), and the number of layers looked at."""
     first = Layer(text)
     base = sorted(set(base_spans(text)), key=_order)
-    found, seen, work, layers = set(base), {text}, [first], 0
+    found, seen, work, layers = set(base), set(), [decoded_layers(first)], 1
     while work:
-        layer = work.pop()
-        layers += 1
-        for below in decoded_layers(layer):
-            if below.text in seen:
-                continue
-            seen.add(below.text)
-            work.append(below)
-            for a, kind, b in base_spans(below.text):
-                start, end = below.original(a, b)
-                found.add((start, kind, end))
+        below = next(work[-1], None)
+        if below is None:
+            work.pop()
+            continue
+        if not seen:
+            seen.add(first.key())
+        key = below.key()
+        if key in seen:
+            continue
+        seen.add(key)
+        layers += not below.later
+        work.append(decoded_layers(below))
+        for a, kind, b in base_spans(below.text):
+            start, end = below.original(a, b)
+            found.add((start, kind, end))
     return base, sorted(found, key=_order), layers
 
 

@@ -1,6 +1,7 @@
 """Token counts, packing, decontamination, secrets: against libraries and brute force, and on odd rows."""
 
 import base64
+import bz2
 import gzip
 import hashlib
 import re
@@ -224,6 +225,36 @@ def test_exact_mapping_cycles_and_redaction():
     assert secret_scan.redact("", []) == ""
 
 
+@pytest.mark.parametrize("how", ["url", "unicode", "base64", "gzip", ("gzip", "base64")])
+def test_every_place_of_a_repeated_encoded_secret_is_found(how):
+    run = SECRET
+    for h in [how] if isinstance(how, str) else how:
+        run = wrap(run, h)
+    text = f"{run}\nsome words\n{run}\nother words\n{run}\n"
+    redacted = secret_scan.redact(text, secret_scan.scan(text)[1])
+    assert len({a for a, _, _ in secret_scan.scan(text)[1]}) == 3
+    assert redacted.count(secret_scan.REDACTED) == 3 and not secret_scan.scan(redacted)[1]
+
+
+@pytest.mark.parametrize("pack", [gzip.compress, zlib.compress, bz2.compress])
+def test_compressed_data_is_scanned_to_its_end(pack):
+    filler = b"plain words, and more of them\n" * 2_400_000  # beyond 64 MB
+    for data in (pack(filler + SECRET.encode()), pack(b"first member\n") + pack(SECRET.encode()), pack(b"a member\n") + gzip.compress(SECRET.encode())):
+        run = base64.b64encode(data).decode()
+        assert secret_scan.scan(f"<{run}>")[1] == [(1, "assign", 1 + len(run.rstrip("=")))]
+
+
+def test_pieces_of_inflated_data_do_not_cut_what_a_pattern_holds():
+    rng = np.random.default_rng(5)
+    words = [SECRET, base64.encodebytes(SECRET.encode() * 9).decode(), wrap(SECRET, "url"), "0123456789abcdef" * 3, "word", "\n", " ", "é, ", "; ", "AKIA" + "Z" * 20, "ab" * 40 + "\n"]
+    text = "".join(words[k] for k in rng.integers(0, len(words), 60_000))
+    pieces = list(secret_scan._text_pieces(text.encode()[i : i + 70_001] for i in range(0, len(text.encode()), 70_001)))
+    assert "".join(pieces) == text and len(pieces) > 3
+    assert sum(len(secret_scan.base_spans(p)) for p in pieces) == len(secret_scan.base_spans(text))
+    below = lambda x: {b.text[i:j] for b in [secret_scan.Layer(x), *secret_scan.decoded_layers(secret_scan.Layer(x))] for i, _, j in secret_scan.base_spans(b.text)}
+    assert set().union(*map(below, pieces)) == below(text)
+
+
 def test_secrets_on_odd_rows(odd_docs, no_docs):
     rows = secret_scan.find_secrets(odd_docs).collect()
     assert len(rows) == 13 and not any(r["spans"] for r in rows)
