@@ -12,8 +12,11 @@ within a batch), all in numpy. The softmax is then normalised by batched matrix
 pair of context classes, so that a token's log-probability is four table lookups.
 
 What comes from the corpus covers all of it: token counts N and V, class sizes and noise come
-from the counts of every training document. Draws for the gradient steps are spread evenly over all
-training tokens; `draws` bounds how many the steps use. Only the `hot` most frequent tokens (a
+from the counts of every training document, and the gradient steps use every training token: its
+(two before, one before, token) classes are counted over the corpus, cut into pieces of at most `PIECE`
+occurrences, and dealt by hash to shards. Each shard learns from its pieces, the shards' parameters
+are averaged, and the next round starts from there; partitioning changes nothing. Classes of their own grow in
+number with the corpus. A caller may ask for a sample of `draws` tokens instead. Only the `hot` most frequent tokens (a
 fixed number) go out to the workers; counts of the others are joined by token.
 
 Defined results: null and empty texts are one end token; repeated rows each give a row; a null
@@ -38,9 +41,13 @@ from .common import durable, map_batches, texts
 FOLDS = 7
 HELD_OUT_FOLD = 2
 HOT = 60_000
+#: Classes of their own for a corpus of up to `GROWS_FROM` training tokens; beyond, they grow with its sixth root.
 OWN_CLASSES = 700
+GROWS_FROM = 1_000_000
 DIMENSIONS = 40
-DRAWS = 1_000_000
+#: Most occurrences of a context and token that one row of a gradient step stands for.
+PIECE = 16
+SHARD_ROWS = 500_000
 #: The end of a text. No token can be equal to it, as tokens hold no blank.
 END = b" "
 _COUNTED_AT_ONCE = 300_000
@@ -112,13 +119,18 @@ class Vocabulary:
         return self.own + SHARED_CLASSES
 
 
-def vocabulary(counted: DataFrame, hot: int = HOT, own_classes: int = OWN_CLASSES) -> Vocabulary:
+def grown_classes(total: int) -> int:
+    """Classes of their own for a corpus of `total` training tokens. Tables have their square in entries."""
+    return int(OWN_CLASSES * max(1.0, total / GROWS_FROM) ** (1 / 6))
+
+
+def vocabulary(counted: DataFrame, hot: int = HOT, own_classes: int | None = None) -> Vocabulary:
     """Read the fixed-size parts of the counts: totals, class sizes, the most frequent tokens."""
     sizes = counted.groupBy("shared").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).collect()
     top = _most_frequent(counted, hot)
     words, counts = top.column("token").to_pylist(), top.column("n").to_numpy().astype(np.int64)
-    own = min(own_classes, len(words))
     total, distinct = sum(r["n"] for r in sizes), sum(r["v"] for r in sizes)
+    own = min(grown_classes(total) if own_classes is None else own_classes, len(words))
     shared = top.column("shared").to_numpy().astype(np.int64)
     classes = np.where(np.arange(len(words)) < own, np.arange(len(words)), own + shared)
     n, v = np.zeros(own + SHARED_CLASSES, np.int64), np.zeros(own + SHARED_CLASSES, np.int64)
@@ -154,7 +166,38 @@ class _Lookup(dict):
         return -1 - shared_class(token)
 
 
-def draw_contexts(docs: DataFrame, vocab: Vocabulary, draws: int = DRAWS, seed: int = 3) -> np.ndarray:
+def count_contexts(docs: DataFrame, vocab: Vocabulary) -> DataFrame:
+    """code (of class two before, class before, class), n: over every training token."""
+    sent = docs.sparkSession.sparkContext.broadcast(vocab)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        v = sent.value
+        lookup, outside = _Lookup(v.hot), v.n_classes  # outside: the context before a text
+        held: list[np.ndarray] = []
+        size = 0
+
+        def rows() -> pa.RecordBatch:
+            codes, n = np.unique(np.concatenate([*held, np.empty(0, np.int64)]), return_counts=True)
+            return pa.RecordBatch.from_arrays([pa.array(codes, pa.int64()), pa.array(n, pa.int64())], ["code", "n"])
+
+        for batch in batches:
+            for text in batch.column(0).to_pylist():
+                words = tokens(text)
+                at = np.fromiter(map(lookup.__getitem__, words), np.int64, len(words))
+                classes = np.full(len(at) + 2, outside, np.int64)
+                classes[2:] = np.where(at >= 0, v.classes[at.clip(0)] if len(v.classes) else 0, v.own - 1 - at)
+                held.append((classes[:-2] * (outside + 1) + classes[1:-1]) * (outside + 1) + classes[2:])
+                size += len(at)
+                if size > _COUNTED_AT_ONCE * 10:
+                    yield rows()
+                    held, size = [], 0
+        yield rows()
+
+    training = docs.where(fold(F.col("doc_id")) != HELD_OUT_FOLD).select("text")
+    return map_batches(training, work, "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
+
+
+def draw_contexts(docs: DataFrame, vocab: Vocabulary, draws: int, seed: int = 3) -> np.ndarray:
     """Rows of (class two before, class before, class) at positions spread over all training tokens."""
     share = min(1.0, draws / max(1, vocab.total))
     sent = docs.sparkSession.sparkContext.broadcast(vocab)
@@ -206,49 +249,154 @@ def _scatter(rows: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
-def train(
-    contexts: np.ndarray, class_tokens: np.ndarray, dimensions: int = DIMENSIONS, noise_each: int = 20, shared_noise: int = 256,
-    batch: int = 4096, epochs: int = 2, rate: float = 0.15, seed: int = 11,
-) -> LogBilinear:
-    """Noise-contrastive estimation with AdaGrad, then exact normalisation."""
-    n = len(class_tokens)
-    rng = np.random.default_rng(seed)
-    noise = (class_tokens + 1.0) / (class_tokens.sum() + n)
-    log_noise = np.log(noise).astype(np.float32)
-    params = [
-        rng.normal(0, 0.1, (n + 1, dimensions)).astype(np.float32), rng.normal(0, 0.1, (n + 1, dimensions)).astype(np.float32),
-        rng.normal(0, 0.1, (n, dimensions)).astype(np.float32), log_noise[:, None].copy(),
-    ]
-    grown = [np.full_like(p, 1e-2) for p in params]
-    far, near, out, bias = params
-    each = np.float32(noise_each)
-    for _ in range(epochs if len(contexts) else 0):
+class _Learner:
+    """Parameters, and steps of noise-contrastive estimation with AdaGrad on them."""
+
+    def __init__(self, class_tokens: np.ndarray, dimensions: int, rng: np.random.Generator) -> None:
+        n = len(class_tokens)
+        self.noise = (class_tokens + 1.0) / (class_tokens.sum() + n)
+        self.log_noise = np.log(self.noise).astype(np.float32)
+        self.params = [
+            rng.normal(0, 0.1, (n + 1, dimensions)).astype(np.float32), rng.normal(0, 0.1, (n + 1, dimensions)).astype(np.float32),
+            rng.normal(0, 0.1, (n, dimensions)).astype(np.float32), self.log_noise[:, None].copy(),
+        ]
+        self.grown = [np.full_like(p, 1e-2) for p in self.params]
+
+    def state(self) -> np.ndarray:
+        return np.concatenate([x.ravel() for x in (*self.params, *self.grown)])
+
+    def restore(self, state: np.ndarray) -> None:
+        at = 0
+        for x in (*self.params, *self.grown):
+            x[...] = state[at : at + x.size].reshape(x.shape)
+            at += x.size
+
+    def epoch(
+        self, contexts: np.ndarray, times: np.ndarray | None, rng: np.random.Generator,
+        noise_each: int = 20, shared_noise: int = 256, batch: int = 4096, rate: float = 0.15,
+    ) -> None:
+        """One pass in random order; row i stands for `times[i]` tokens (None: one)."""
+        far, near, out, bias = self.params
+        n, log_noise, each = len(out), self.log_noise, np.float32(noise_each)
         order = rng.permutation(len(contexts))
         for at in range(0, len(order), batch):
             f, c, t = contexts[order[at : at + batch]].T
+            w = np.ones(len(t), np.float32) if times is None else times[order[at : at + batch]].astype(np.float32)
             context = far[f] + near[c]
-            # the drawn tokens: told apart from noise by the difference of log-weight and log-noise
+            # the tokens themselves: told apart from noise by the difference of log-weight and log-noise
             s = (context * out[t]).sum(axis=1) + bias[t, 0]
             true = 1 / (1 + np.exp(-(s - log_noise[t] - np.log(each))))
-            wrong = (1 - true).astype(np.float32)
+            wrong = ((1 - true) * w).astype(np.float32)
             # noise tokens shared by the batch, each counting for noise_each / shared_noise
-            k = rng.choice(n, shared_noise, p=noise)
+            k = rng.choice(n, shared_noise, p=self.noise)
             sk = context @ out[k].T + bias[k, 0]
             fake = 1 / (1 + np.exp(-(sk - log_noise[k] - np.log(each))))
-            fake = (fake * (each / shared_noise)).astype(np.float32)
-            size = np.float32(1 / np.sqrt(len(t)))
+            fake = (fake * (each / shared_noise) * w[:, None]).astype(np.float32)
+            size = np.float32(1 / np.sqrt(w.sum()))
             g_context = (wrong[:, None] * out[t] - fake @ out[k]) * size
             g_out = (_scatter(t, wrong[:, None] * context, n) - _scatter(k, fake.T @ context, n)) * size
             g_bias = (np.bincount(t, wrong, n) - np.bincount(k, fake.sum(axis=0), n)).astype(np.float32)[:, None] * size
-            for p, h, g in zip(params, grown, (_scatter(f, g_context, n + 1), _scatter(c, g_context, n + 1), g_out, g_bias)):
+            for p, h, g in zip(self.params, self.grown, (_scatter(f, g_context, n + 1), _scatter(c, g_context, n + 1), g_out, g_bias)):
                 h += g * g
                 p += rate * g / np.sqrt(h)
-    far_table, near_table = far @ out.T, near @ out.T
-    shifted = np.exp(near_table + bias[:, 0])  # context class x class
-    norm = np.empty((n + 1, n + 1), np.float32)
-    for i in range(0, n + 1, 128):  # batched products over every pair of contexts
-        norm[i : i + 128] = np.log(np.exp(far_table[i : i + 128]) @ shifted.T)
-    return LogBilinear(far_table, near_table, bias[:, 0].copy(), norm)
+
+    def normalised(self) -> LogBilinear:
+        """Exact normalisation."""
+        far, near, out, bias = self.params
+        n = len(out)
+        far_table, near_table = far @ out.T, near @ out.T
+        shifted = np.exp(near_table + bias[:, 0])  # context class x class
+        norm = np.empty((n + 1, n + 1), np.float32)
+        for i in range(0, n + 1, 128):  # batched products over every pair of contexts
+            norm[i : i + 128] = np.log(np.exp(far_table[i : i + 128]) @ shifted.T)
+        return LogBilinear(far_table, near_table, bias[:, 0].copy(), norm)
+
+
+def train(
+    contexts: np.ndarray, class_tokens: np.ndarray, dimensions: int = DIMENSIONS, noise_each: int = 20, shared_noise: int = 256,
+    batch: int = 4096, epochs: int = 2, rate: float = 0.15, seed: int = 11,
+) -> LogBilinear:
+    """Noise-contrastive estimation with AdaGrad, then exact normalisation."""
+    rng = np.random.default_rng(seed)
+    learner = _Learner(class_tokens, dimensions, rng)
+    for _ in range(epochs if len(contexts) else 0):
+        learner.epoch(contexts, None, rng, noise_each, shared_noise, batch, rate)
+    return learner.normalised()
+
+
+def train_on_all(
+    counted: DataFrame, class_tokens: np.ndarray, dimensions: int = DIMENSIONS, rounds: int = 2, seed: int = 11,
+    piece: int = PIECE, shard_rows: int = SHARD_ROWS,
+) -> LogBilinear:
+    """The same on counted contexts (code, n): every round, each shard learns from the average of the last."""
+    learner = _Learner(class_tokens, dimensions, np.random.default_rng(seed))
+    pieces = F.ceil(F.col("n") / F.lit(piece))
+    shards = max(1, -(-(counted.agg(F.sum(pieces)).first()[0] or 0) // shard_rows))
+    # the pieces of one context and token go to different shards, so that each shard has the corpus's law
+    cut = counted.select("code", "n", F.explode(F.sequence(F.lit(1).cast("long"), pieces.cast("long"))).alias("j"))
+    dealt = cut.select(
+        F.pmod(F.xxhash64("code", "j"), F.lit(shards)).alias("shard"), "code", "j",
+        F.least(F.lit(piece), F.col("n") - (F.col("j") - 1) * piece).cast("long").alias("times"),
+    ).repartition(shards, "shard").sortWithinPartitions("shard", "code", "j")
+    base = len(class_tokens) + 1
+    for turn in range(rounds):
+        sent = counted.sparkSession.sparkContext.broadcast((class_tokens, learner.state(), turn))
+
+        def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            sizes, state, now = sent.value
+
+            def row(shard: int, parts: list[np.ndarray]) -> pa.RecordBatch:
+                code, times = np.concatenate(parts, axis=1)
+                own = _Learner(sizes, dimensions, np.random.default_rng(seed))
+                own.restore(state)
+                contexts = np.stack([code // base // base, code // base % base, code % base], axis=1)
+                own.epoch(contexts, times, np.random.default_rng([seed, now, shard]))
+                weight = int(times.sum())
+                columns = pa.array([shard], pa.int64()), pa.array([weight], pa.int64()), pa.array([(own.state().astype(np.float64) * weight).tobytes()], pa.binary())
+                return pa.RecordBatch.from_arrays(list(columns), ["shard", "weight", "state"])
+
+            open_shard, parts = -1, []
+            for batch in batches:
+                shard = batch.column(0).to_numpy()
+                rows = np.stack([batch.column(1).to_numpy(), batch.column(2).to_numpy()])
+                for own in np.unique(shard).tolist():  # sorted, so each shard is a run
+                    if own != open_shard and parts:
+                        yield row(open_shard, parts)
+                        parts = []
+                    open_shard = own
+                    parts.append(rows[:, shard == own])
+            if parts:
+                yield row(open_shard, parts)
+
+        learnt = map_batches(dealt.select("shard", "code", "times"), learn, "shard long, weight long, state binary")
+        # sums of up to 32 shards come to the driver; in order, so that they are the same every time
+        grouped = learnt.withColumn("part", F.floor(F.col("shard") / 32).cast("long")).repartition(-(-shards // 32), "part").sortWithinPartitions("part", "shard")
+        sums = map_batches(grouped.select("part", "weight", "state"), _summed, "part long, weight long, state binary").collect()
+        if sums:
+            total = sum(np.frombuffer(r["state"]) for r in sorted(sums, key=lambda r: r["part"]))
+            learner.restore((total / sum(r["weight"] for r in sums)).astype(np.float32))
+        sent.unpersist()
+    return learner.normalised()
+
+
+def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One row for each run of equal `part`: summed weights and states."""
+    part, weight, state = None, 0, None
+
+    def row() -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([weight], pa.int64()), pa.array([state.tobytes()], pa.binary())], ["part", "weight", "state"])
+
+    for batch in batches:
+        for p, w, x in zip(*(batch.column(k) for k in range(3))):
+            p, w, x = p.as_py(), w.as_py(), np.frombuffer(x.as_buffer())
+            if p == part:
+                weight, state = weight + w, state + x
+                continue
+            if part is not None:
+                yield row()
+            part, weight, state = p, w, x
+    if part is not None:
+        yield row()
 
 
 def score(docs: DataFrame, counted: DataFrame, vocab: Vocabulary, model: LogBilinear) -> DataFrame:
@@ -314,11 +462,17 @@ def _rows(out: list[tuple], names: list[str], kinds: list[pa.DataType]) -> pa.Re
 
 
 def score_documents(
-    docs: DataFrame, draws: int = DRAWS, hot: int = HOT, own_classes: int = OWN_CLASSES, id_col: str = "doc_id", text_col: str = "text"
+    docs: DataFrame, draws: int | None = None, hot: int = HOT, own_classes: int | None = None, id_col: str = "doc_id", text_col: str = "text"
 ) -> DataFrame:
-    """Count, train and score: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
+    """Count, train and score: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score.
+
+    Without `draws` the steps use every training token; with it, a sample of that size drawn by text.
+    """
     rows = texts(docs, id_col, text_col)
     counted = durable(count_training_tokens(rows))
     vocab = vocabulary(counted, hot, own_classes)
-    model = train(draw_contexts(rows, vocab, draws), vocab.class_tokens)
+    if draws is None:
+        model = train_on_all(durable(count_contexts(rows, vocab)), vocab.class_tokens)
+    else:
+        model = train(draw_contexts(rows, vocab, draws), vocab.class_tokens)
     return score(rows, counted, vocab, model)

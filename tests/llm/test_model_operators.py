@@ -82,6 +82,23 @@ def test_model_is_normalised():
         assert abs(p.sum() - 1) < 1e-4
 
 
+def test_every_training_token_is_learnt_from(spark, monkeypatch):
+    docs = lm_scoring.texts(table(spark, SF01, "documents"))
+    vocab = lm_scoring.vocabulary(lm_scoring.count_training_tokens(docs), 2000, 200)
+    counted = lm_scoring.count_contexts(docs, vocab)
+    got = {r["code"]: r["n"] for r in counted.collect()}
+    drawn = lm_scoring.draw_contexts(docs, vocab, 10**9).astype(np.int64)  # a draw of all
+    base = vocab.n_classes + 1
+    assert got == Counter(((drawn[:, 0] * base + drawn[:, 1]) * base + drawn[:, 2]).tolist()) and sum(got.values()) == vocab.total
+    one, many = (lm_scoring.train_on_all(x, vocab.class_tokens, shard_rows=40_000) for x in (counted.repartition(3), counted.repartition(7)))
+    assert all((getattr(one, k) == getattr(many, k)).all() for k in ("far", "near", "bias", "norm"))
+    noise = np.log10((vocab.class_tokens + 1) / (vocab.class_tokens + 1).sum())
+    assert one.log10(*drawn.T).mean() > noise[drawn[:, 2]].mean() + 0.1
+    assert lm_scoring.grown_classes(10**10) > lm_scoring.grown_classes(10**8) > lm_scoring.grown_classes(10**6) == 700
+    monkeypatch.setattr(lm_scoring, "draw_contexts", None)  # the default asks for no sample
+    assert lm_scoring.score_documents(table(spark, SF01, "documents").limit(50)).count() == 50
+
+
 def test_lm_on_odd_rows(odd_docs, no_docs):
     rows = lm_scoring.score_documents(odd_docs, draws=1000).collect()
     assert len(rows) == 13 and all(np.isfinite(r["score"]) and np.isfinite(r["base_score"]) for r in rows)
