@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.rng import h52, u52
-from . import matrix
+from . import draw, matrix
 
 
 class Sampler:
@@ -102,7 +102,8 @@ def independent_draws(edges: DataFrame, batches: int, s: int, seed: int, layer:
     """Draws of all batches from one shared distribution: (batch, row_id, col, rank).
 
     One prefix-sum table over the vertices serves all batches. It is cut into ranges whose running totals are
-    a table of fixed size; a draw finds its range there, and its vertex inside the range.
+    a table of fixed size; a draw finds its range there, and its vertex inside the range. Batches still short after
+    `draws` are completed from the vertices left.
     """
     spark = edges.sparkSession
     draws = draws or 4 * s
@@ -110,9 +111,9 @@ def independent_draws(edges: DataFrame, batches: int, s: int, seed: int, layer:
     w = deg.select("col", (F.col("deg") * F.col("deg") if weight == "degree_sq" else F.col("deg")).alias("w"), F.pmod(F.xxhash64("col"), F.lit(parts)).alias("part"))
     inside = Window.partitionBy("part").orderBy("col")
     w = w.withColumn("hi", F.sum("w").over(inside.rowsBetween(Window.unboundedPreceding, Window.currentRow)))
-    totals = [(r["part"], r["n"]) for r in w.groupBy("part").agg(F.sum("w").alias("n")).orderBy("part").collect()]  # `parts` rows at most
-    ranges, at = [], 0
-    for part, n in totals:
+    totals = [tuple(r) for r in w.groupBy("part").agg(F.sum("w").alias("n"), F.count(F.lit(1)).alias("v")).orderBy("part").collect()]  # `parts` rows at most
+    ranges, at, n_cols = [], 0, sum(v for _, _, v in totals)
+    for part, n, _ in totals:
         ranges.append((part, at, at + n))
         at += n
     if not ranges:
@@ -123,7 +124,11 @@ def independent_draws(edges: DataFrame, batches: int, s: int, seed: int, layer:
     placed = asked.join(index, (F.col("r") >= F.col("low")) & (F.col("r") < F.col("high"))).withColumn("r", F.col("r") - F.col("low"))
     hits = placed.join(w, "part").where("r >= hi - w AND r < hi").groupBy("batch", "col").agg(F.min("t").alias("t"))
     best = Window.partitionBy("batch").orderBy("t")
-    return hits.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= s).select("batch", F.lit(0).cast("long").alias("row_id"), "col", F.col("rank").cast("long").alias("rank"))
+    picked = hits.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= s).select("batch", F.lit(0).cast("long").alias("row_id"), "col", F.col("rank").cast("long").alias("rank"))
+    got = picked.groupBy("batch").agg(F.count(F.lit(1)).alias("got"))
+    short = spark.range(batches).withColumnRenamed("id", "batch").join(got, "batch", "left").where(F.coalesce("got", F.lit(0)) < min(s, n_cols)).select("batch")
+    left = w.select("col", "w").crossJoin(F.broadcast(short)).join(hits, ["batch", "col"], "left").withColumn("row_id", F.lit(0).cast("long"))
+    return picked.join(F.broadcast(short), "batch", "left_anti").unionByName(draw.completed(left, s, seed, layer).drop("t"))
 
 
 def extract_rows(frontier: DataFrame, edges: DataFrame) -> DataFrame:

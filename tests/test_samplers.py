@@ -205,6 +205,37 @@ def test_relabel_khop_and_edits(spark, w6):
     assert graphs.add_loops(w6).count() == 20 and graphs.drop_loops(graphs.add_loops(w6)).count() == 14
 
 
+def test_rows_short_after_their_draws_are_completed(spark):
+    skewed = [(b, 0, c, 4096 if c < 5 else 1) for b in range(20) for c in range(1000)] + [(99, 0, c, 1 + 9999 * (c == 0)) for c in range(7)]
+    prob = spark.createDataFrame(skewed, "batch long, row_id long, col long, w long")
+    arrays = prob.groupBy("batch", "row_id").agg(F.collect_list("col").alias("cols"), F.collect_list("w").alias("ws"))
+    fixed, arrow, kept = draw.its_fixed(prob, 32, 5, 1, 128), draw.its_arrow(arrays, 32, 5, 1, 128), draw.rejection(prob, 32, 5, 1, 64)
+    for got in (fixed, arrow, kept):
+        by: dict = {}
+        for r in got.collect():
+            by.setdefault(r["batch"], []).append((r["rank"], r["col"]))
+        assert set(by) == {*range(20), 99}
+        for b, found in by.items():
+            n = 7 if b == 99 else 32
+            assert sorted(k for k, _ in found) == list(range(1, n + 1)) and len({c for _, c in found}) == n
+    assert rows(fixed) == rows(arrow)
+    w6 = graphs.worked6(spark)
+    b = spark.range(3000).select(F.col("id").alias("batch"), F.explode(F.array(F.lit(1).cast("long"), F.lit(5).cast("long"))).alias("v"))
+    got = Counter(r["col"] for r in draw.its_fixed(LayerWise().weigh(LayerWise().init_frontier(b), w6), 2, 7, 1, 1).collect())
+    assert sum(got.values()) == 6000 and abs(got[4] / 3000 - 6 / 7) < 0.03  # one draw and one completion keep the law
+
+
+def test_shared_and_two_level_draws_are_completed(spark):
+    star = spark.createDataFrame([(0, k) for k in range(1, 3000)] + [(k, 0) for k in range(1, 30)], "src long, dst long")
+    shared = samplers.independent_draws(star, 6, 30, 5, draws=20)
+    got = [(r["batch"], r["rank"]) for r in shared.collect()]
+    assert sorted(got) == [(b, k) for b in range(6) for k in range(1, 31)]
+    five = spark.createDataFrame([(v, n) for v in range(300) for n in range(1000, 1005)], "src long, dst long")
+    front = graphs.degrees(five).select(F.lit(0).cast("long").alias("batch"), F.col("v").alias("row_id"), "v", "deg")
+    found = [(r["row_id"], r["col"]) for r in draw.two_level(front, matrix.to_blocks(five, 2), 5, 3, 1).collect()]
+    assert len(found) == len(set(found)) == 1500
+
+
 def test_two_level_draws_are_neighbours(spark, sf):
     edges = graphs.supplies_graph(tables.load(spark, sf))
     front = graphs.degrees(edges).select(F.lit(0).cast("long").alias("batch"), F.col("v").alias("row_id"), "v", "deg")
