@@ -111,9 +111,10 @@ def similarity_graph_lsh(t: Tables, radius: float, bucket: float = 2.0, tables:
 
 
 def neardup_graph(t: Tables, shingle: int = 5, least: int = 2, most: int = 20) -> DataFrame:
-    """Documents that share a rare word shingle of whole texts, both directions.
+    """Documents that share a word shingle of whole texts, both directions.
 
-    Shingles of more than `most` documents say nothing about a pair; that bounds the pairs per shingle.
+    All documents of a shingle are linked with each other where there are at most `most`. Where there are more, each is linked
+    to the one with the smallest id: as many edges as documents, and the same reachability.
     """
     import pyarrow as pa
 
@@ -132,11 +133,14 @@ def neardup_graph(t: Tables, shingle: int = 5, least: int = 2, most: int = 20) -
             yield pa.RecordBatch.from_arrays([pa.array(docs, pa.int64()), pa.array(found, pa.int64())], ["doc_id", "h"])
 
     held = t.documents.select("doc_id", "text").mapInArrow(hashes, "doc_id long, h long")
-    # most shingles occur once: only those within bounds go on, with their documents
-    rare = held.groupBy("h").agg(F.count(F.lit(1)).alias("df")).where(F.col("df").between(least, most))
-    kept = durable(held.join(rare, "h").select("h", "doc_id"))
-    pairs = kept.alias("a").join(kept.alias("b"), "h").where("a.doc_id <> b.doc_id")
-    return _edges(pairs, F.col("a.doc_id"), F.col("b.doc_id"))
+    # most shingles occur once: only shared ones go on, with their documents
+    shared = held.groupBy("h").agg(F.count(F.lit(1)).alias("df"), F.min("doc_id").alias("hub")).where(F.col("df") >= least)
+    kept = durable(held.join(shared, "h").select("h", "doc_id", "hub", (F.col("df") > most).alias("frequent")))
+    rare = kept.where("NOT frequent").select("h", "doc_id")
+    pairs = rare.alias("a").join(rare.alias("b"), "h").where("a.doc_id <> b.doc_id").select(F.col("a.doc_id").alias("src"), F.col("b.doc_id").alias("dst"))
+    spokes = kept.where("frequent AND doc_id <> hub").select("doc_id", "hub").distinct()
+    both = spokes.select(F.col("doc_id").alias("src"), F.col("hub").alias("dst")).union(spokes.select("hub", "doc_id"))
+    return _edges(pairs.union(both), "src", "dst")
 
 
 # ------------------------------------------------------------------ edits

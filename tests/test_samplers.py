@@ -236,6 +236,16 @@ def test_shared_and_two_level_draws_are_completed(spark):
     assert len(found) == len(set(found)) == 1500
 
 
+def test_large_groups_of_copies_stay_linked(spark):
+    from types import SimpleNamespace
+
+    texts = [(i, "one two three four five six seven") for i in range(50)] + [(100, "eight nine ten eleven twelve"), (101, "eight nine ten eleven twelve x"), (102, "alone with words of its own")]
+    docs = spark.createDataFrame(texts, "doc_id long, text string")
+    got = rows(graphs.neardup_graph(SimpleNamespace(spark=spark, documents=docs)).select("src", "dst"))
+    star = {(0, i) for i in range(1, 50)} | {(i, 0) for i in range(1, 50)}
+    assert got == star | {(100, 101), (101, 100)}
+
+
 def test_two_level_draws_are_neighbours(spark, sf):
     edges = graphs.supplies_graph(tables.load(spark, sf))
     front = graphs.degrees(edges).select(F.lit(0).cast("long").alias("batch"), F.col("v").alias("row_id"), "v", "deg")
