@@ -4,15 +4,16 @@ The text itself is the first layer. Every layer is scanned for secrets, and ever
 stretch in it becomes a further layer: lines with URL escapes, lines with Unicode escapes,
 base64 runs (standard or URL alphabet, also wrapped in lines of 64 or 76), and gzip, zlib or bzip2
 data below base64. A layer seen before at the same place is not taken up again, which ends cycles; equal layers
-of other places are. The worklist ends when no new layer appears. Each character of a layer remembers the range of the
-original text that it came from, so a finding inside any depth of wrapping is reported as a span
-of the original text. Findings in the text itself always stay.
+of other places are. The worklist ends when no new layer appears. A layer knows by runs where its characters
+came from in the layer above: a run is a stretch of characters that each stand for equally much of it. A finding inside any
+depth of wrapping is traced up through the runs and reported as a span of the original text. Findings in the
+text itself always stay.
 
 Defined results: null and empty texts have no spans; repeated rows each give a row; equal spans of one
 kind found through several layers count once; a null doc_id stays null; other columns are
-ignored. Compressed data is inflated to its end, member after member, and scanned in pieces of about
-`PIECE` characters, so that a worker holds one of them at a time. Pieces end where no pattern can reach across;
-a longer stretch without such a place stays whole. Broken data is scanned up to the break, and what follows the
+ignored. Unescaped lines and inflated data are scanned in pieces of about `PIECE` characters, so that a worker holds
+one of them at a time; compressed data is inflated to its end, member after member. Pieces end where no pattern can reach
+across; a longer stretch without such a place stays whole. Broken data is scanned up to the break, and what follows the
 last member as it stands.
 """
 
@@ -24,10 +25,10 @@ import codecs
 import hashlib
 import re
 import zlib
-from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -56,52 +57,85 @@ _UNICODE_ESCAPE = re.compile(r"(?:\\u\{[0-9A-Fa-f]{1,6}\}|\\u[0-9A-Fa-f]{4}|\\U[
 _ONE_ESCAPE = re.compile(r"\\u\{([0-9A-Fa-f]+)\}|\\u([0-9A-Fa-f]{4})|\\U([0-9A-Fa-f]{8})|\\x([0-9A-Fa-f]{2})")
 _BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
 _WRAPPED = re.compile(r"(?:^|(?<=[^A-Za-z0-9+/]))[A-Za-z0-9+/]{64}(?:[A-Za-z0-9+/]{12})?\r?\n(?:[A-Za-z0-9+/]+\r?\n)*[A-Za-z0-9+/]*={0,2}")
+_LINE = re.compile(r"[^\r\n]+")
 _CONTROL = re.compile(rb"[\x00-\x08\x0b\x0c\x0e-\x1f\x7f]")
 _URL_SAFE = str.maketrans("-_", "+/")
 #: Up to the last character that no pattern holds, or the last line break that no wrapped run holds.
 _UP_TO_CUT = re.compile(r"""(?s:.*)(?:[^A-Za-z0-9+/_.=\x20"':\\{}%\r\n-]|(?<=[^A-Za-z0-9+/\r])\n)""")
 
 
-@dataclass(frozen=True)
+#: Runs are rows (at, src, off, p, q): character at + j stands for the characters src + (off + j p) / q, rounded down, up to
+#: src + (off + (j + 1) p) / q, rounded up, of the layer above.
+_RUN = np.int64
+
+
+def _run(*row: int) -> np.ndarray:
+    return np.array([row], _RUN)
+
+
+def _cut_runs(runs: np.ndarray, a: int, b: int) -> np.ndarray:
+    """The runs of characters a .. b-1, numbered from a."""
+    first = int(np.searchsorted(runs[:, 0], a, side="right")) - 1
+    out = runs[first : int(np.searchsorted(runs[:, 0], b, side="left"))].copy()
+    out[0, 2] += (a - out[0, 0]) * out[0, 3]
+    out[:, 0] = np.maximum(out[:, 0] - a, 0)
+    return out
+
+
+@dataclass(frozen=True, eq=False)
 class Layer:
-    """A decoded text; `start[i]`, `end[i]`: the original range of its character i (None: itself).
+    """A decoded text and the layer that it came from.
 
-    Single numbers are the range of all characters. `later`: a further piece of a layer already counted.
+    `span`: the original range of every character alike. `later`: a further piece of a layer already counted.
     """
 
     text: str
-    start: list[int] | int | None = None
-    end: list[int] | int | None = None
+    above: Layer | None = None
+    runs: np.ndarray | None = None
+    span: tuple[int, int] | None = None
     depth: int = 0
     later: bool = False
 
+    def bounds(self, first: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Original start of the characters `first`, and original end of the characters `last`."""
+        if self.span is not None:
+            return np.full(len(first), self.span[0], _RUN), np.full(len(last), self.span[1], _RUN)
+        if self.above is None:
+            return first, last + 1
+        at, src, off, p, q = self.runs.T
+        k = np.searchsorted(at, first, side="right") - 1
+        begin = src[k] + (off[k] + (first - at[k]) * p[k]) // q[k]
+        k = np.searchsorted(at, last, side="right") - 1
+        end = src[k] - -(off[k] + (last - at[k] + 1) * p[k]) // q[k]
+        return self.above.bounds(begin, end - 1)
+
     def original(self, a: int, b: int) -> tuple[int, int]:
-        if isinstance(self.start, int):
-            return self.start, self.end
-        return (a, b) if self.start is None else (self.start[a], self.end[b - 1])
+        if self.span is not None:
+            return self.span
+        if self.above is None:
+            return a, b
+        begin, end = self.bounds(np.array([a], _RUN), np.array([b - 1], _RUN))
+        return int(begin[0]), int(end[0])
 
-    def child(self, text: str, ranges: list[tuple[int, int]]) -> Layer:
-        """`ranges`: for each character of `text`, the range of this layer it came from."""
-        if isinstance(self.start, int):
-            return Layer(text, self.start, self.end, self.depth + 1)
-        found = [self.original(a, b) for a, b in ranges]
-        return Layer(text, [a for a, _ in found], [b for _, b in found], self.depth + 1)
+    def child(self, text: str, runs: np.ndarray, later: bool = False) -> Layer:
+        return Layer(text, self, runs, self.span, self.depth + 1, later)
 
     def piece(self, text: str, a: int, b: int, later: bool) -> Layer:
         """All of `text` came from one range of this layer."""
-        return Layer(text, *self.original(a, b), self.depth + 1, later)
+        return Layer(text, self, None, self.original(a, b), self.depth + 1, later)
 
     def key(self) -> bytes:
         """A digest of the text and the original range of each of its characters."""
-        raw = self.text.encode("utf-8", "surrogatepass")
-        digest = hashlib.blake2b(b"%d:" % len(raw), digest_size=16)
-        digest.update(raw)
-        if isinstance(self.start, int):
-            digest.update(b"%d:%d" % (self.start, self.end))
-        else:
-            n = len(self.text)
-            digest.update(array("q", range(n) if self.start is None else self.start).tobytes())
-            digest.update(array("q", range(1, n + 1) if self.end is None else self.end).tobytes())
+        digest = hashlib.blake2b(b"%d:" % len(self.text), digest_size=16)
+        for i in range(0, len(self.text), 1 << 16):
+            digest.update(self.text[i : i + (1 << 16)].encode("utf-8", "surrogatepass"))
+        if self.span is not None:
+            digest.update(b"%d:%d" % self.span)
+            return digest.digest()
+        for i in range(0, len(self.text), 1 << 16):
+            at = np.arange(i, min(len(self.text), i + (1 << 16)))
+            for x in self.bounds(at, at):
+                digest.update(x.tobytes())
         return digest.digest()
 
 
@@ -130,57 +164,103 @@ def _lines_with(pattern: re.Pattern, text: str) -> Iterator[tuple[int, int]]:
             return
 
 
-def _utf8_ranges(data: bytes, ranges: list[tuple[int, int]]) -> tuple[str, list[tuple[int, int]]] | None:
-    """Decoded text and each character's range, from each byte's range; None if not UTF-8."""
+def _utf8_runs(data: bytes, src: int, p: int, q: int) -> tuple[str, np.ndarray] | None:
+    """Decoded text and its runs, where each byte stands for p / q characters from `src` on; None if not UTF-8."""
     try:
         text = data.decode()
     except UnicodeDecodeError:
         return None
     if len(text) == len(data):
-        return text, ranges
-    out, at = [], 0
-    for c in text:
-        n = len(c.encode())
-        out.append((ranges[at][0], ranges[at + n - 1][1]))
-        at += n
-    return text, out
+        return text, _run(0, src, 0, p, q)
+    lead = np.flatnonzero((np.frombuffer(data, np.uint8) & 0xC0) != 0x80)  # first byte of each character
+    width = np.diff(lead, append=len(data))
+    at = np.flatnonzero(np.diff(width, prepend=0))
+    return text, np.stack([at, np.full(len(at), src), lead[at] * p, width[at] * p, np.full(len(at), q)], axis=1).astype(_RUN)
 
 
 def _unescaped(layer: Layer, pattern: re.Pattern, decode) -> Iterator[Layer]:
     for a, b in _lines_with(pattern, layer.text):
-        text, ranges, at = [], [], a
-        for m in pattern.finditer(layer.text, a, b):
-            text.append(layer.text[at : m.start()])
-            ranges += [(i, i + 1) for i in range(at, m.start())]
-            found = decode(m.group(), m.start())
-            if found is None:
-                found = m.group(), [(i, i + 1) for i in range(m.start(), m.end())]
-            text.append(found[0])
-            ranges += found[1]
-            at = m.end()
-        text.append(layer.text[at:b])
-        ranges += [(i, i + 1) for i in range(at, b)]
-        yield layer.child("".join(text), ranges)
+        later = False
+        for text, runs in _pieces(_tokens(layer.text, a, b, pattern, decode)):
+            yield layer.child(text, runs, later)
+            later = True
+
+
+def _tokens(text: str, a: int, b: int, pattern: re.Pattern, decode) -> Iterator[tuple[str, list]]:
+    """What a line holds, plain and decoded by turns: short texts and the rows of their runs."""
+    at = a
+    for m in pattern.finditer(text, a, b):
+        found = decode(m.group(), m.start())
+        if found is None:
+            continue
+        yield from _plain(text, at, m.start())
+        decoded, runs = found
+        if len(decoded) <= PIECE:
+            yield decoded, runs.tolist()
+        else:
+            for i in range(0, len(decoded), PIECE):
+                yield decoded[i : i + PIECE], _cut_runs(runs, i, i + PIECE).tolist()
+        at = m.end()
+    yield from _plain(text, at, b)
+
+
+def _plain(text: str, a: int, b: int) -> Iterator[tuple[str, list]]:
+    for i in range(a, b, PIECE):
+        yield text[i : min(b, i + PIECE)], [(0, i, 0, 1, 1)]
+
+
+def _pieces(tokens: Iterator[tuple[str, list]]) -> Iterator[tuple[str, np.ndarray]]:
+    """Texts and runs of about `PIECE` characters, cut where no pattern can reach across; at least one."""
+    held: list[str] = []
+    rows: list[tuple[int, ...]] = []
+    size, any_cut = 0, False
+
+    def add(text: str, own: list) -> None:
+        nonlocal size
+        held.append(text)
+        rows.extend((at + size, src, off, p, q) for at, src, off, p, q in own)
+        size += len(text)
+
+    def whole() -> tuple[str, np.ndarray]:
+        return "".join(held), np.array(rows or [(0, 0, 0, 1, 1)], _RUN)
+
+    for text, own in tokens:
+        if size + len(text) >= PIECE and (cut := _UP_TO_CUT.match(text)):
+            runs, at = np.array(own, _RUN), cut.end()
+            add(text[:at], _cut_runs(runs, 0, at).tolist())
+            yield whole()
+            held, rows, size, any_cut = [], [], 0, True
+            if at == len(text):
+                continue
+            text, own = text[at:], _cut_runs(runs, at, len(text)).tolist()
+        add(text, own)
+    if held or not any_cut:
+        yield whole()
 
 
 def _url(escape: str, at: int):
-    data = bytes.fromhex(escape.replace("%", ""))
-    return _utf8_ranges(data, [(at + 3 * i, at + 3 * i + 3) for i in range(len(data))])
+    return _utf8_runs(bytes.fromhex(escape.replace("%", "")), at, 3, 1)
 
 
 def _unicode(escape: str, at: int):
-    text, ranges = [], []
+    text, rows = [], []
     for m in _ONE_ESCAPE.finditer(escape):
         code = int(next(g for g in m.groups() if g), 16)
         if code > 0x10FFFF:
             return None
         if 0xDC00 <= code <= 0xDFFF and text and 0xD800 <= ord(text[-1]) <= 0xDBFF:  # the second half of a pair
             text[-1] = chr(0x10000 + ((ord(text[-1]) - 0xD800) << 10) + code - 0xDC00)
-            ranges[-1] = (ranges[-1][0], at + m.end())
-        else:
-            text.append(chr(code))
-            ranges.append((at + m.start(), at + m.end()))
-    return "".join(text), ranges
+            if rows[-1][0] == len(text) - 1:
+                rows[-1][3] += m.end() - m.start()
+            else:
+                before = rows[-1][1] + rows[-1][3] * (len(text) - 1 - rows[-1][0])
+                rows.append([len(text) - 1, before, 0, at + m.end() - before, 1])
+            continue
+        width = m.end() - m.start()
+        if not rows or rows[-1][3] != width or rows[-1][1] + width * (len(text) - rows[-1][0]) != at + m.start():
+            rows.append([len(text), at + m.start(), 0, width, 1])
+        text.append(chr(code))
+    return "".join(text), np.array(rows, _RUN)
 
 
 def _decompressor(data: bytes):
@@ -242,12 +322,12 @@ def _compressed(layer: Layer, data: bytes, a: int, b: int) -> Iterator[Layer]:
     return not broken
 
 
-def _from_base64(layer: Layer, run: str, places: list[int] | range) -> Iterator[Layer]:
-    """Layers of one run; `places`: where its characters are in the layer."""
+def _from_base64(layer: Layer, run: str, place: int) -> Iterator[Layer]:
+    """Layers of one run; `place`: where it begins in the layer."""
     plain = run.translate(_URL_SAFE) if "-" in run or "_" in run else run
     plain = plain.rstrip("=")
     for off in range(4):  # the run may begin with characters that are not part of it
-        body = plain[off:]
+        body = plain[off:] if off else plain
         extra = len(body) % 4
         if extra == 1:
             body = body[:-1]
@@ -257,24 +337,16 @@ def _from_base64(layer: Layer, run: str, places: list[int] | range) -> Iterator[
             continue
         if len(data) < 8:
             return
-        if (yield from _compressed(layer, data, places[off], places[off + len(body) - 1] + 1)):
+        if (yield from _compressed(layer, data, place + off, place + off + len(body))):
             return
         if _CONTROL.search(data):
             continue
-        found = _utf8_ranges(data, [(places[off + 8 * i // 6], places[off + (8 * i + 7) // 6] + 1) for i in range(len(data))]) if _utf8(data) else None
+        found = _utf8_runs(data, place + off, 4, 3)
         if found is not None:
             yield layer.child(*found)
             return
 
 
-def _utf8(data: bytes) -> bool:
-    try:
-        data.decode()
-    except UnicodeDecodeError:
-        return False
-    return True
-
-
 def decoded_layers(layer: Layer) -> Iterator[Layer]:
     """The layers one step below this one."""
     text = layer.text
@@ -283,16 +355,21 @@ def decoded_layers(layer: Layer) -> Iterator[Layer]:
     if "\\" in text:
         yield from _unescaped(layer, _UNICODE_ESCAPE, _unicode)
     for m in _BASE64.finditer(text):
-        run, places, any_found = m.group(), range(m.start(), m.end()), False
+        run, any_found = m.group(), False
         for at in dict.fromkeys((0, run.find("/") + 1, run.rfind("/") + 1)):  # data may follow a path
             if len(run) - at >= 16 and not any_found:
-                for below in _from_base64(layer, run[at:], places[at:]):
+                for below in _from_base64(layer, run[at:], m.start() + at):
                     any_found = True
                     yield below
     if len(text) > 64 and "\n" in text:
         for m in _WRAPPED.finditer(text):
-            places = [i for i in range(m.start(), m.end()) if text[i] not in "\r\n"]
-            yield from _from_base64(layer, "".join(text[i] for i in places), places)
+            lines, rows, n = [], [], 0
+            for line in _LINE.finditer(text, m.start(), m.end()):
+                lines.append(line.group())
+                rows.append((n, line.start(), 0, 1, 1))
+                n += len(lines[-1])
+            joined = layer.child("".join(lines), np.array(rows, _RUN))
+            yield from _from_base64(joined, joined.text, 0)
 
 
 def scan(text: str) -> tuple[list[tuple[int, str, int]], list[tuple[int, str, int]], int]:
