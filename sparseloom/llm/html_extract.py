@@ -1,16 +1,19 @@
 """Main text of web pages from parser events, text-to-tag ratios and clustering.
 
 The standard library's streaming parser turns a page into blocks of text (one per block-level
-element or break). Text inside elements that can't be content by their role (scripts, styles, menus,
-headers and footers of the page, sidebars, forms, adverts, notices, reader comments; by
-element name, ARIA role, or words of class and id) is set aside as it streams by. For the remaining
-blocks, each a "line" of the page, the ratio of text to tags is taken, smoothed by a Gaussian
-along the page, and cut by a threshold between two clusters of lines; regions above it are
-content.
-
-Where the page itself marks its main part (`main`, `article`, or the ARIA role or schema
-property for them), the cut applies to choosing among such parts rather than among their blocks:
-an article's short headings and closing lines are content even where their own ratio is low.
+element or break) and remembers the elements around each. Preparation takes out what can't be content by
+its role: scripts, styles, hidden parts, menus, footers, sidebars and dialogs by element name, and parts that a form, an
+ARIA role, or a word of class or id makes suspect (adverts, notices, reader comments, related matter and so on).
+A suspicion is only a prior: an element that holds the page's marked main part, or nearly all of its text, is not taken out.
+
+What is content is then decided by the text-to-tag ratio: of each remaining block, a "line" of the page, the ratio of text outside
+links to tags is taken, smoothed by a Gaussian along the page, and cut by a threshold between two clusters. The text in the
+high cluster is the mass that regions are chosen by. From the page's root the choice descends into the element that holds
+most of the mass, as long as one does; where it ends is the content region. Marks (`main`, `article`, and the ARIA role or schema
+property for them) are one more input: the descent ends at a marked article, and goes on from another
+element to the marked parts below it only if these hold most of its mass. All blocks of a region of its own are content, so that
+an article's short headings and closing lines stay; where no element stands out, blocks are kept one by one, by the
+ratio alone.
 
 Defined results: null and empty pages, and pages without text, give an empty text; broken markup is read as
 the parser reads it (unclosed and stray tags end at the next block or at their container's end);
@@ -21,7 +24,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 from html.parser import HTMLParser
 
 import numpy as np
@@ -34,7 +37,7 @@ from .common import map_batches
 # Element names of HTML.
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 _RAW = frozenset("script style noscript template iframe object svg math canvas audio video textarea select option datalist title".split())
-_ROLE_ELEMENTS = frozenset("nav aside footer form button dialog menu".split())
+_ROLE_ELEMENTS = frozenset("nav aside footer button dialog menu".split())
 _BLOCK = frozenset(
     "address article aside blockquote body br caption center dd details dialog dir div dl dt fieldset figcaption figure "
     "footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol optgroup option p pre search section "
@@ -55,6 +58,14 @@ _MAIN_NAMES = frozenset(["main", "article"])
 #: In the class of an `article` element: words of the article itself, and words of other matter.
 _MAIN_WORDS = frozenset("article post entry hentry story main".split())
 _READER_WORDS = frozenset("ad ads advert promo sponsored comment comments reply replies related recommended widget sidebar".split())
+#: Words that name a part's matter. Others, such as sidebar or menu, may also tell how the element around everything is laid out.
+_MATTER_WORDS = frozenset(
+    "ad ads adv advert adverts advertisement advertising sponsor sponsored promo promotion cookie cookies consent gdpr notice notices popup "
+    "newsletter subscribe subscription signup login paywall comment comments disqus respond replies related recommended recommendations copyright disclaimer".split()
+)
+_TEXT_ELEMENTS = frozenset("p h1 h2 h3 h4 h5 h6 li dd dt pre blockquote td th figcaption caption summary legend address".split())
+#: Shares of text or mass from which an element counts as the one that holds it.
+NEARLY_ALL, MOST = 0.9, 0.75
 _SPACE = re.compile(r"\s+")
 
 
@@ -63,41 +74,47 @@ def _words(value: str | None) -> set[str]:
 
 
 @dataclass
-class Block:
-    """A line of the page: its text, the tags it was made with, and whose part it is."""
+class Element:
+    """An element around blocks. `suspect`: a prior that it is beside the content; `matter`: by what it is about."""
 
-    text: str
-    tags: int
-    links: int  # characters inside links
-    main: int  # number of the marked main part that it is in, or 0
+    tag: str
+    above: int
+    out: bool = False  # never shown: it, or an element around it
+    suspect: bool = False
+    matter: bool = False
+    marked: str = ""  # "main" or "article"
+    chars: int = 0
+    blocks: int = 0
+    mass: float = 0.0
 
 
 @dataclass
-class _Open:
-    name: str
-    aside: bool
-    main: int
+class Block:
+    """A line of the page: its text, characters of it inside links, the tags it was made with, and the element it is in."""
+
+    text: str
+    tags: int
+    links: int
+    element: int
+    pieces: list[tuple[int, str, bool]] = field(default_factory=list)  # element, text, whether inside a link
 
 
 class _Events(HTMLParser):
-    """Parser events to blocks; keeps only the open elements and the open block."""
+    """Parser events to elements and blocks. Text that is never shown is passed over as it streams by."""
 
     def __init__(self) -> None:
         super().__init__(convert_charrefs=True)
+        self.elements = [Element("", 0)]
         self.blocks: list[Block] = []
-        self.open: list[_Open] = []
-        self.text: list[str] = []
-        self.tags = self.links = self.linked = self.mains = 0
-        self.aside = 0  # open elements that are set aside
-        self.raw: str | None = None  # the open element whose text is never shown
+        self.open: list[int] = []
+        self.pieces: list[tuple[int, str, bool]] = []
+        self.tags = self.linked = 0
 
     def _end_block(self) -> None:
-        if self.text:
-            text = _SPACE.sub(" ", "".join(self.text)).strip()
-            if text:
-                self.blocks.append(Block(text, self.tags, self.links, self.open[-1].main if self.open else 0))
-            self.text = []
-        self.tags = self.links = 0
+        if self.pieces:
+            self.blocks.append(Block("", self.tags, 0, self.open[-1] if self.open else 0, self.pieces))
+            self.pieces = []
+        self.tags = 0
 
     def handle_starttag(self, tag: str, attrs: list[tuple[str, str | None]]) -> None:
         if tag in _BLOCK:
@@ -109,25 +126,33 @@ class _Events(HTMLParser):
         self.tags += 1
         if tag in _VOID:
             return
-        of = dict(attrs)
-        above = self.open[-1] if self.open else _Open("", False, 0)
-        aside = tag in _RAW or tag in _ROLE_ELEMENTS or (of.get("role") or "").lower() in _ROLES
-        aside = aside or "hidden" in of or (of.get("aria-hidden") or "").lower() == "true" or "display:none" in (of.get("style") or "").replace(" ", "").lower()
-        names = _words(of.get("class")) | _words(of.get("id"))
-        main = above.main
-        if not aside and tag not in ("html", "body"):
-            marked = tag in _MAIN_NAMES or (of.get("role") or "").lower() in ("main", "article") or "articleBody" in (of.get("itemprop") or "")
-            if names & _ASIDE_WORDS and not (marked and (names & _MAIN_WORDS or not names & _READER_WORDS)):
-                aside = True
-            if marked and not aside and not above.main:
-                self.mains += 1
-                main = self.mains
-            if tag == "header" and not main:
-                aside = True
-        self.open.append(_Open(tag, aside, main))
-        self.aside += aside
+        above = self.open[-1] if self.open else 0
+        self.elements.append(self._element(tag, dict(attrs), above))
+        self.open.append(len(self.elements) - 1)
         self.linked += tag == "a"
 
+    def _element(self, tag: str, of: dict[str, str | None], above: int) -> Element:
+        role = (of.get("role") or "").lower()
+        hidden = "hidden" in of or (of.get("aria-hidden") or "").lower() == "true" or "display:none" in (of.get("style") or "").replace(" ", "").lower()
+        found = Element(tag, above, self.elements[above].out or hidden or tag in _RAW or tag in _ROLE_ELEMENTS)
+        if found.out or tag in ("html", "body"):
+            return found
+        names = _words(of.get("class")) | _words(of.get("id"))
+        marked = tag in _MAIN_NAMES or role in _MAIN_NAMES or "articleBody" in (of.get("itemprop") or "")
+        if names & _ASIDE_WORDS and not (marked and (names & _MAIN_WORDS or not names & _READER_WORDS)):
+            found.suspect, found.matter = True, bool(names & _MATTER_WORDS)
+        elif marked:
+            found.marked = "main" if "main" in (tag, role) else "article"
+        found.suspect |= tag == "form" or role in _ROLES or tag == "header" and not self._inside_marked(above)
+        return found
+
+    def _inside_marked(self, at: int) -> bool:
+        while at:
+            if self.elements[at].marked:
+                return True
+            at = self.elements[at].above
+        return False
+
     def handle_endtag(self, tag: str) -> None:
         self.tags += 1
         if tag in _BLOCK:
@@ -138,27 +163,62 @@ class _Events(HTMLParser):
     def _close_open(self, name: str, within: frozenset[str]) -> None:
         """Close the nearest open `name` and what is open inside it; an element of `within` shields it."""
         for k in range(len(self.open) - 1, -1, -1):
-            if self.open[k].name == name:
+            tag = self.elements[self.open[k]].tag
+            if tag == name:
                 if name in _BLOCK:
                     self._end_block()
-                for gone in self.open[k:]:
-                    self.aside -= gone.aside
-                    self.linked -= gone.name == "a"
+                self.linked -= sum(self.elements[e].tag == "a" for e in self.open[k:])
                 del self.open[k:]
                 return
-            if self.open[k].name in within:
+            if tag in within:
                 return
 
     def handle_data(self, data: str) -> None:
-        if not self.aside:
-            self.text.append(data)
-            if self.linked:
-                self.links += len(data)
+        at = self.open[-1] if self.open else 0
+        if not self.elements[at].out:
+            self.pieces.append((at, data, self.linked > 0))
 
-    def finish(self) -> list[Block]:
+    def finish(self) -> tuple[list[Element], list[Block]]:
         self.close()
         self._end_block()
-        return self.blocks
+        return self.elements, self.blocks
+
+
+def _around(elements: list[Element], at: int) -> Iterator[int]:
+    """The element and all around it, up to the root."""
+    while at:
+        yield at
+        at = elements[at].above
+    yield 0
+
+
+def set_aside(elements: list[Element], blocks: list[Block]) -> list[Block]:
+    """Blocks without what suspect elements hold, except those that hold the marked main part or nearly everything."""
+    marked_chars = [0] * len(elements)  # text inside a marked part below, or at, the element
+    for b in blocks:
+        for at, text, _ in b.pieces:
+            n, inside = len(text.strip()), False
+            for e in _around(elements, at):
+                elements[e].chars += n
+                marked_chars[e] += n * inside
+                inside |= bool(elements[e].marked)
+        for e in _around(elements, b.element):
+            elements[e].blocks += 1
+    everything = elements[0].chars
+    gone = [False] * len(elements)
+    for k, e in enumerate(elements):
+        if e.suspect:
+            holds_main = marked_chars[k] and marked_chars[k] * 2 >= e.chars and marked_chars[k] * 2 >= marked_chars[0] and not e.matter
+            lays_out = e.blocks > 1 and e.chars >= NEARLY_ALL * everything and not e.matter and marked_chars[k] == marked_chars[0]
+            gone[k] = not (holds_main or lays_out)
+        gone[k] |= bool(k) and gone[e.above]
+    out = []
+    for b in blocks:
+        kept = [(t, inside) for at, t, inside in b.pieces if not gone[at]]
+        text = _SPACE.sub(" ", "".join(t for t, _ in kept)).strip()
+        if text:
+            out.append(Block(text, b.tags, sum(len(t) for t, inside in kept if inside), b.element))
+    return out
 
 
 def text_to_tag(blocks: list[Block]) -> np.ndarray:
@@ -191,28 +251,54 @@ def two_clusters(values: np.ndarray) -> float:
     return (low + high) / 2
 
 
+def content_region(elements: list[Element], blocks: list[Block], high: np.ndarray) -> list[int]:
+    """Elements whose blocks are the content, by the mass of the high cluster; the root alone if none stands out."""
+    below: list[list[int]] = [[] for _ in elements]
+    for e in elements:
+        e.mass = e.blocks = 0
+    for b, counts in zip(blocks, high):
+        for e in _around(elements, b.element):
+            elements[e].mass += len(b.text) * bool(counts)
+            elements[e].blocks += 1
+    for k, e in enumerate(elements[1:], 1):
+        if e.mass:
+            below[e.above].append(k)
+    at = 0
+    while elements[at].marked != "article":
+        best = max(below[at], key=lambda k: elements[k].mass, default=0)
+        if not best or elements[best].mass < MOST * elements[at].mass:
+            break
+        if elements[best].tag in _TEXT_ELEMENTS or elements[best].blocks < 2 and not elements[best].marked:
+            break
+        if elements[at].marked and not elements[best].marked:
+            break  # the rest of a marked part belongs to it
+        at = best
+    if elements[at].marked:
+        return [at]
+    marked = [k for k, e in enumerate(elements) if e.marked and e.mass and at in _around(elements, k) and not any(elements[x].marked for x in _around(elements, e.above))]
+    if marked and sum(elements[k].mass for k in marked) >= elements[at].mass / 2:
+        most = max(elements[k].mass for k in marked)
+        return [k for k in marked if elements[k].mass * 4 >= most]
+    return [at]
+
+
 def main_text(html: str, sigma: float = 1.0) -> str:
     """The page's main text: content blocks in order, joined by one space."""
     events = _Events()
     events.feed(html)
-    blocks = events.finish()
+    elements, blocks = events.finish()
+    blocks = set_aside(elements, blocks)
     if not blocks:
         return ""
     ratio = smooth(text_to_tag(blocks), sigma)
-    parts = {b.main for b in blocks} - {0}
-    if parts:
-        # of several marked parts (a list of teasers beside the article), those in the high cluster
-        of = np.array([b.main for b in blocks])
-        size = {p: sum(len(b.text) - b.links for b in blocks if b.main == p) for p in parts}
-        best = max(size.values())
-        chosen = {p for p in parts if size[p] * 4 >= best or ratio[of == p].mean() > two_clusters(ratio)}
-        return " ".join(b.text for b in blocks if b.main in chosen)
-    if len(blocks) == 1 or float(ratio.max() - ratio.min()) < 1e-9:
-        return " ".join(b.text for b in blocks)
-    # threshold clustering: half of the clusters' midpoint keeps short paragraphs within a content region
-    cut = two_clusters(ratio) / 2
-    keep = ratio > cut
-    return " ".join(b.text for b, k in zip(blocks, keep) if k)
+    # half of the clusters' midpoint keeps short paragraphs within a content region
+    high = ratio > two_clusters(ratio) / 2 if float(ratio.max() - ratio.min()) > 1e-9 else np.ones(len(blocks), bool)
+    region = content_region(elements, blocks, high)
+    if region == [0] or elements[region[0]].tag in ("html", "body"):
+        return " ".join(b.text for b, counts in zip(blocks, high) if counts)
+    inside = set(region)
+    mostly_links = lambda b: b.links * 2 > len(b.text) and not any(elements[k].marked for k in region)
+    return " ".join(b.text for b in blocks if not inside.isdisjoint(_around(elements, b.element)) and not mostly_links(b))
 
 
 def extract_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
