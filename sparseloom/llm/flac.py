@@ -7,9 +7,9 @@ to 4, or a linear predictor with quantised coefficients; residuals are Rice-code
 partition. Decoding accepts these, and residuals in several partitions, both parameter widths,
 and escaped partitions.
 
-The work on samples is vectorised across frames: all frames of all streams of a batch are encoded
-and decoded side by side, one sample position (or one checksum byte) per numpy step. Frame
-headers carry CRC-8 and frames CRC-16; both are verified before samples are given out.
+The work on samples is vectorised across frames: `GROUP_FRAMES` frames, of one stream or of many, are encoded
+and decoded side by side, one sample position (or one checksum byte) per numpy step, so that working memory
+does not grow with a text. Frame headers carry CRC-8 and frames CRC-16; both are verified before samples are given out.
 
 Defined results: null and empty texts are a payload of 64 zero bytes; repeated rows each give a row;
 a null doc_id stays null; an empty table gives no rows; other columns are ignored. Damaged streams
@@ -34,7 +34,8 @@ UNIT = 64
 RATE = 8000
 LPC_ORDER = 4
 LPC_BITS = 10
-#: Bytes of payload that are encoded side by side.
+#: Frames that are worked on side by side, and bytes of payload that are held at a time (one text at least).
+GROUP_FRAMES = 8192
 GROUP_BYTES = 2_000_000
 
 
@@ -252,30 +253,28 @@ def _frame_head(number: int, n: int) -> bytes:
 
 def encode(payloads: list[bytes], block: int = BLOCK) -> list[bytes]:
     """FLAC streams of 8-bit payloads, encoded side by side. Payloads must not be empty."""
-    owner, number, first, sizes = [], [], [], []
-    for i, p in enumerate(payloads):
-        for f, a in enumerate(range(0, len(p), block)):
-            owner.append(i)
-            number.append(f)
-            first.append(a)
-            sizes.append(min(block, len(p) - a))
-    base = np.concatenate([[0], np.cumsum([len(p) for p in payloads])])
-    samples = np.frombuffer(b"".join(payloads), np.uint8).astype(np.int32) - 128
-    owner_, number_, sizes_ = np.array(owner), np.array(number), np.array(sizes)
-    start = base[owner_] + np.array(first)
-    coded: list[bytes] = [b""] * len(owner)
-    for n in np.unique(sizes_):
-        rows = np.flatnonzero(sizes_ == n)
-        data, length = _encode_frames(samples[start[rows][:, None] + np.arange(n)], number_[rows])
-        raw, cut = data.tobytes(), np.concatenate([[0], np.cumsum(length)])
-        for r, a, b in zip(rows.tolist(), cut[:-1].tolist(), cut[1:].tolist()):
-            coded[r] = raw[a:b]
-    streams, at = [], 0
-    for p in payloads:
-        n = -(-len(p) // block)
-        frames = coded[at : at + n]
-        at += n
-        streams.append(_stream_head(p, frames, block) + b"".join(frames))
+    sizes = np.array([len(p) for p in payloads], np.int64)
+    counts = -(-sizes // block)
+    base, first = (np.concatenate([[0], np.cumsum(x)]) for x in (sizes, counts))
+    joined = np.frombuffer(payloads[0] if len(payloads) == 1 else b"".join(payloads), np.uint8)
+    coded: list[bytes] = [b""] * int(first[-1])
+    for low in range(0, len(coded), GROUP_FRAMES):
+        frame = np.arange(low, min(low + GROUP_FRAMES, len(coded)))
+        owner = np.searchsorted(first, frame, side="right") - 1
+        number = frame - first[owner]
+        start = base[owner] + number * block
+        length = np.minimum(block, base[owner + 1] - start)
+        for n in np.unique(length):
+            rows = np.flatnonzero(length == n)
+            samples = joined[start[rows][:, None] + np.arange(n)].astype(np.int32) - 128
+            data, each = _encode_frames(samples, number[rows])
+            raw, cut = data.tobytes(), np.concatenate([[0], np.cumsum(each)])
+            for r, a, b in zip(frame[rows].tolist(), cut[:-1].tolist(), cut[1:].tolist()):
+                coded[r] = raw[a:b]
+    streams = []
+    for p, a, b in zip(payloads, first[:-1].tolist(), first[1:].tolist()):
+        streams.append(b"".join([_stream_head(p, coded[a:b], block), *coded[a:b]]))
+        coded[a:b] = [b""] * (b - a)
     return streams
 
 
@@ -372,8 +371,8 @@ def _frame_starts(stream: bytes, meta: dict, at: int) -> np.ndarray:
 
 
 def decode(streams: list[bytes], verify: bool = True) -> list[np.ndarray]:
-    """Samples of mono streams, decoded side by side; checksums and MD5 verified."""
-    metas, starts, owner, ends = [], [], [], []
+    """Samples (16-bit integers) of mono streams, decoded side by side; checksums and MD5 verified."""
+    metas, starts, ends = [], [], []
     base = np.concatenate([[0], np.cumsum([len(s) for s in streams])])
     for i, s in enumerate(streams):
         meta, at = read_metadata(s)
@@ -383,18 +382,22 @@ def decode(streams: list[bytes], verify: bool = True) -> list[np.ndarray]:
         found = base[i] + _frame_starts(s, meta, at)
         starts.append(found)
         ends.append(np.append(found[1:], base[i + 1]))
-        owner.append(np.full(len(found), i))
-    data = np.frombuffer(b"".join(streams), np.uint8)
-    begin, end, owner_ = (np.concatenate(x).astype(np.int64) for x in (starts, ends, owner))
-    samples, sizes, sample_at = decode_frames(data, begin, end, verify)
-    out = []
-    counts = np.bincount(owner_, sizes, len(streams)).astype(np.int64)
-    cut = np.concatenate([[0], np.cumsum(counts)])
-    for i, meta in enumerate(metas):
-        found = samples[cut[i] : cut[i + 1]]
+    data = np.frombuffer(streams[0] if len(streams) == 1 else b"".join(streams), np.uint8)
+    begin, end = (np.concatenate(x).astype(np.int64) for x in (starts, ends))
+    parts, sizes = [np.empty(0, np.int16)], [np.empty(0, np.int64)]
+    for low in range(0, len(begin), GROUP_FRAMES):
+        a, b = begin[low : low + GROUP_FRAMES], end[low : low + GROUP_FRAMES]
+        samples, n, _ = decode_frames(data[a[0] : b[-1]], a - a[0], b - a[0], verify)
+        parts.append(samples.astype(np.int16))
+        sizes.append(n)
+    samples, out = np.concatenate(parts), []
+    cut = np.concatenate([[0], np.cumsum([len(x) for x in starts])])
+    at = np.concatenate([[0], np.cumsum(np.concatenate(sizes))])[cut]
+    for meta, a, b in zip(metas, at[:-1], at[1:]):
+        found = samples[a:b]
         if len(found) != meta["samples"]:
             raise FlacError("the number of samples differs from STREAMINFO")
-        if verify and any(meta["md5"]) and hashlib.md5(found.astype(np.int8).tobytes()).digest() != meta["md5"]:
+        if verify and any(meta["md5"]) and hashlib.md5(found.astype(np.int8)).digest() != meta["md5"]:
             raise FlacError("the MD5 of the samples differs from STREAMINFO")
         out.append(found)
     return out
@@ -567,12 +570,15 @@ def encode_media(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return map_batches(texts(docs, id_col, text_col), work, "doc_id long, n_bytes long, media binary")
 
 
-def features_of(samples: np.ndarray) -> str:
-    """Peak, energy, zero crossings and mean step of the samples, as text."""
-    x = samples.astype(np.int64)
-    step = np.abs(np.diff(x)).sum() if len(x) > 1 else 0
-    crossings = int(((x[1:] ^ x[:-1]) < 0).sum())
-    return f"peak={int(np.abs(x).max(initial=0))};energy={int((x * x).sum())};crossings={crossings};steps={int(step)}"
+def features_of(samples: np.ndarray, most: int = 1 << 20) -> str:
+    """Peak, energy, zero crossings and sum of steps of the samples, as text."""
+    peak = energy = crossings = steps = 0
+    for at in range(0, len(samples), most):
+        x = samples[max(0, at - 1) : at + most].astype(np.int64)  # with the sample before, for what lies between two
+        own = x[1:] if at else x
+        peak, energy = max(peak, int(np.abs(own).max(initial=0))), energy + int((own * own).sum())
+        crossings, steps = crossings + int(((x[1:] ^ x[:-1]) < 0).sum()), steps + int(np.abs(np.diff(x)).sum())
+    return f"peak={peak};energy={energy};crossings={crossings};steps={steps}"
 
 
 def read_media(media: DataFrame) -> DataFrame:
