@@ -2,13 +2,15 @@
 
 An item (question or answer) is lower-cased (A-Z), cut into words and turned into windows of
 `window` consecutive words; an item with fewer words is one window. All windows of all items go
-into one automaton, as words joined and surrounded by single blanks. A document is normalised the
-same way and scanned once; the end of every occurrence gives, through the positions of the blanks,
-the document's word numbers, and these the offsets in the original text.
+into one automaton whose symbols are words: a word of the benchmark is a pair of characters (so that no state
+has more branches than the root of the vocabulary's size), any other word is a pair that occurs in no window.
+A document is normalised the same way and scanned once; the end of every occurrence gives the document's word
+numbers, and these the offsets in the original text.
 
-The automaton is built once per worker process from the benchmark's distinct windows, which are
-broadcast. A benchmark whose text exceeds `MAX_AUTOMATON_CHARS` is cut into blocks of that size,
-one automaton each, and the documents pass through them one after the other.
+The automaton has at most `MAX_STATES` states, which it reaches only with windows that share no beginnings. A benchmark
+with more is cut between windows into blocks of that size. The plan is the same for any number of blocks: one stage, in which every
+task takes its documents in chunks of `CHUNK_CHARS` and passes each chunk through the blocks in turn, with one automaton in memory
+at a time; a lone automaton is built once per worker process.
 
 Defined results: null and empty texts have no words and are clean; benchmark rows with null
 id or text are passed over; repeated items count once; repeated documents each give a row; an
@@ -18,7 +20,10 @@ empty benchmark leaves every document clean; other columns are ignored.
 from __future__ import annotations
 
 import hashlib
+import math
+import pickle
 import re
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -26,10 +31,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import keep_rows, map_batches, texts
+from .common import map_batches, row_schema, texts
 
 WINDOW = 10
-MAX_AUTOMATON_CHARS = 16_000_000
+#: States of one automaton (about 53 bytes each), and characters of the documents that pass through the blocks together.
+MAX_STATES = 4_000_000
+CHUNK_CHARS = 32_000_000
 
 #: Bytes that end a word are everything ASCII but digits and letters.
 _NORMAL = bytes(
@@ -43,43 +50,56 @@ def normal_words(text: str) -> list[bytes]:
     return text.encode("utf-8", "replace").translate(_NORMAL).split()
 
 
+def windows_of(text: str, window: int) -> Iterator[tuple[bytes, ...]]:
+    words = normal_words(text)
+    for at in range(max(1, len(words) - window + 1) if words else 0):
+        yield tuple(words[at : at + window])
+
+
+class _Codes(dict):
+    """Words of the benchmark by their pair of characters."""
+
+    def __missing__(self, word: bytes) -> str:
+        return "\0\0"
+
+
 class WindowAutomaton:
-    """All windows of the items, found in one scan of a document."""
+    """Windows of items, as (item, words), found in one scan of a document."""
 
-    def __init__(self, items: list[tuple[str, str]], window: int = WINDOW):
+    def __init__(self, windows: list[tuple[str, tuple[bytes, ...]]]):
         import ahocorasick
 
-        owners: dict[bytes, set[int]] = {}
-        self.items = sorted({i for i, _ in items})
-        number = {x: k for k, x in enumerate(self.items)}
-        for item, text in items:
-            words = normal_words(text)
-            for at in range(max(1, len(words) - window + 1) if words else 0):
-                owners.setdefault(b" ".join(words[at : at + window]), set()).add(number[item])
+        vocabulary = sorted({w for _, words in windows for w in words})
+        side = math.isqrt(len(vocabulary)) + 1  # the two characters of a pair come from ranges of their own
+        self.codes = _Codes((w, chr(1 + k // side) + chr(1 + side + k % side)) for k, w in enumerate(vocabulary))
+        owners: dict[str, list[str]] = {}
+        for item, words in windows:
+            owners.setdefault("".join(map(self.codes.__getitem__, words)), []).append(item)
         self.automaton = ahocorasick.Automaton()
-        for phrase, of in owners.items():
-            self.automaton.add_word(f" {phrase.decode('latin-1')} ", (len(phrase) + 1, phrase.count(b" ") + 1, tuple(of)))
+        for phrase, items in owners.items():
+            self.automaton.add_word(phrase, (len(phrase) // 2, items))
         if owners:
             self.automaton.make_automaton()
         self.empty = not owners
 
+    @property
+    def states(self) -> int:
+        return 0 if self.empty else self.automaton.get_stats()["nodes_count"]
+
     def scan(self, text: str) -> tuple[int, list[tuple[int, int]], set[str]]:
         """Number of words, hit runs of words [from, to), and the items found."""
         words = normal_words(text)
         if self.empty or not words:
             return len(words), [], set()
-        normal = f" {b' '.join(words).decode('latin-1')} "
-        found = list(self.automaton.iter(normal))
+        found = [((end + 1) // 2, n, items) for end, (n, items) in self.automaton.iter("".join(map(self.codes.__getitem__, words)))]
         if not found:
             return len(words), [], set()
-        blanks = np.flatnonzero(np.frombuffer(normal.encode("latin-1"), np.uint8) == 0x20)
-        ends = np.searchsorted(blanks, [end for end, _ in found])
         change, items = np.zeros(len(words) + 1, np.int64), set()
-        for end, (_, (_, n, of)) in zip(ends, found):
+        for end, n, of in found:
             change[end - n] += 1
             change[end] -= 1
             items.update(of)
-        return len(words), _runs(change.cumsum()[:-1] > 0), {self.items[i] for i in items}
+        return len(words), _runs(change.cumsum()[:-1] > 0), items
 
 
 def _runs(flags: np.ndarray) -> list[tuple[int, int]]:
@@ -106,23 +126,61 @@ def original_spans(text: str, runs: list[tuple[int, int]]) -> list[tuple[int, in
     return [(point(at[a][0]), point(at[b - 1][1])) for a, b in runs]
 
 
-_BUILT: dict[tuple, WindowAutomaton] = {}
-
-
-def _built(key: str, items: list[tuple[str, str]], window: int) -> WindowAutomaton:
-    if (key, window) not in _BUILT:
-        _BUILT.clear()  # one automaton in memory at a time
-        _BUILT[key, window] = WindowAutomaton(items, window)
-    return _BUILT[key, window]
-
-
-def _blocks(items: DataFrame, limit: int) -> Iterator[list[tuple[str, str]]]:
-    """The items in blocks of bounded size, split by a hash of the item."""
-    chars = items.agg(F.sum(F.length("text") + 1)).first()[0] or 0
-    n = -(-int(chars) // limit)
-    for k in range(n):
-        block = items.where(F.pmod(F.xxhash64("item_id"), F.lit(n)) == k)
-        yield [(r["item_id"], r["text"]) for r in block.sort("item_id", "text").collect()]
+_BUILT: dict[str, WindowAutomaton] = {}
+
+
+class Blocks:
+    """The benchmark's windows on their way to the workers: compressed blocks, each the size of one automaton."""
+
+    def __init__(self, items: DataFrame, window: int, max_states: int):
+        sc = items.sparkSession.sparkContext
+        self.sent = []
+        for block in _cut(items, window, max_states):
+            raw = zlib.compress(pickle.dumps(block), 1)
+            self.sent.append((hashlib.sha256(raw).hexdigest(), sc.broadcast(raw)))
+
+    def scan(self, bodies: list[str]) -> list[tuple[int, list[tuple[int, int]], list[str]]]:
+        """Number of words, hit runs and sorted items of each text."""
+        out = [(0, [], [])] * len(bodies)
+        for turn, (key, sent) in enumerate(self.sent or [("", None)]):
+            if key not in _BUILT:
+                _BUILT.clear()  # one automaton in memory at a time
+                _BUILT[key] = WindowAutomaton(pickle.loads(zlib.decompress(sent.value)) if sent else [])
+            for k, body in enumerate(bodies):
+                n, runs, items = _BUILT[key].scan(body)
+                if not turn:
+                    out[k] = n, runs, sorted(items)
+                elif runs:
+                    out[k] = n, _joined([*out[k][1], *runs]), sorted({*out[k][2], *items})
+        return out
+
+
+def _cut(items: DataFrame, window: int, max_states: int) -> Iterator[list[tuple[str, tuple[bytes, ...]]]]:
+    """Windows in blocks whose symbols, and so their states, are at most `max_states`; the driver holds one block at a time."""
+    block: list[tuple[str, tuple[bytes, ...]]] = []
+    symbols = 1
+    for row in items.sort("item_id", "text").toLocalIterator():
+        for words in windows_of(row["text"], window):
+            if block and symbols + 2 * len(words) > max_states:
+                yield block
+                block, symbols = [], 1
+            block.append((row["item_id"], words))
+            symbols += 2 * len(words)
+    if block:
+        yield block
+
+
+def _chunks(batches: Iterator[pa.RecordBatch], column: int) -> Iterator[pa.RecordBatch]:
+    """The rows again, with about `CHUNK_CHARS` of text at a time."""
+    held, size = [], 0
+    for batch in batches:
+        held.append(batch)
+        size += batch.column(column).nbytes
+        if size >= CHUNK_CHARS:
+            yield pa.concat_batches(held)
+            held, size = [], 0
+    if held:
+        yield pa.concat_batches(held)
 
 
 def _items(benchmark: DataFrame, item_col: str, text_col: str) -> DataFrame:
@@ -130,67 +188,42 @@ def _items(benchmark: DataFrame, item_col: str, text_col: str) -> DataFrame:
     return named.where("item_id IS NOT NULL AND text IS NOT NULL").distinct()
 
 
+_SPAN = pa.list_(pa.struct([("from", pa.int64()), ("to", pa.int64())]))
+
+
 def find_contamination(
     docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text",
-    item_col: str = "item_id", item_text_col: str = "text", max_automaton_chars: int = MAX_AUTOMATON_CHARS,
+    item_col: str = "item_id", item_text_col: str = "text", max_states: int = MAX_STATES,
 ) -> DataFrame:
-    """doc_id, n_words, n_hit, items (sorted array), spans (array of from/to offsets in the text)."""
-    blocks = _blocks(_items(benchmark, item_col, item_text_col), max_automaton_chars)
-    carried = "doc_id long, text string, n_words long, runs array<long>, items array<string>"
-    frame = texts(docs, id_col, text_col).select(
-        "doc_id", "text", F.lit(0).cast("long").alias("n_words"), F.array().cast("array<long>").alias("runs"),
-        F.array().cast("array<string>").alias("items"),
-    )
-    block = next(blocks, [])  # the driver holds two blocks at most
-    while (following := next(blocks, None)) is not None:
-        frame, block = _scan(frame, block, window, last=False, schema=carried), following
-    frame = _scan(frame, block, window, last=True, schema=carried)
-    return frame.withColumn("n_items", F.size("items").cast("long"))
-
-
-def _scan(frame: DataFrame, items: list[tuple[str, str]], window: int, last: bool, schema: str) -> DataFrame:
-    sent = frame.sparkSession.sparkContext.broadcast(items)
-    key = hashlib.sha256(repr(items).encode()).hexdigest()
-    span = pa.list_(pa.struct([("from", pa.int64()), ("to", pa.int64())]))
+    """doc_id, n_words, n_hit, items (sorted array), spans (array of from/to offsets in the text), n_items."""
+    blocks = Blocks(_items(benchmark, item_col, item_text_col), window, max_states)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        automaton = _built(key, sent.value, window)
-        for batch in batches:
-            names = ["doc_id", "n_words", "n_hit", "items", "spans"] if last else batch.schema.names
-            rows = []
-            for doc, text, _, runs, found in zip(*(c.to_pylist() for c in batch.columns)):
-                n, new, items = automaton.scan(text)
-                if runs or new:
-                    new = _joined([*zip(runs[::2], runs[1::2]), *new])
-                    found = sorted({*found, *items})
-                if last:
-                    spans = original_spans(text, new) if new else []
-                    rows.append((doc, n, sum(b - a for a, b in new), found, [{"from": a, "to": b} for a, b in spans]))
-                else:
-                    rows.append((doc, text, n, [x for run in new for x in run], found))
-            kinds = (
-                [pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.string()), span] if last
-                else [pa.int64(), pa.string(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.string())]
-            )
-            columns = zip(*rows) if rows else [()] * len(kinds)
-            yield pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(columns, kinds)], names)
-
-    out = "doc_id long, n_words long, n_hit long, items array<string>, spans array<struct<`from`: long, `to`: long>>"
-    return map_batches(frame, work, out if last else schema)
+        for batch in _chunks(batches, 1):
+            bodies = batch.column(1).to_pylist()
+            found = blocks.scan(bodies)
+            spans = [[{"from": a, "to": b} for a, b in original_spans(text, runs)] if runs else [] for text, (_, runs, _) in zip(bodies, found)]
+            columns = [
+                batch.column(0), pa.array([n for n, _, _ in found], pa.int64()), pa.array([sum(b - a for a, b in runs) for _, runs, _ in found], pa.int64()),
+                pa.array([items for _, _, items in found], pa.list_(pa.string())), pa.array(spans, _SPAN), pa.array([len(items) for _, _, items in found], pa.int64()),
+            ]
+            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "n_words", "n_hit", "items", "spans", "n_items"])
+
+    schema = "doc_id long, n_words long, n_hit long, items array<string>, spans array<struct<`from`: long, `to`: long>>, n_items long"
+    return map_batches(texts(docs, id_col, text_col), work, schema)
 
 
 def keep_clean(
     docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, text_col: str = "text", item_col: str = "item_id",
-    item_text_col: str = "text", max_automaton_chars: int = MAX_AUTOMATON_CHARS,
+    item_text_col: str = "text", max_states: int = MAX_STATES,
 ) -> DataFrame:
     """The rows, with all their columns, in whose texts no benchmark window occurs."""
-    for block in _blocks(_items(benchmark, item_col, item_text_col), max_automaton_chars):
-        sent = docs.sparkSession.sparkContext.broadcast(block)
-        key = hashlib.sha256(repr(block).encode()).hexdigest()
+    blocks = Blocks(_items(benchmark, item_col, item_text_col), window, max_states)
+    at = docs.columns.index(text_col)
 
-        def keep(bodies: list[str], sent=sent, key=key) -> list[bool]:
-            automaton = _built(key, sent.value, window)
-            return [not automaton.scan(x)[1] for x in bodies]
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in _chunks(batches, at):
+            found = blocks.scan([x or "" for x in batch.column(at).to_pylist()])
+            yield batch.filter(pa.array([not runs for _, runs, _ in found], pa.bool_()))
 
-        docs = keep_rows(docs, text_col, keep)
-    return docs
+    return map_batches(docs, work, row_schema(docs))
