@@ -13,9 +13,10 @@ resolved as "unvalidated". Of a revisit's headers only those that a 304 answer m
 the stored ones; all others, such as the content's length and type, stay as they were stored.
 
 Defined results: a response at the same instant as the revisit is not earlier; of responses at one
-instant the one with the largest record id counts; revisits with a null or empty URL, a null time or without an
-earlier response are "missing"; repeated revisit rows each give a row; an empty table gives no rows;
-other columns are ignored.
+instant the one with the largest record id counts, then the one with the largest validators, then the largest payload;
+revisits with a null or empty URL, a null time or without an earlier response are "missing". Every revisit row gives a row
+of its own, repeated rows and rows with a null or shared record id too, and responses without a record id count like others;
+an empty table gives no rows; other columns are ignored. Pages without an id stand for no records.
 """
 
 from __future__ import annotations
@@ -90,45 +91,62 @@ def resolve_revisits(records: DataFrame, slices: int = SLICES) -> DataFrame:
     placed = visits.where(usable)
     outside = visits.where(f"NOT ({usable})")
 
-    # thin rows for the as-of join: no headers, no payload
-    thin_full = full.select("key", "ts", F.lit(1).alias("is_full"), "record_id", F.struct(F.col("record_id").alias("id"), "ts", "etag", "last_modified", "digest").alias("base"), F.lit(None).cast("struct<etag:string,last_modified:string,digest:string>").alias("visit"))
-    thin_visit = placed.select("key", "ts", F.lit(0).alias("is_full"), "record_id", F.lit(None).cast(thin_full.schema["base"].dataType).alias("base"), F.struct("etag", "last_modified", "digest").alias("visit"))
+    # thin rows for the as-of join: no payload, headers of revisits only; a base sorts by its time, then its id
+    base_type = "struct<ts:long,id:long,etag:string,last_modified:string,digest:string>"
+    validators = ["etag", "last_modified", "digest"]
+    nothing = lambda t: F.lit(None).cast(t)
+    thin_full = full.select(
+        "key", "ts", F.lit(1).alias("is_full"), F.struct("ts", F.col("record_id").alias("id"), *validators).alias("base"),
+        nothing("struct<record_id:long,etag:string,last_modified:string,digest:string,headers:map<string,string>>").alias("visit"),
+    )
+    thin_visit = placed.select("key", "ts", F.lit(0).alias("is_full"), nothing(base_type).alias("base"), F.struct("record_id", *validators, "headers").alias("visit"))
     rows = thin_full.unionByName(thin_visit)
     shares = [k / slices for k in range(1, slices)]
     cuts = sorted(set(rows.agg(F.percentile_approx("ts", shares, 2 * slices)).first()[0] or [])) if shares else []
-    at = F.size(F.filter(F.array(*map(F.lit, cuts)).cast("array<long>"), lambda c: c <= F.col("ts"))) if cuts else F.lit(0)
-    rows = rows.withColumn("slice", at)
+    rows = rows.withColumn("slice", _slice_of(F.col("ts"), cuts))
 
-    order = [F.col("ts"), F.col("is_full"), F.col("record_id")]
-    within = Window.partitionBy("key", "slice").orderBy(*order).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    lasts = rows.where("is_full = 1").groupBy("key", "slice").agg(F.max_by("base", F.struct("ts", "record_id")).alias("last"))
+    within = Window.partitionBy("key", "slice").orderBy("ts", "is_full", "base").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    lasts = rows.where("is_full = 1").groupBy("key", "slice").agg(F.max("base").alias("last"))
     # carry the last response of each slice to the slices that hold revisits
-    wanted = rows.where("is_full = 0").select("key", "slice").distinct().withColumn("last", F.lit(None).cast(thin_full.schema["base"].dataType))
+    wanted = rows.where("is_full = 0").select("key", "slice").distinct().withColumn("last", nothing(base_type))
     marks = lasts.withColumn("ask", F.lit(0)).unionByName(wanted.withColumn("ask", F.lit(1)))
     # within one slice number the question comes before the slice's own answer
     earlier = Window.partitionBy("key").orderBy("slice", F.desc("ask")).rowsBetween(Window.unboundedPreceding, -1)
     carried = marks.withColumn("carried", F.last("last", ignorenulls=True).over(earlier)).where("ask = 1").select("key", "slice", "carried")
-    found = (
+    answered = (
         rows.withColumn("near", F.last("base", ignorenulls=True).over(within)).where("is_full = 0")
         .join(carried, ["key", "slice"], "left")
         .withColumn("base", F.coalesce("near", "carried"))
         .withColumn("outcome", F.when(F.col("base").isNull(), "missing").otherwise(agreement(F.col("visit"), F.col("base"))))
-        .select("record_id", F.col("base.id").alias("base_id"), F.col("base.ts").alias("base_ts"), "outcome")
+        .select("visit.record_id", "key", "ts", F.col("visit.headers").alias("update"), "base", "outcome")
     )
-    found = found.dropDuplicates(["record_id"])  # repeated rows get the same base; they come back in the join below
-    answered = placed.select("record_id", "key", "ts", F.col("headers").alias("update")).join(found, "record_id")
     stands = F.col("outcome").isin("resolved", "unvalidated")
-    content = full.select(F.col("record_id").alias("base_id"), F.col("headers").alias("stored"), "payload").dropDuplicates(["base_id"])
-    with_base = answered.where(stands).join(content, "base_id")
-    without = answered.where(~stands).withColumn("stored", F.lit(None).cast("map<string,string>")).withColumn("payload", F.lit(None).cast("string"))
+    stored = full.groupBy("key", F.struct("ts", F.col("record_id").alias("id"), *validators).alias("base"))
+    stored = stored.agg(F.max_by(F.struct(F.col("headers").alias("stored"), "payload"), F.coalesce("payload", F.lit(""))).alias("content"))
+    stored = stored.select(F.col("key").alias("own_key"), F.col("base").alias("own_base"), "content.stored", "content.payload")
+    same = F.col("key") == F.col("own_key")
+    for c in ("ts", "id", *validators):
+        same &= F.col(f"base.{c}").eqNullSafe(F.col(f"own_base.{c}"))
+    with_base = answered.where(stands).join(stored, same).drop("own_key", "own_base")
+    without = answered.where(~stands).withColumns({"stored": nothing("map<string,string>"), "payload": nothing("string")})
     no_place = outside.select(
-        "record_id", "key", "ts", F.col("headers").alias("update"), F.lit(None).cast("long").alias("base_id"),
-        F.lit(None).cast("long").alias("base_ts"), F.lit("missing").alias("outcome"),
-        F.lit(None).cast("map<string,string>").alias("stored"), F.lit(None).cast("string").alias("payload"),
+        "record_id", "key", "ts", F.col("headers").alias("update"), nothing(base_type).alias("base"), F.lit("missing").alias("outcome"),
+        nothing("map<string,string>").alias("stored"), nothing("string").alias("payload"),
     )
     whole = with_base.unionByName(without).unionByName(no_place)
-    headers = F.when(F.col("stored").isNotNull(), merged_headers(F.col("stored"), F.col("update")))
-    return whole.select("record_id", "key", "ts", "base_id", "base_ts", "outcome", headers.alias("headers"), "payload")
+    headers = F.when(F.col("outcome").isin("resolved", "unvalidated"), merged_headers(F.col("stored"), F.col("update")))
+    return whole.select("record_id", "key", "ts", F.col("base.id").alias("base_id"), F.col("base.ts").alias("base_ts"), "outcome", headers.alias("headers"), "payload")
+
+
+def _slice_of(ts: Column, cuts: list[int], width: int = 32) -> Column:
+    """How many of the sorted cuts are at or before `ts`: first among every `width`-th, then among those in between."""
+    if not cuts:
+        return F.lit(0)
+    upto = lambda xs: F.size(F.filter(xs, lambda c: c <= ts))
+    blocks = [cuts[i : i + width] for i in range(0, len(cuts), width)]
+    longs = lambda xs: F.array(*map(F.lit, xs)).cast("array<long>")
+    whole = upto(longs([b[-1] for b in blocks]))
+    return whole * width + upto(F.coalesce(F.get(F.array(*map(longs, blocks)), whole), longs([])))
 
 
 # ------------------------------------------------------------------ record files
