@@ -72,6 +72,27 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+#: At most `2 * FREQUENT` answers of a lookup are sent to every task: keys that occur in more than one of `FREQUENT` rows.
+FREQUENT = 1000
+
+
+def look_up(rows: DataFrame, key: str, answers: DataFrame, count: str, total: int) -> DataFrame:
+    """`rows` joined with the one row that `answers` has for their key, however often a key occurs.
+
+    `count` (a column of `answers`, dropped here) says in how many rows the key occurs, of `total` in all. Keys above a
+    thousandth of all rows, and so a bounded number of them, are answered by broadcast, where the rows lie; the
+    others by an ordinary join, in which no key is large.
+    """
+    large = F.col(count) * FREQUENT > F.lit(total)
+    frequent = answers.where(large).drop(count)
+    rare = answers.where(~large).drop(count)
+    flag = "_answered"
+    met = rows.join(F.broadcast(frequent.withColumn(flag, F.lit(True))), key, "left")
+    done = met.where(F.col(flag)).drop(flag)
+    open_rows = met.where(F.col(flag).isNull()).select(*rows.columns)
+    return done.unionByName(open_rows.join(rare, key))
+
+
 def keep_rows(docs: DataFrame, text_col: str, keep: Callable[[list[str]], list[bool]]) -> DataFrame:
     """The rows, with all their columns, whose text `keep` approves; a null text counts as empty."""
     names = docs.columns

@@ -4,7 +4,8 @@ Rounds of two grouped steps pull every vertex toward the smallest one it can rea
 vertex hands its smallest neighbour to its larger neighbours, then to all its smaller ones
 and itself. Links shrink to stars around the smallest vertex of each component. Every round is
 cut with a checkpoint, so lost executors cost one round at most. Minima are partial
-aggregates, so a vertex with very many links needs no task of its own.
+aggregates, and links of a vertex with very many of them meet its minimum where they lie (`look_up`), so no
+vertex needs a task of its own.
 """
 
 from __future__ import annotations
@@ -12,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable
+from .common import durable, look_up
 
 
 def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -27,7 +28,8 @@ def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
     for _ in range(max_rounds):
         if state[0] == 0:
             break
-        pairs = durable(_to_smaller(_to_larger(pairs)))
+        moved = durable(_to_larger(pairs, state[0]))
+        pairs = durable(_to_smaller(moved, state[0]))
         new = _state(pairs)
         if new == state:
             break
@@ -45,17 +47,17 @@ def _state(pairs: DataFrame) -> tuple:
     return tuple(pairs.agg(F.count(F.lit(1)), digest).first())
 
 
-def _to_larger(pairs: DataFrame) -> DataFrame:
+def _to_larger(pairs: DataFrame, total: int) -> DataFrame:
     """Each vertex links its larger neighbours to the smallest of its neighbours and itself."""
     both = pairs.select("a", "b").union(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
+    least = both.groupBy(F.col("a").alias("b")).agg(F.least(F.min("b"), F.col("a")).alias("m"), F.count(F.lit(1)).alias("n"))
     # the larger end of a link hears from the smaller end
-    moved = pairs.join(least.withColumnRenamed("a", "v"), F.col("b") == F.col("v"))
+    moved = look_up(pairs.select("a", "b"), "b", least, "n", total)
     return moved.select("a", F.col("m").alias("b")).where("a <> b").distinct()
 
 
-def _to_smaller(pairs: DataFrame) -> DataFrame:
+def _to_smaller(pairs: DataFrame, total: int) -> DataFrame:
     """Each vertex links its smaller neighbours, and itself, to the smallest of them."""
-    least = pairs.groupBy("a").agg(F.min("b").alias("m"))
-    moved = pairs.join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b"))
-    return moved.union(least.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
+    least = pairs.groupBy("a").agg(F.min("b").alias("m"), F.count(F.lit(1)).alias("n"))
+    moved = look_up(pairs.select("a", "b"), "a", least, "n", total)
+    return moved.select(F.col("b").alias("a"), F.col("m").alias("b")).union(least.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
