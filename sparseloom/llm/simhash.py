@@ -1,15 +1,15 @@
 """SimHash near-duplicates through pivot distance tables.
 
 Every text gets a 64-bit fingerprint: the bitwise majority over the XXH64 values of its word
-shingles. Equal fingerprints are one vertex. For each distinct fingerprint the table holds its
-Hamming distances to `PIVOTS` fixed reference fingerprints. Distances obey the triangle
-inequality, so two fingerprints at `radius` or fewer bits differ by at most `radius` in every
-coordinate: pairs with a larger coordinate difference are discarded without being compared, and
-the survivors are verified on their bits.
+shingles. Equal fingerprints are one vertex. The pivot table is made once, when the distinct fingerprints are
+known: next to each lie its Hamming distances to `PIVOTS` fixed reference fingerprints, one byte each.
+Distances obey the triangle inequality, so two fingerprints at `radius` or fewer bits differ by at most
+`radius` in every coordinate. Every pair of fingerprints that meet is put to that test first: pairs with a
+larger coordinate difference are discarded without being compared, and the survivors are verified on their bits.
 
 Which pairs meet at all is settled exactly by the pigeonhole rule: of `blocks` parts of the
 fingerprint at most `radius` can differ, so two linked fingerprints agree on some
-`blocks - radius` parts. Coordinates alone cannot route pairs at scale: distances of random
+`blocks - radius` parts. Coordinates alone cannot route pairs at scale (README, with figures): distances of random
 fingerprints to any reference lie within a few bits of 32. Cells are grouped by those
 agreeing parts, sorted by their first coordinate and swept inside the radius. A cell with more
 than `CELL_ROWS` fingerprints is laid out as a grid of tiles, so that each task holds two
@@ -18,8 +18,8 @@ and emits one link per fingerprint, which keeps reachability whole.
 
 Defined results: null and empty texts have fingerprint zero, which links like any other; fewer
 words than a shingle are one shingle; repeated rows each give a row; a null doc_id stays null
-and never names a component; if all rows of a component lack an id, so does the component;
-an empty table gives no rows; other columns are ignored.
+and never names a component; if all rows of a component lack an id, so does the component; rows of one id and
+different texts are documents of their own; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, map_batches, texts
+from .common import durable, look_up, map_batches, texts
 from .components import components
 
 SHINGLE_WORDS = 4
@@ -74,37 +74,28 @@ def pivot_table(fingerprints: np.ndarray, pivots: np.ndarray) -> np.ndarray:
     return np.bitwise_count(fingerprints[:, None] ^ pivots[None, :]).astype(np.int8)
 
 
-def linked_pairs(
-    left: np.ndarray, right: np.ndarray | None, pivots: np.ndarray, radius: int = RADIUS
-) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Index pairs within the radius: all of `left`, or of `left` against `right`.
+def linked_pairs(fps: np.ndarray, table: np.ndarray, radius: int = RADIUS) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Index pairs within the radius, from fingerprints and their rows of the pivot table.
 
     Rows are swept in order of their first coordinate; a strip of rows meets only the rows
-    whose first coordinate is within the radius, then loses pairs by the maximum difference of the
-    other coordinates, and what survives is verified.
+    whose first coordinate is within the radius, then loses pairs by the difference of each
+    other coordinate, and what survives is verified.
     """
-    own = right is None
-    lt = pivot_table(left, pivots)
-    lo = np.argsort(lt[:, 0], kind="stable")
-    rt, ro = (lt, lo) if own else ((t := pivot_table(right, pivots)), np.argsort(t[:, 0], kind="stable"))
-    other = left if own else right
-    first = rt[ro, 0]
-    step = max(1, 2_000_000 // max(1, len(ro)))
-    for at in range(0, len(lo), step):
-        rows = lo[at : at + step]
-        a = np.searchsorted(first, lt[rows[0], 0] - radius, side="left")
-        b = np.searchsorted(first, lt[rows[-1], 0] + radius, side="right")
-        cand = ro[a:b]
-        i, j = np.nonzero(np.abs(lt[rows, 0][:, None] - rt[cand, 0][None, :]) <= radius)
+    order = np.argsort(table[:, 0], kind="stable")
+    first = table[order, 0]
+    step = max(1, 2_000_000 // max(1, len(order)))
+    for at in range(0, len(order), step):
+        rows = order[at : at + step]
+        a = np.searchsorted(first, table[rows[0], 0] - radius, side="left")
+        b = np.searchsorted(first, table[rows[-1], 0] + radius, side="right")
+        cand = order[a:b]
+        i, j = np.nonzero(np.abs(table[rows, 0][:, None] - table[cand, 0][None, :]) <= radius)
         i, j = rows[i], cand[j]
-        if own:
-            i, j = i[(keep := i < j)], j[keep]
-        for p in range(1, pivots.size):
-            if i.size < 64:
-                break
-            keep = np.abs(lt[i, p] - rt[j, p]) <= radius
+        i, j = i[(keep := i < j)], j[keep]
+        for p in range(1, table.shape[1]):
+            keep = np.abs(table[i, p] - table[j, p]) <= radius
             i, j = i[keep], j[keep]
-        keep = np.bitwise_count(left[i] ^ other[j]) <= radius
+        keep = np.bitwise_count(fps[i] ^ fps[j]) <= radius
         if keep.any():
             yield i[keep], j[keep]
 
@@ -137,13 +128,30 @@ def cell_keys(fingerprint, radius: int, blocks: int):
     return F.array(*[F.struct(F.lit(k).alias("choice"), fingerprint.bitwiseAND(F.lit(m).cast("long")).alias("bits")) for k, m in enumerate(signed)])
 
 
+def with_pivots(fingerprints: DataFrame, n_pivots: int = PIVOTS) -> DataFrame:
+    """Adds `pivots`: the fingerprint's row of the pivot table, one byte for each reference."""
+    names = [c for c in fingerprints.columns if c != "fp"]
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = pivot_table(batch.column(0).to_numpy().view(np.uint64), references(n_pivots))
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([r.tobytes() for r in rows], pa.binary())], [*batch.schema.names, "pivots"])
+
+    kinds = dict(fingerprints.dtypes)
+    return map_batches(fingerprints.select("fp", *names), work, ", ".join(["fp long", *(f"{c} {kinds[c]}" for c in names), "pivots binary"]))
+
+
 def link_fingerprints(
     fingerprints: DataFrame, radius: int = RADIUS, blocks: int = BLOCKS, n_pivots: int = PIVOTS, cell_rows: int = CELL_ROWS
 ) -> DataFrame:
-    """(a, b): links between distinct fingerprints (column `fp`, long) that keep reachability whole."""
+    """(a, b): links between distinct fingerprints that keep reachability whole.
+
+    Takes column `fp` (long), and `pivots` where the table is there already.
+    """
     if blocks <= radius:
         raise ValueError("blocks must exceed the radius")
-    cells = fingerprints.select("fp", F.explode(cell_keys(F.col("fp"), radius, blocks)).alias("k")).select("fp", "k.choice", "k.bits")
+    tabled = fingerprints if "pivots" in fingerprints.columns else durable(with_pivots(fingerprints.select("fp"), n_pivots))
+    cells = tabled.select("fp", F.explode(cell_keys(F.col("fp"), radius, blocks)).alias("k")).select("fp", "k.choice", "k.bits")
     sizes = cells.groupBy("choice", "bits").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     sides = F.ceil(F.col("n") / F.lit(cell_rows)).cast("int")
     tile = F.pmod(F.xxhash64("fp", F.lit(7)), F.col("side").cast("long")).cast("int")
@@ -154,43 +162,36 @@ def link_fingerprints(
         .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("side") - 1)))
         .select("choice", "bits", F.least("tile", "other").alias("t"), F.greatest("tile", "other").alias("u"), "fp")
     )
-
-    def work(_, group: pa.Table) -> pa.Table:
-        fps = group.column("fp").to_numpy().astype(np.int64).view(np.uint64)
-        root = _forest(len(fps), linked_pairs(fps, None, references(n_pivots), radius))
-        moved = np.flatnonzero(root != np.arange(len(fps)))
-        return pa.table({"a": fps[moved].view(np.int64), "b": fps[root[moved]].view(np.int64)})
-
-    return _by_cell(placed, work, radius, n_pivots)
-
-
-def _by_cell(placed: DataFrame, work, radius: int, n_pivots: int) -> DataFrame:
-    """`work` once per cell, over rows clustered and sorted by cell; cells arrive in streams."""
     keys = ["choice", "bits", "t", "u"]
-    spread = placed.repartition(*[F.col(k) for k in keys]).sortWithinPartitions(*keys)
+    # only fingerprints that meet others fetch their row of the table
+    spread = placed.join(tabled.select("fp", "pivots"), "fp").select(*keys, "fp", "pivots").repartition(*[F.col(k) for k in keys]).sortWithinPartitions(*keys)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table in _whole_cells(batches, keys):
-            key = np.stack([table.column(k).to_numpy() for k in keys])
+        for part in _whole_cells(batches, keys):
+            key = np.stack([part.column(k).to_numpy() for k in keys])
             cuts = np.flatnonzero((key[:, 1:] != key[:, :-1]).any(axis=0)) + 1
-            bounds = np.concatenate([[0], cuts, [table.num_rows]])
-            fps = table.column("fp").to_numpy()
+            bounds = np.concatenate([[0], cuts, [part.num_rows]])
+            fps = part.column("fp").to_numpy().astype(np.int64)
+            table = np.frombuffer(b"".join(part.column("pivots").to_pylist()), np.int8).reshape(-1, n_pivots)
             sizes = np.diff(bounds)
-            out = [work(None, table.slice(bounds[i], sizes[i])) for i in np.flatnonzero(sizes > 2)]
             two = bounds[:-1][sizes == 2]  # most cells: two fingerprints, all compared at once
-            out.append(_pairs_of_two(fps[two], fps[two + 1], radius, references(n_pivots)))
-            yield from pa.concat_tables(out).combine_chunks().to_batches()
+            found = [_pairs_of_two(fps, table, two, radius)]
+            for c in np.flatnonzero(sizes > 2):
+                at = slice(bounds[c], bounds[c + 1])
+                root = _forest(sizes[c], linked_pairs(fps[at].view(np.uint64), table[at], radius))
+                moved = np.flatnonzero(root != np.arange(sizes[c]))
+                found.append((fps[at][moved], fps[at][root[moved]]))
+            a, b = (np.concatenate(x) for x in zip(*found))
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
     return map_batches(spread, run, "a long, b long").distinct()
 
 
-def _pairs_of_two(x: np.ndarray, y: np.ndarray, radius: int, pivots: np.ndarray) -> pa.Table:
-    a, b = x.astype(np.int64).view(np.uint64), y.astype(np.int64).view(np.uint64)
-    keep = np.ones(len(a), bool)
-    for p in pivots:  # discard by the largest coordinate difference, then verify
-        keep[keep] = np.abs(np.bitwise_count(a[keep] ^ p).astype(np.int8) - np.bitwise_count(b[keep] ^ p).astype(np.int8)) <= radius
-    keep[keep] = np.bitwise_count(a[keep] ^ b[keep]) <= radius
-    return pa.table({"a": x[keep].astype(np.int64), "b": y[keep].astype(np.int64)})
+def _pairs_of_two(fps: np.ndarray, table: np.ndarray, at: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+    """Rows `at` and `at + 1`: discarded by their largest coordinate difference, then verified."""
+    at = at[np.abs(table[at] - table[at + 1]).max(axis=1, initial=0) <= radius]
+    at = at[np.bitwise_count((fps[at] ^ fps[at + 1]).view(np.uint64)) <= radius]
+    return fps[at], fps[at + 1]
 
 
 def _whole_cells(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.Table]:
@@ -214,41 +215,61 @@ def _whole_cells(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator
 
 
 def fingerprints(docs: DataFrame, shingle_words: int = SHINGLE_WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id and fp (the fingerprint as a signed long) for every row."""
+    """doc_id, text_hash (of the text) and fp (the fingerprint as a signed long) for every row."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = [fingerprint(x, shingle_words) for x in batch.column(1).to_pylist()]
+            found = [fingerprint(x, shingle_words) for x in batch.column(2).to_pylist()]
             fps = pa.array(np.array(found, np.uint64).view(np.int64), pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column(0), fps], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), fps], ["doc_id", "text_hash", "fp"])
 
-    return map_batches(texts(docs, id_col, text_col), work, "doc_id long, fp long")
+    rows = texts(docs, id_col, text_col).select("doc_id", F.xxhash64("text").alias("text_hash"), "text")
+    return map_batches(rows, work, "doc_id long, text_hash long, fp long")
 
 
 def near_duplicates(
     docs: DataFrame, radius: int = RADIUS, shingle_words: int = SHINGLE_WORDS, blocks: int = BLOCKS,
     id_col: str = "doc_id", text_col: str = "text",
 ) -> DataFrame:
-    """doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable) for every row."""
+    """doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable), text_hash, kept, for every row.
+
+    `kept`: the row stands for its component: it has the smallest doc_id there, and among rows of that id the smallest text_hash.
+    """
     rows = durable(fingerprints(docs, shingle_words, id_col, text_col))
-    distinct = rows.groupBy("fp").agg(F.min("doc_id").alias("first_id"))
-    grouped = components(link_fingerprints(distinct.select("fp"), radius, blocks))
+    named_row = F.struct("doc_id", "text_hash")
+    own = rows.groupBy("fp").agg(F.min(F.when(F.col("doc_id").isNotNull(), named_row)).alias("least"), F.count(F.lit(1)).alias("n_rows"))
+    distinct = durable(with_pivots(own))
+    grouped = components(link_fingerprints(distinct.select("fp", "pivots"), radius, blocks))
     # a component's name is its smallest doc_id; fingerprints without links name themselves
-    rooted = durable(distinct.join(grouped, F.col("fp") == F.col("vertex"), "left").select("fp", "first_id", "root"))
-    named = rooted.where("root IS NOT NULL").groupBy("root").agg(F.min("first_id").alias("least_id"))
-    linked = rooted.join(named, "root").select("fp", F.col("least_id").alias("component_id"))
-    alone = rooted.where("root IS NULL").select("fp", F.col("first_id").alias("component_id"))
-    names = linked.unionByName(alone)
+    rooted = durable(distinct.drop("pivots").join(grouped, F.col("fp") == F.col("vertex"), "left").select("fp", "least", "n_rows", "root"))
+    in_groups = rooted.where("root IS NOT NULL")
+    members = in_groups.groupBy("root").agg(F.min("least").alias("first"), F.count(F.lit(1)).alias("n_fps"))
+    n_grouped, n_rows = rooted.agg(F.count("root"), F.coalesce(F.sum("n_rows"), F.lit(0))).first()
+    linked = look_up(in_groups.select("root", "fp", "n_rows"), "root", members, "n_fps", n_grouped).select("fp", "n_rows", "first")
+    alone = rooted.where("root IS NULL").select("fp", "n_rows", F.col("least").alias("first"))
+    met = look_up(rows, "fp", linked.unionByName(alone), "n_rows", n_rows)
     digits = F.lower(F.lpad(F.hex("fp"), 16, "0"))
-    return rows.join(names, "fp").select("doc_id", digits.alias("fingerprint"), "component_id", "fp")
+    kept = (F.col("doc_id") == F.col("first.doc_id")) & (F.col("text_hash") == F.col("first.text_hash"))
+    return met.select("doc_id", digits.alias("fingerprint"), F.col("first.doc_id").alias("component_id"), "text_hash", F.coalesce(kept, F.lit(False)).alias("kept"))
 
 
 def deduplicate(docs: DataFrame, radius: int = RADIUS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One document of each near-duplicate group, the one with the smallest id, with all its columns.
+    """One document of each near-duplicate group, with all its columns: the one with the smallest id.
 
-    Rows without an id cannot be named by a group and stay. Of rows with equal ids one stays.
+    Decided row by row: rows of one id whose texts belong to different groups each stand for their own. Of rows with the same
+    id in one group the one with the smallest hash of its text stays, and of rows with the same id and text one.
+    Rows without an id cannot be named by a group and stay.
     """
-    grouped = near_duplicates(docs, radius, id_col=id_col, text_col=text_col)
-    kept = grouped.where("doc_id = component_id").select(F.col("doc_id").alias(id_col)).distinct()
-    staying = docs.join(kept, id_col, "left_semi").dropDuplicates([id_col])
+    own_id, own_hash = (_free(name, docs.columns) for name in ("_id", "_hash"))
+    stay = near_duplicates(docs, radius, id_col=id_col, text_col=text_col).where("kept")
+    stay = stay.select(F.col("doc_id").alias(own_id), F.col("text_hash").alias(own_hash)).distinct()
+    body = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    keyed = docs.withColumns({own_id: F.col(id_col).cast("long"), own_hash: F.xxhash64(body)})
+    staying = keyed.join(stay, [own_id, own_hash], "left_semi").dropDuplicates([own_id, own_hash]).select(*docs.columns)
     return staying.unionByName(docs.where(F.col(id_col).isNull())).select(*docs.columns)
+
+
+def _free(name: str, taken: list[str]) -> str:
+    while name in taken:
+        name += "_"
+    return name

@@ -62,7 +62,7 @@ def test_base_scores_and_gain(spark):
             counts.update(cut(t))
     n, v = sum(counts.values()), len(counts)
     # few hot tokens, so that the join of rare ones is put to use
-    got = lm_scoring.score_documents(table(spark, SF01, "documents"), draws=60_000, hot=2000, own_classes=200).collect()
+    got = lm_scoring.score_documents(table(spark, SF01, "documents"), hot=2000, own_classes=200).collect()
     assert len(got) == len(docs)
     for r in got:
         words = cut(docs[r["doc_id"]])
@@ -73,34 +73,79 @@ def test_base_scores_and_gain(spark):
     assert sum(r["score"] for r in held) > sum(r["base_score"] for r in held)
 
 
+def slow_log10(learner, far, near, target):
+    """One token's log10-probability by a plain softmax over all outputs."""
+    f, c, out, bias = (p.astype(float) for p in learner.params)
+    weights = (f[far] + c[near]) @ out.T + bias[:, 0]
+    top = weights.max()
+    return (weights[target] - top - np.log(np.exp(weights - top).sum())) / np.log(10)
+
+
 def test_model_is_normalised():
     rng = np.random.default_rng(0)
     c = rng.integers(0, 6, (3000, 3))
-    m = lm_scoring.train(c, np.bincount(c[:, 2], minlength=6), dimensions=8)
+    c[:, 2] = (c[:, 1] + rng.integers(0, 2, 3000)) % 6
+    learner = lm_scoring.Learner(np.bincount(c[:, 2], minlength=6), 6, 8)
+    for _ in range(20):
+        learner.learn(*c.T, rng)
+    m = learner.normalised(block=4)
     for f, g in ((0, 0), (6, 6), (3, 5)):
-        p = 10.0 ** m.log10(np.full(6, f), np.full(6, g), np.arange(6))
-        assert abs(p.sum() - 1) < 1e-4
-
-
-def test_every_training_token_is_learnt_from(spark, monkeypatch):
+        p = m.log10(np.full(6, f), np.full(6, g), np.arange(6))
+        assert abs((10.0**p).sum() - 1) < 1e-4 and np.allclose(p, [slow_log10(learner, f, g, t) for t in range(6)], atol=1e-4)
+    follows = m.log10(np.full(6, 2), np.full(6, 3), np.arange(6))
+    assert set(follows.argsort()[-2:]) == {3, 4}
+
+
+def test_scores_equal_brute_force(spark):
+    """Every step of the score once more in plain Python: folds, counts, spelling classes, softmax over all outputs."""
+    docs = table(spark, SF01, "documents").limit(60)
+    rows = lm_scoring.texts(docs)
+    counted = lm_scoring.count_training_tokens(rows)
+    vocab = lm_scoring.vocabulary(counted, 120, 30)
+    learner = lm_scoring.Learner(vocab.output_tokens(), vocab.n_contexts, 6)
+    model = learner.normalised()
+    n = {r["token"]: r["n"] for r in counted.collect()}
+    rare = {w: k for w, k in n.items() if w not in vocab.hot}
+    assert len(vocab.hot) <= 120 and min(n[w] for w in vocab.hot) > max(rare.values())
+    by_class: dict = {}
+    for w, k in rare.items():
+        total, distinct = by_class.get(lm_scoring.shared_class(w), (0, 0))
+        by_class[lm_scoring.shared_class(w)] = total + k, distinct + 1
+    got = {r["doc_id"]: r["score"] for r in lm_scoring.score(rows, counted, vocab, model).collect()}
+    for r in docs.collect():
+        words = [*re.findall(rb"[^\x20\x09-\x0D]+", re.sub(rb"[A-Z]", lambda m: m[0].lower(), r["text"].encode())), b" "]
+        far = near = vocab.n_contexts
+        want = 0.0
+        for w in words[:400]:
+            kind = lm_scoring.shared_class(w)
+            output = vocab.hot.get(w, len(vocab.hot) + kind)
+            want += slow_log10(learner, far, near, output)
+            if w not in vocab.hot:
+                total, distinct = by_class.get(kind, (0, 0))
+                want += np.log10((n.get(w, 0) + 1) / (total + distinct + 1))
+            far, near = near, output if output < vocab.own else vocab.own + kind
+        if len(words) <= 400:
+            assert abs(got[r["doc_id"]] - want) < 1e-4 * len(words)
+
+
+def test_every_training_token_is_learnt_from(spark):
     docs = lm_scoring.texts(table(spark, SF01, "documents"))
     vocab = lm_scoring.vocabulary(lm_scoring.count_training_tokens(docs), 2000, 200)
-    counted = lm_scoring.count_contexts(docs, vocab)
-    got = {r["code"]: r["n"] for r in counted.collect()}
-    drawn = lm_scoring.draw_contexts(docs, vocab, 10**9).astype(np.int64)  # a draw of all
-    base = vocab.n_classes + 1
-    assert got == Counter(((drawn[:, 0] * base + drawn[:, 1]) * base + drawn[:, 2]).tolist()) and sum(got.values()) == vocab.total
-    one, many = (lm_scoring.train_on_all(x, vocab.class_tokens, shard_rows=40_000) for x in (counted.repartition(3), counted.repartition(7)))
-    assert all((getattr(one, k) == getattr(many, k)).all() for k in ("far", "near", "bias", "norm"))
-    noise = np.log10((vocab.class_tokens + 1) / (vocab.class_tokens + 1).sum())
-    assert one.log10(*drawn.T).mean() > noise[drawn[:, 2]].mean() + 0.1
+    coded = lm_scoring.encode_training(docs, vocab).collect()
+    held = Counter(x for r in coded for x in np.frombuffer(r["outputs"], np.int32).tolist())
+    assert sum(r["n"] for r in coded) == vocab.total
+    assert [held[k] for k in range(len(vocab.contexts))] == vocab.output_tokens().tolist()
+    one, many = (lm_scoring.train(x, vocab, shard_tokens=100_000) for x in (docs.repartition(3), docs.repartition(7)))
+    assert all((getattr(one, k) == getattr(many, k)).all() for k in ("far", "near", "out", "bias", "norm"))
+    text = np.concatenate([np.frombuffer(r["outputs"], np.int32) for r in coded])
+    starts = np.cumsum([0, *(r["n"] for r in coded)])[:-1]
+    noise = np.log10((vocab.output_tokens() + 1) / (vocab.output_tokens() + 1).sum())
+    assert one.log10(*lm_scoring.contexts_of(text, starts, vocab.contexts, vocab.n_contexts), text).mean() > noise[text].mean() + 0.1
     assert lm_scoring.grown_classes(10**10) > lm_scoring.grown_classes(10**8) > lm_scoring.grown_classes(10**6) == 700
-    monkeypatch.setattr(lm_scoring, "draw_contexts", None)  # the default asks for no sample
-    assert lm_scoring.score_documents(table(spark, SF01, "documents").limit(50)).count() == 50
 
 
 def test_lm_on_odd_rows(odd_docs, no_docs):
-    rows = lm_scoring.score_documents(odd_docs, draws=1000).collect()
+    rows = lm_scoring.score_documents(odd_docs).collect()
     assert len(rows) == 13 and all(np.isfinite(r["score"]) and np.isfinite(r["base_score"]) for r in rows)
     assert {r["n_tokens"] for r in rows if r["doc_id"] in (2, 3, 7, 10)} == {1}
     assert lm_scoring.score_documents(no_docs).count() == 0

@@ -158,7 +158,7 @@ def test_decontamination_spans_blocks_and_odd_rows(spark, odd_docs, no_docs):
     )
     docs = spark.createDataFrame([(1, "é The quick brown -- fox jumps over the LAZY dog, and then it rests. ZÜRICH Zürich straße river bank!")], "doc_id long, text string")
     for limit in (10**6, 20):  # one automaton, and one per block
-        r = decontamination.find_contamination(docs, bench, max_automaton_chars=limit).first()
+        r = decontamination.find_contamination(docs, bench, max_states=limit).first()
         text = docs.first()["text"]
         assert r["items"] == ["1", "2", "5"] and r["n_hit"] == 15 - 0 - 0 + 0
         assert [text[s["from"] : s["to"]] for s in r["spans"]] == ["quick brown -- fox jumps over the LAZY dog, and then it", "Zürich straße river bank"]
