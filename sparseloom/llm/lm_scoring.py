@@ -1,22 +1,21 @@
 """Log-bilinear language model, trained by noise-contrastive estimation, normalised exactly.
 
-A token is predicted from the two before it. Its class comes from a log-bilinear model: two
-context embeddings add up to a vector whose product with the class's output embedding, plus a bias,
-is the class's log-weight. The most frequent tokens are classes of their own; the others fall into
-a few classes by their last letter or their last letter beyond ASCII, and are told apart inside the
-class by their smoothed training count. Probabilities are thus over every possible token: the
-known ones, and one share for unknown tokens in each class.
-
-Training contrasts each drawn token with tokens from the unigram noise distribution (shared
-within a batch), all in numpy. The softmax is then normalised by batched matrix products over every
-pair of context classes, so that a token's log-probability is four table lookups.
-
-What comes from the corpus covers all of it: token counts N and V, class sizes and noise come
-from the counts of every training document, and the gradient steps use every training token: its
-(two before, one before, token) classes are counted over the corpus, cut into pieces of at most `PIECE`
-occurrences, and dealt by hash to shards. Each shard learns from its pieces, the shards' parameters
-are averaged, and the next round starts from there; partitioning changes nothing. Classes of their own grow in
-number with the corpus. A caller may ask for a sample of `draws` tokens instead. Only the `hot` most frequent tokens (a
+A token is predicted from the two before it: two context embeddings add up to a vector whose product with the
+token's output embedding, plus a bias, is the token's log-weight. Each of the `hot` most frequent tokens has an output
+embedding of its own. The others share some, by their last letter or their last letter beyond ASCII, and are told
+apart below it by their smoothed training count. Probabilities are thus over every possible token: the
+known ones, and one share for unknown tokens in each shared output. As context, the most frequent tokens
+have embeddings of their own, and all others those of their spelling.
+
+Training contrasts each token with tokens from the unigram noise distribution (shared
+within a batch), all in numpy. The softmax is then normalised over all outputs for every pair of context classes: as the
+log-weight is a sum, the sums of its exponentials are one matrix product, made in blocks of outputs.
+
+What comes from the corpus covers all of it: token counts N and V, shared outputs and noise come
+from the counts of every training document, and the gradient steps use every training token. Documents become
+numbers once, are dealt to shards of about `SHARD_TOKENS` by a hash of id and text, and each shard learns from its documents
+in hash order, a buffer at a time. The shards' parameters are averaged, in levels, and the next round starts from there;
+partitioning changes nothing. Context classes grow in number with the corpus. Only the `hot` most frequent tokens (a
 fixed number) go out to the workers; counts of the others are joined by token.
 
 Defined results: null and empty texts are one end token; repeated rows each give a row; a null
@@ -41,13 +40,17 @@ from .common import durable, map_batches, texts
 FOLDS = 7
 HELD_OUT_FOLD = 2
 HOT = 60_000
-#: Classes of their own for a corpus of up to `GROWS_FROM` training tokens; beyond, they grow with its sixth root.
+#: Context classes of their own for a corpus of up to `GROWS_FROM` training tokens; beyond, they grow with its sixth root.
 OWN_CLASSES = 700
 GROWS_FROM = 1_000_000
 DIMENSIONS = 40
-#: Most occurrences of a context and token that one row of a gradient step stands for.
-PIECE = 16
-SHARD_ROWS = 500_000
+SHARD_TOKENS = 8_000_000
+#: Tokens that are brought into random order together, tokens of one gradient step, and noise tokens that the step shares.
+BUFFER_TOKENS = 1 << 18
+STEP_TOKENS = 8192
+SHARED_NOISE = 128
+#: Shards whose parameters one task averages, and rows of them that may come to the driver.
+FAN_IN = 8
 #: The end of a text. No token can be equal to it, as tokens hold no blank.
 END = b" "
 _COUNTED_AT_ONCE = 300_000
@@ -63,7 +66,7 @@ def fold(doc_id):
     return F.pmod(F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")), F.lit(FOLDS).cast("long"))
 
 
-#: Classes of tokens without a class of their own: by the last letter, or the last letter beyond ASCII.
+#: Classes of tokens by spelling: by the last letter, or the last letter beyond ASCII.
 _ENDINGS = 27
 _WIDE = 24
 SHARED_CLASSES = _ENDINGS + _WIDE
@@ -103,43 +106,61 @@ def count_training_tokens(docs: DataFrame) -> DataFrame:
 
 @dataclass(frozen=True)
 class Vocabulary:
-    """The hot tokens, their counts and classes, and the sizes of all classes."""
+    """The hot tokens with their counts, and what the other tokens of each spelling class come to."""
 
     hot: dict[bytes, int]
     counts: np.ndarray  # of each hot token
-    classes: np.ndarray  # of each hot token
-    own: int  # classes 0 .. own-1 hold one token each
+    own: int  # the first `own` hot tokens are context classes of their own
+    contexts: np.ndarray  # context class of each output
     total: int
     distinct: int
-    class_tokens: np.ndarray  # training tokens in each class
-    class_distinct: np.ndarray  # distinct training tokens in each class
+    rare_tokens: np.ndarray  # by spelling class: training tokens that are not hot
+    rare_distinct: np.ndarray
 
     @property
-    def n_classes(self) -> int:
+    def n_contexts(self) -> int:
+        """Context classes; the number itself stands for the context before a text."""
         return self.own + SHARED_CLASSES
 
+    def output_tokens(self) -> np.ndarray:
+        """Training tokens of each output: hot tokens first, then spelling classes."""
+        return np.concatenate([self.counts, self.rare_tokens])
+
+    def lookup(self) -> _Lookup:
+        found = _Lookup(self.hot)
+        found.first_shared = len(self.hot)
+        return found
+
+
+class _Lookup(dict):
+    """Outputs of tokens."""
+
+    first_shared = 0
+
+    def __missing__(self, token: bytes) -> int:
+        return self.first_shared + shared_class(token)
+
 
 def grown_classes(total: int) -> int:
-    """Classes of their own for a corpus of `total` training tokens. Tables have their square in entries."""
+    """Context classes of their own for a corpus of `total` training tokens. Tables have their square in entries."""
     return int(OWN_CLASSES * max(1.0, total / GROWS_FROM) ** (1 / 6))
 
 
 def vocabulary(counted: DataFrame, hot: int = HOT, own_classes: int | None = None) -> Vocabulary:
-    """Read the fixed-size parts of the counts: totals, class sizes, the most frequent tokens."""
+    """Read the fixed-size parts of the counts: totals, spelling classes, the most frequent tokens."""
     sizes = counted.groupBy("shared").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).collect()
     top = _most_frequent(counted, hot)
     words, counts = top.column("token").to_pylist(), top.column("n").to_numpy().astype(np.int64)
     total, distinct = sum(r["n"] for r in sizes), sum(r["v"] for r in sizes)
     own = min(grown_classes(total) if own_classes is None else own_classes, len(words))
     shared = top.column("shared").to_numpy().astype(np.int64)
-    classes = np.where(np.arange(len(words)) < own, np.arange(len(words)), own + shared)
-    n, v = np.zeros(own + SHARED_CLASSES, np.int64), np.zeros(own + SHARED_CLASSES, np.int64)
+    contexts = np.concatenate([np.where(np.arange(len(words)) < own, np.arange(len(words)), own + shared), own + np.arange(SHARED_CLASSES)])
+    n, v = np.zeros(SHARED_CLASSES, np.int64), np.zeros(SHARED_CLASSES, np.int64)
     for r in sizes:
-        n[own + r["shared"]], v[own + r["shared"]] = r["n"], r["v"]
-    n[:own], v[:own] = counts[:own], 1
-    np.subtract.at(n, own + shared[:own], counts[:own])
-    np.subtract.at(v, own + shared[:own], 1)
-    return Vocabulary({w: i for i, w in enumerate(words)}, counts, classes, own, total, distinct, n, v)
+        n[r["shared"]], v[r["shared"]] = r["n"], r["v"]
+    np.subtract.at(n, shared, counts)
+    np.subtract.at(v, shared, 1)
+    return Vocabulary({w: i for i, w in enumerate(words)}, counts, own, contexts, total, distinct, n, v)
 
 
 def _most_frequent(counted: DataFrame, hot: int) -> pa.Table:
@@ -159,108 +180,69 @@ def _most_frequent(counted: DataFrame, hot: int) -> pa.Table:
     return kept.select("token", "shared", "n").toArrow().sort_by([("n", "descending"), ("token", "ascending")])
 
 
-class _Lookup(dict):
-    """Hot tokens by number; others by their class, as a negative number."""
-
-    def __missing__(self, token: bytes) -> int:
-        return -1 - shared_class(token)
-
-
-def count_contexts(docs: DataFrame, vocab: Vocabulary) -> DataFrame:
-    """code (of class two before, class before, class), n: over every training token."""
+def encode_training(docs: DataFrame, vocab: Vocabulary) -> DataFrame:
+    """key (hash of id and text), n, outputs (32-bit numbers): every token of every training document."""
     sent = docs.sparkSession.sparkContext.broadcast(vocab)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        v = sent.value
-        lookup, outside = _Lookup(v.hot), v.n_classes  # outside: the context before a text
-        held: list[np.ndarray] = []
-        size = 0
-
-        def rows() -> pa.RecordBatch:
-            codes, n = np.unique(np.concatenate([*held, np.empty(0, np.int64)]), return_counts=True)
-            return pa.RecordBatch.from_arrays([pa.array(codes, pa.int64()), pa.array(n, pa.int64())], ["code", "n"])
-
+        lookup = sent.value.lookup().__getitem__
         for batch in batches:
-            for text in batch.column(0).to_pylist():
-                words = tokens(text)
-                at = np.fromiter(map(lookup.__getitem__, words), np.int64, len(words))
-                classes = np.full(len(at) + 2, outside, np.int64)
-                classes[2:] = np.where(at >= 0, v.classes[at.clip(0)] if len(v.classes) else 0, v.own - 1 - at)
-                held.append((classes[:-2] * (outside + 1) + classes[1:-1]) * (outside + 1) + classes[2:])
-                size += len(at)
-                if size > _COUNTED_AT_ONCE * 10:
-                    yield rows()
-                    held, size = [], 0
-        yield rows()
+            found = [np.fromiter(map(lookup, words := tokens(text)), np.int32, len(words)) for text in batch.column(1).to_pylist()]
+            columns = batch.column(0), pa.array([len(x) for x in found], pa.int64()), pa.array([x.tobytes() for x in found], pa.binary())
+            yield pa.RecordBatch.from_arrays(list(columns), ["key", "n", "outputs"])
 
-    training = docs.where(fold(F.col("doc_id")) != HELD_OUT_FOLD).select("text")
-    return map_batches(training, work, "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
+    training = docs.where(fold(F.col("doc_id")) != HELD_OUT_FOLD).select(F.xxhash64("doc_id", "text").alias("key"), "text")
+    return map_batches(training, work, "key long, n long, outputs binary")
 
 
-def draw_contexts(docs: DataFrame, vocab: Vocabulary, draws: int, seed: int = 3) -> np.ndarray:
-    """Rows of (class two before, class before, class) at positions spread over all training tokens."""
-    share = min(1.0, draws / max(1, vocab.total))
-    sent = docs.sparkSession.sparkContext.broadcast(vocab)
-
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import zlib
-
-        v = sent.value
-        lookup = _Lookup(v.hot)
-        class_of = lambda t: int(v.classes[i]) if (i := lookup[t]) >= 0 else v.own - 1 - i
-        outside = v.n_classes  # the context before a text
-        for batch in batches:
-            out: list[tuple[int, int, int]] = []
-            for text in batch.column(0).to_pylist():
-                words = tokens(text)
-                rng = np.random.default_rng([seed, zlib.crc32(text.encode("utf-8", "replace"))])
-                for at in np.flatnonzero(rng.random(len(words)) < share).tolist():
-                    before = [class_of(words[k]) if k >= 0 else outside for k in (at - 2, at - 1)]
-                    out.append((*before, class_of(words[at])))
-            found = np.array(out, np.int32).reshape(-1, 3)
-            yield pa.RecordBatch.from_arrays([pa.array(found[:, k], pa.int32()) for k in range(3)], ["far", "near", "target"])
-
-    training = docs.where(fold(F.col("doc_id")) != HELD_OUT_FOLD).select("text")
-    got = map_batches(training, work, "far int, near int, target int").toArrow()
-    rows = np.stack([got.column(c).to_numpy() for c in ("far", "near", "target")], axis=1)
-    return rows[np.lexsort(rows.T[::-1])]
+def contexts_of(outputs: np.ndarray, starts: np.ndarray, classes: np.ndarray, outside: int) -> tuple[np.ndarray, np.ndarray]:
+    """Context classes two before and one before each token of texts that begin at `starts`."""
+    near = np.full(len(outputs), outside, np.int64)
+    near[1:] = classes[outputs[:-1]]
+    near[starts] = outside
+    far = np.full(len(outputs), outside, np.int64)
+    far[1:] = near[:-1]
+    far[starts] = outside
+    return far, near
 
 
 @dataclass(frozen=True)
 class LogBilinear:
-    """Normalised log10-probabilities of classes, as sums of table entries."""
+    """Normalised log10-probabilities of outputs in pairs of context classes."""
 
-    far: np.ndarray  # context class x class
+    far: np.ndarray  # context class x dimension
     near: np.ndarray
+    out: np.ndarray  # output x dimension
     bias: np.ndarray
     norm: np.ndarray  # context class x context class
 
     def log10(self, far: np.ndarray, near: np.ndarray, target: np.ndarray) -> np.ndarray:
-        found = self.far[far, target] + self.near[near, target] + self.bias[target] - self.norm[far, near]
+        found = np.empty(len(target))
+        for i in range(0, len(target), STEP_TOKENS):
+            f, c, t = far[i : i + STEP_TOKENS], near[i : i + STEP_TOKENS], target[i : i + STEP_TOKENS]
+            weight = np.einsum("ij,ij->i", self.far[f] + self.near[c], self.out[t]) + self.bias[t]
+            found[i : i + STEP_TOKENS] = weight - self.norm[f, c]
         return found / np.log(10.0)
 
 
-def _scatter(rows: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
-    """Sum of `values` by row number."""
+def _sums(rows: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct row numbers, and the sum of `values` of each."""
     order = np.argsort(rows, kind="stable")
-    at = np.flatnonzero(np.diff(rows[order], prepend=-1))
-    out = np.zeros((n, values.shape[1]), values.dtype)
-    out[rows[order][at]] = np.add.reduceat(values[order], at)
-    return out
+    ordered = rows[order]
+    at = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]]))
+    return ordered[at], np.add.reduceat(values[order], at)
 
 
-class _Learner:
-    """Parameters, and steps of noise-contrastive estimation with AdaGrad on them."""
+class Learner:
+    """Parameters, and steps of noise-contrastive estimation with AdaGrad on them (one rate for each embedding)."""
 
-    def __init__(self, class_tokens: np.ndarray, dimensions: int, rng: np.random.Generator) -> None:
-        n = len(class_tokens)
-        self.noise = (class_tokens + 1.0) / (class_tokens.sum() + n)
-        self.log_noise = np.log(self.noise).astype(np.float32)
-        self.params = [
-            rng.normal(0, 0.1, (n + 1, dimensions)).astype(np.float32), rng.normal(0, 0.1, (n + 1, dimensions)).astype(np.float32),
-            rng.normal(0, 0.1, (n, dimensions)).astype(np.float32), self.log_noise[:, None].copy(),
-        ]
-        self.grown = [np.full_like(p, 1e-2) for p in self.params]
+    def __init__(self, output_tokens: np.ndarray, n_contexts: int, dimensions: int = DIMENSIONS, seed: int = 11) -> None:
+        rng, n = np.random.default_rng(seed), len(output_tokens)
+        noise = (output_tokens + 1.0) / (output_tokens.sum() + n)
+        self.upto, self.log_noise = np.cumsum(noise), np.log(noise).astype(np.float32)
+        sizes = [(n_contexts + 1, dimensions), (n_contexts + 1, dimensions), (n, dimensions)]
+        self.params = [*(rng.normal(0, 0.1, x).astype(np.float32) for x in sizes), self.log_noise[:, None].copy()]
+        self.grown = [np.full(len(p), 1e-2, np.float32) for p in self.params]
 
     def state(self) -> np.ndarray:
         return np.concatenate([x.ravel() for x in (*self.params, *self.grown)])
@@ -271,132 +253,125 @@ class _Learner:
             x[...] = state[at : at + x.size].reshape(x.shape)
             at += x.size
 
-    def epoch(
-        self, contexts: np.ndarray, times: np.ndarray | None, rng: np.random.Generator,
-        noise_each: int = 20, shared_noise: int = 256, batch: int = 4096, rate: float = 0.15,
-    ) -> None:
-        """One pass in random order; row i stands for `times[i]` tokens (None: one)."""
+    def learn(self, far: np.ndarray, near: np.ndarray, target: np.ndarray, rng: np.random.Generator, noise_each: int = 20, rate: float = 0.15) -> None:
+        """Steps over the tokens in random order."""
+        order = rng.permutation(len(target))
+        for at in range(0, len(order), STEP_TOKENS):
+            i = order[at : at + STEP_TOKENS]
+            self._step(far[i], near[i], target[i], rng, np.float32(noise_each), rate)
+
+    def _step(self, f: np.ndarray, c: np.ndarray, t: np.ndarray, rng: np.random.Generator, each: np.float32, rate: float) -> None:
         far, near, out, bias = self.params
-        n, log_noise, each = len(out), self.log_noise, np.float32(noise_each)
-        order = rng.permutation(len(contexts))
-        for at in range(0, len(order), batch):
-            f, c, t = contexts[order[at : at + batch]].T
-            w = np.ones(len(t), np.float32) if times is None else times[order[at : at + batch]].astype(np.float32)
-            context = far[f] + near[c]
-            # the tokens themselves: told apart from noise by the difference of log-weight and log-noise
-            s = (context * out[t]).sum(axis=1) + bias[t, 0]
-            true = 1 / (1 + np.exp(-(s - log_noise[t] - np.log(each))))
-            wrong = ((1 - true) * w).astype(np.float32)
-            # noise tokens shared by the batch, each counting for noise_each / shared_noise
-            k = rng.choice(n, shared_noise, p=self.noise)
-            sk = context @ out[k].T + bias[k, 0]
-            fake = 1 / (1 + np.exp(-(sk - log_noise[k] - np.log(each))))
-            fake = (fake * (each / shared_noise) * w[:, None]).astype(np.float32)
-            size = np.float32(1 / np.sqrt(w.sum()))
-            g_context = (wrong[:, None] * out[t] - fake @ out[k]) * size
-            g_out = (_scatter(t, wrong[:, None] * context, n) - _scatter(k, fake.T @ context, n)) * size
-            g_bias = (np.bincount(t, wrong, n) - np.bincount(k, fake.sum(axis=0), n)).astype(np.float32)[:, None] * size
-            for p, h, g in zip(self.params, self.grown, (_scatter(f, g_context, n + 1), _scatter(c, g_context, n + 1), g_out, g_bias)):
-                h += g * g
-                p += rate * g / np.sqrt(h)
-
-    def normalised(self) -> LogBilinear:
-        """Exact normalisation."""
+        context, own = far[f] + near[c], out[t]
+        # the tokens themselves: told apart from noise by the difference of log-weight and log-noise
+        odds = np.einsum("ij,ij->i", context, own) + bias[t, 0] - self.log_noise[t] - np.log(each)
+        wrong = 1 / (1 + np.exp(odds))
+        # noise tokens shared by the step, each counting for noise_each / SHARED_NOISE
+        k = np.minimum(np.searchsorted(self.upto, rng.random(SHARED_NOISE) * self.upto[-1], side="right"), len(out) - 1)
+        odds = context @ out[k].T
+        odds += bias[k, 0] - self.log_noise[k] - np.log(each)
+        fake = (each / np.float32(SHARED_NOISE)) / (1 + np.exp(-odds))
+        size = np.float32(1 / np.sqrt(len(t)))
+        g_context = (wrong[:, None] * own - fake @ out[k]) * size
+        # the last column is the bias's
+        rows = np.concatenate([np.column_stack([wrong[:, None] * context, wrong]), -np.column_stack([fake.T @ context, fake.sum(axis=0)])]) * size
+        at, g = _sums(np.concatenate([t, k]), rows)
+        short = np.uint16 if len(far) < 1 << 16 else np.int64  # short numbers sort faster
+        for which, (at, g) in enumerate((_sums(f.astype(short), g_context), _sums(c.astype(short), g_context), (at, g[:, :-1]), (at, g[:, -1:]))):
+            self.grown[which][at] += (g * g).mean(axis=1)
+            self.params[which][at] += rate * g / np.sqrt(self.grown[which][at])[:, None]
+
+    def normalised(self, block: int = 4096) -> LogBilinear:
+        """Exact normalisation: sums over all outputs for every pair of context classes, in blocks of outputs."""
         far, near, out, bias = self.params
-        n = len(out)
-        far_table, near_table = far @ out.T, near @ out.T
-        shifted = np.exp(near_table + bias[:, 0])  # context class x class
-        norm = np.empty((n + 1, n + 1), np.float32)
-        for i in range(0, n + 1, 128):  # batched products over every pair of contexts
-            norm[i : i + 128] = np.log(np.exp(far_table[i : i + 128]) @ shifted.T)
-        return LogBilinear(far_table, near_table, bias[:, 0].copy(), norm)
+        total = np.zeros((len(far), len(near)))
+        for at in range(0, len(out), block):
+            part = out[at : at + block].T
+            total += np.exp(far @ part) @ np.exp(near @ part + bias[at : at + block, 0]).T
+        return LogBilinear(far, near, out, bias[:, 0].copy(), np.log(total).astype(np.float32))
 
 
 def train(
-    contexts: np.ndarray, class_tokens: np.ndarray, dimensions: int = DIMENSIONS, noise_each: int = 20, shared_noise: int = 256,
-    batch: int = 4096, epochs: int = 2, rate: float = 0.15, seed: int = 11,
-) -> LogBilinear:
-    """Noise-contrastive estimation with AdaGrad, then exact normalisation."""
-    rng = np.random.default_rng(seed)
-    learner = _Learner(class_tokens, dimensions, rng)
-    for _ in range(epochs if len(contexts) else 0):
-        learner.epoch(contexts, None, rng, noise_each, shared_noise, batch, rate)
-    return learner.normalised()
-
-
-def train_on_all(
-    counted: DataFrame, class_tokens: np.ndarray, dimensions: int = DIMENSIONS, rounds: int = 2, seed: int = 11,
-    piece: int = PIECE, shard_rows: int = SHARD_ROWS,
-) -> LogBilinear:
-    """The same on counted contexts (code, n): every round, each shard learns from the average of the last."""
-    learner = _Learner(class_tokens, dimensions, np.random.default_rng(seed))
-    pieces = F.ceil(F.col("n") / F.lit(piece))
-    shards = max(1, -(-(counted.agg(F.sum(pieces)).first()[0] or 0) // shard_rows))
-    # the pieces of one context and token go to different shards, so that each shard has the corpus's law
-    cut = counted.select("code", "n", F.explode(F.sequence(F.lit(1).cast("long"), pieces.cast("long"))).alias("j"))
-    dealt = cut.select(
-        F.pmod(F.xxhash64("code", "j"), F.lit(shards)).alias("shard"), "code", "j",
-        F.least(F.lit(piece), F.col("n") - (F.col("j") - 1) * piece).cast("long").alias("times"),
-    ).repartition(shards, "shard").sortWithinPartitions("shard", "code", "j")
-    base = len(class_tokens) + 1
+    docs: DataFrame, vocab: Vocabulary, dimensions: int = DIMENSIONS, rounds: int = 2, seed: int = 11, shard_tokens: int = SHARD_TOKENS
+) -> LogBilinear:
+    """Every round, each shard learns from the average of the last; then exact normalisation."""
+    learner = Learner(vocab.output_tokens(), vocab.n_contexts, dimensions, seed)
+    shards = max(1, -(-vocab.total // shard_tokens))
+    dealt = encode_training(docs, vocab).withColumn("shard", F.pmod("key", F.lit(shards)))
+    dealt = durable(dealt.repartition(shards, "shard").sortWithinPartitions("shard", "key", "outputs").select("shard", "outputs"))
     for turn in range(rounds):
-        sent = counted.sparkSession.sparkContext.broadcast((class_tokens, learner.state(), turn))
+        sent = docs.sparkSession.sparkContext.broadcast((vocab.output_tokens(), vocab.contexts, vocab.n_contexts, learner.state(), turn))
 
         def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            sizes, state, now = sent.value
-
-            def row(shard: int, parts: list[np.ndarray]) -> pa.RecordBatch:
-                code, times = np.concatenate(parts, axis=1)
-                own = _Learner(sizes, dimensions, np.random.default_rng(seed))
-                own.restore(state)
-                contexts = np.stack([code // base // base, code // base % base, code % base], axis=1)
-                own.epoch(contexts, times, np.random.default_rng([seed, now, shard]))
-                weight = int(times.sum())
-                columns = pa.array([shard], pa.int64()), pa.array([weight], pa.int64()), pa.array([(own.state().astype(np.float64) * weight).tobytes()], pa.binary())
-                return pa.RecordBatch.from_arrays(list(columns), ["shard", "weight", "state"])
-
-            open_shard, parts = -1, []
+            sizes, classes, outside, state, now = sent.value
+            own, shard, weight, held, size = Learner(sizes, outside, dimensions, seed), None, 0, [], 0
+            rng = np.random.default_rng(seed)
+
+            def use() -> None:
+                nonlocal weight, held, size
+                lengths = np.array([len(x) for x in held])
+                outputs = np.concatenate(held)
+                own.learn(*contexts_of(outputs, np.cumsum(lengths) - lengths, classes, outside), outputs, rng)
+                weight, held, size = weight + len(outputs), [], 0
+
             for batch in batches:
-                shard = batch.column(0).to_numpy()
-                rows = np.stack([batch.column(1).to_numpy(), batch.column(2).to_numpy()])
-                for own in np.unique(shard).tolist():  # sorted, so each shard is a run
-                    if own != open_shard and parts:
-                        yield row(open_shard, parts)
-                        parts = []
-                    open_shard = own
-                    parts.append(rows[:, shard == own])
-            if parts:
-                yield row(open_shard, parts)
-
-        learnt = map_batches(dealt.select("shard", "code", "times"), learn, "shard long, weight long, state binary")
-        # sums of up to 32 shards come to the driver; in order, so that they are the same every time
-        grouped = learnt.withColumn("part", F.floor(F.col("shard") / 32).cast("long")).repartition(-(-shards // 32), "part").sortWithinPartitions("part", "shard")
-        sums = map_batches(grouped.select("part", "weight", "state"), _summed, "part long, weight long, state binary").collect()
-        if sums:
-            total = sum(np.frombuffer(r["state"]) for r in sorted(sums, key=lambda r: r["part"]))
-            learner.restore((total / sum(r["weight"] for r in sums)).astype(np.float32))
+                for s, raw in zip(batch.column(0).to_pylist(), batch.column(1)):  # sorted, so each shard is a run
+                    if s != shard:
+                        if held:
+                            use()
+                        if weight:
+                            yield _parameters(shard, weight, own.state())
+                        own.restore(state)
+                        shard, weight, rng = s, 0, np.random.default_rng([seed, now, s])
+                    held.append(np.frombuffer(raw.as_buffer(), np.int32).copy())
+                    size += len(held[-1])
+                    if size >= BUFFER_TOKENS:
+                        use()
+            if held:
+                use()
+            if weight:
+                yield _parameters(shard, weight, own.state())
+
+        learnt = map_batches(dealt, learn, "shard long, weight long, state binary")
+        weight, state = _average(learnt, shards)
+        if weight:
+            learner.restore(state)
         sent.unpersist()
     return learner.normalised()
 
 
-def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """One row for each run of equal `part`: summed weights and states."""
-    part, weight, state = None, 0, None
+def _parameters(shard: int, weight: int, state: np.ndarray) -> pa.RecordBatch:
+    columns = pa.array([shard], pa.int64()), pa.array([weight], pa.int64()), pa.array([state.astype(np.float32).tobytes()], pa.binary())
+    return pa.RecordBatch.from_arrays(list(columns), ["shard", "weight", "state"])
 
-    def row() -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([weight], pa.int64()), pa.array([state.tobytes()], pa.binary())], ["part", "weight", "state"])
 
+def _average(learnt: DataFrame, shards: int) -> tuple[int, np.ndarray | None]:
+    """Weighted mean of the shards' states, in levels of `FAN_IN`; in order, so that it is the same every time."""
+    while shards > FAN_IN:
+        shards = -(-shards // FAN_IN)
+        parts = learnt.withColumn("part", F.floor(F.col("shard") / FAN_IN).cast("long")).repartition(shards, "part").sortWithinPartitions("part", "shard")
+        learnt = map_batches(parts.select("part", "weight", "state"), _averaged, "shard long, weight long, state binary")
+    whole, total = 0, None
+    for row in sorted(learnt.collect(), key=lambda r: r["shard"]):  # at most FAN_IN rows
+        x = np.frombuffer(row["state"], np.float32) * float(row["weight"])
+        whole, total = whole + row["weight"], x if total is None else total + x
+    return whole, None if total is None else total / whole
+
+
+def _averaged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One row for each run of equal `part`: summed weight and mean state."""
+    part, weight, total = None, 0, None
     for batch in batches:
-        for p, w, x in zip(*(batch.column(k) for k in range(3))):
-            p, w, x = p.as_py(), w.as_py(), np.frombuffer(x.as_buffer())
-            if p == part:
-                weight, state = weight + w, state + x
-                continue
-            if part is not None:
-                yield row()
-            part, weight, state = p, w, x
+        for p, w, raw in zip(*(batch.column(k) for k in range(3))):
+            p, w = p.as_py(), w.as_py()
+            x = np.frombuffer(raw.as_buffer(), np.float32) * float(w)
+            if p != part:
+                if part is not None:
+                    yield _parameters(part, weight, total / weight)
+                part, weight, total = p, 0, 0.0
+            weight, total = weight + w, total + x
     if part is not None:
-        yield row()
+        yield _parameters(part, weight, total / weight)
 
 
 def score(docs: DataFrame, counted: DataFrame, vocab: Vocabulary, model: LogBilinear) -> DataFrame:
@@ -409,12 +384,11 @@ def score(docs: DataFrame, counted: DataFrame, vocab: Vocabulary, model: LogBili
         from pyspark import TaskContext
 
         v, m = sent.value
-        lookup, outside = _Lookup(v.hot).__getitem__, v.n_classes
+        lookup, first_shared = v.lookup().__getitem__, len(v.hot)
         per_token = np.log10(v.total + v.distinct + 1.0)
-        in_class = np.log10(v.class_tokens + v.class_distinct + 1.0)
-        in_class[: v.own] = 0.0
+        in_class = np.log10(v.rare_tokens + v.rare_distinct + 1.0)
         log_hot = np.log10(v.counts + 1.0)
-        spread = np.where(v.classes >= v.own, log_hot, 0.0)
+        start = np.zeros(1, np.int64)
         row = TaskContext.get().partitionId() << 40
         for batch in batches:
             out: list[tuple] = []
@@ -422,13 +396,9 @@ def score(docs: DataFrame, counted: DataFrame, vocab: Vocabulary, model: LogBili
                 words = tokens(text)
                 n = len(words)
                 at = np.fromiter(map(lookup, words), np.int64, n)
-                hot = at >= 0
+                hot = at < first_shared
                 known = at[hot]
-                classes = np.empty(n + 2, np.int64)
-                classes[:2] = outside
-                classes[2:][hot] = v.classes[known]
-                classes[2:][~hot] = v.own - 1 - at[~hot]
-                found = m.log10(classes[:-2], classes[1:-1], classes[2:]).sum() - in_class[classes[2:]].sum() + spread[known].sum()
+                found = m.log10(*contexts_of(at, start, v.contexts, v.n_contexts), at).sum() - in_class[at[~hot] - first_shared].sum()
                 base = log_hot[known].sum() - n * per_token
                 rare = Counter([words[i] for i in np.flatnonzero(~hot).tolist()])
                 # the document's own sums ride on its first rare token, or on a key that no token has
@@ -462,17 +432,10 @@ def _rows(out: list[tuple], names: list[str], kinds: list[pa.DataType]) -> pa.Re
 
 
 def score_documents(
-    docs: DataFrame, draws: int | None = None, hot: int = HOT, own_classes: int | None = None, id_col: str = "doc_id", text_col: str = "text"
+    docs: DataFrame, hot: int = HOT, own_classes: int | None = None, id_col: str = "doc_id", text_col: str = "text", shard_tokens: int = SHARD_TOKENS
 ) -> DataFrame:
-    """Count, train and score: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score.
-
-    Without `draws` the steps use every training token; with it, a sample of that size drawn by text.
-    """
+    """Count, train and score: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
     rows = texts(docs, id_col, text_col)
     counted = durable(count_training_tokens(rows))
     vocab = vocabulary(counted, hot, own_classes)
-    if draws is None:
-        model = train_on_all(durable(count_contexts(rows, vocab)), vocab.class_tokens)
-    else:
-        model = train(draw_contexts(rows, vocab, draws), vocab.class_tokens)
-    return score(rows, counted, vocab, model)
+    return score(rows, counted, vocab, train(rows, vocab, shard_tokens=shard_tokens))

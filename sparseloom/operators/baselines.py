@@ -7,17 +7,19 @@ from dataclasses import replace
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .framework import SampleSpec, sample_minibatches
+from ..sources.tables import shared_folder
+from . import matrix
+from .framework import SampleSpec, in_bulks, sample_minibatches
 
 
 def per_batch_loop(edges: DataFrame, batches: DataFrame, spec: SampleSpec, count: int) -> DataFrame:
-    """The same samples, planned one batch at a time; the graph replicated as in the compared system."""
+    """The same samples by one job after the other, one batch each; the graph replicated as in the compared system."""
     one_by_one = replace(spec, strategy="replicated")
-    out = None
-    for b in range(count):
-        part = sample_minibatches(edges, batches.where(F.col("batch") == b), one_by_one)
-        out = part if out is None else out.unionByName(part)
-    return out
+    adjacency = matrix.to_adjacency(edges)
+    folder = shared_folder(edges.sparkSession, "per-batch")
+    for b, part in enumerate(in_bulks(edges, batches, one_by_one, 1, count, adjacency)):
+        part.write.parquet(f"{folder}/{b}")
+    return edges.sparkSession.read.parquet(*[f"{folder}/{b}" for b in range(count)])
 
 
 def full_neighborhood(edges: DataFrame, batches: DataFrame, hops: int) -> DataFrame:

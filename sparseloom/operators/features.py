@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..sources.tables import BROADCAST_BYTES, durable
 from .grid import Grid
 
 
@@ -32,15 +33,26 @@ def hot_vertices(edges: DataFrame, fraction: float, most: int = 1_000_000) -> Da
     return deg.orderBy(F.desc("deg"), "v").limit(n).select("v")
 
 
-def fetch_features_cached(sampled: DataFrame, features: DataFrame, edges: DataFrame, fraction: float = 0.2, roots: DataFrame | None = None) -> DataFrame:
-    """The same rows in two tiers: hot vectors (a bounded number) by broadcast, the others by shuffle; `near` says which."""
+def fetch_features_cached(sampled: DataFrame, features: DataFrame, edges: DataFrame, fraction: float = 0.2, roots: DataFrame | None = None, limit: int = BROADCAST_BYTES) -> DataFrame:
+    """The same rows in two tiers: hot vectors by broadcast, the others by shuffle; `near` says which.
+
+    As many hot vertices as `fraction` says, or as their vectors leave room for below `limit` bytes.
+    """
     ids = needed_vertices(sampled, roots)
-    hot = F.broadcast(features.select("v", "vec").join(F.broadcast(hot_vertices(edges, fraction)), "v"))
-    near = ids.join(hot, "v").select("batch", "v", "vec", F.lit(True).alias("near"))
-    cold = ids.join(hot.select("v"), "v", "left_anti").join(features.select("v", "vec"), "v")
+    width = features.agg(F.max(F.size("vec"))).first()[0] or 1
+    hot = durable(features.select("v", "vec").join(F.broadcast(hot_vertices(edges, fraction, limit // (16 * width + 32))), "v"))
+    near = ids.join(F.broadcast(hot), "v").select("batch", "v", "vec", F.lit(True).alias("near"))
+    cold = ids.join(F.broadcast(hot.select("v")), "v", "left_anti").join(features.select("v", "vec"), "v")
     return near.unionByName(cold.select("batch", "v", "vec", F.lit(False).alias("near")))
 
 
+def feature_words(sampled: DataFrame, grid: Grid, width: int) -> DataFrame:
+    """Remote feature words per batch: distinct needed vertices whose owner is another block row."""
+    ids = sampled.select("batch", F.col("src").alias("v")).union(sampled.select("batch", "dst")).distinct()
+    remote = F.pmod("v", F.lit(grid.rows)) != F.pmod("batch", F.lit(grid.rows))
+    return ids.groupBy("batch").agg(F.count(F.lit(1)).alias("vertices"), (F.sum(remote.cast("long")) * width).alias("remote_words"))
+
+
 def mean_features(sampled: DataFrame, features: DataFrame) -> DataFrame:
     """(batch, row_id, src, vec): mean vector of each row's drawn neighbours, all inside the JVM."""
     spread = sampled.join(features.select(F.col("v").alias("dst"), "vec"), "dst").select("batch", "row_id", "src", F.posexplode("vec").alias("i", "x"))

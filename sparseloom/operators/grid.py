@@ -88,3 +88,26 @@ def comm_ledger(q: DataFrame, a: DataFrame, grid: Grid, aware: bool = True, keys
     if remote_only:
         moved = moved.where("from_k <> to_i")
     return moved.unionByName(reduce)
+
+
+def extract_rows_grid(frontier: DataFrame, edges: DataFrame, grid: Grid) -> DataFrame:
+    """Layer-wise row extraction over the grid: the frontier's rows of the graph, per batch: (batch, src, dst).
+
+    The selector has one row per frontier vertex, and its product with the graph goes the same way as any other: rows
+    that some batch of a block row names are sent to it, and nothing else.
+    """
+    named = frontier.select("batch", F.col("v").alias("row"), F.col("v").alias("col"), F.lit(1).cast("long").alias("val")).distinct()
+    product = spgemm_grid(named, edges.select(F.col("src").alias("row"), F.col("dst").alias("col"), F.lit(1).cast("long").alias("val")), grid, keys=("batch",))
+    return product.select("batch", F.col("row").alias("src"), F.col("col").alias("dst"))
+
+
+def extract_columns_grid(rows: DataFrame, picked: DataFrame, grid: Grid) -> DataFrame:
+    """Layer-wise column extraction over the grid: (batch, row_id, src, dst, rank).
+
+    The batches' small products are dealt over the c processes of a process row: process j multiplies the batches that are j
+    modulo c, and what the processes of a row have made is put together at the end.
+    """
+    place = [F.pmod("batch", F.lit(grid.rows)).cast("long").alias("i"), F.pmod(F.floor(F.col("batch") / grid.rows), F.lit(grid.c)).cast("long").alias("j")]
+    left = rows.select(*place, "batch", "src", "dst")
+    right = picked.select(*place, "batch", F.col("col").alias("dst"), "rank")
+    return left.join(right, ["i", "j", "batch", "dst"]).select("batch", F.lit(0).cast("long").alias("row_id"), "src", "dst", "rank")

@@ -3,10 +3,13 @@
 from __future__ import annotations
 
 from collections.abc import Sequence
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources.tables import durable
+
 
 def spgemm(a: DataFrame, b: DataFrame, keys: Sequence[str] = (), left=("row", "col"), right=("row", "col")) -> DataFrame:
     """Product of two sparse matrices; `keys` are columns of `a` (such as batch) that stay apart."""
@@ -102,6 +105,49 @@ def to_blocks(edges: DataFrame, block: int = 1024) -> DataFrame:
     return cut.groupBy("src", "blk").agg(F.min("at").cast("long").alias("cum_before"), F.array_sort(F.collect_list("dst")).alias("nbrs"))
 
 
+#: Neighbours in one array at most; rows with more are kept in blocks of so many.
+LONGEST_ROW = 1 << 16
+
+
+@dataclass(frozen=True)
+class Adjacency:
+    """A graph at rest in rows.
+
+    `rows`: src, deg, nbrs, of all sources with up to `longest` neighbours; `hubs`: src, deg of the others, and `blocks`: their
+    src, blk, cum_before, nbrs. Without hubs these are None.
+    """
+
+    rows: DataFrame
+    hubs: DataFrame | None = None
+    blocks: DataFrame | None = None
+    longest: int = LONGEST_ROW
+
+    def replicated(self) -> Adjacency:
+        """With the rows sent to every task; blocks stay where they are."""
+        return replace(self, rows=F.broadcast(self.rows))
+
+    def expand(self, frontier: DataFrame) -> DataFrame:
+        """(batch, row_id, src, col): the frontier's whole rows; only the frontier moves to a bucketed table."""
+        cols = ["batch", "row_id", "src", F.explode("nbrs").alias("col")]
+        out = frontier.join(self.rows.select("src", "nbrs"), F.col("v") == F.col("src")).select(*cols)
+        if self.blocks is None:
+            return out
+        return out.unionByName(frontier.join(self.blocks.select("src", "nbrs"), F.col("v") == F.col("src")).select(*cols))
+
+
+def to_adjacency(edges: DataFrame, longest: int = LONGEST_ROW, cut: bool = True) -> Adjacency:
+    """Rows for most sources, blocks for hubs: no array grows with a hub."""
+    deg = edges.groupBy("src").agg(F.count(F.lit(1)).alias("deg"))
+    hubs = durable(deg.where(F.col("deg") > longest))
+    if hubs.isEmpty():
+        rows = to_rows(edges)
+        return Adjacency(durable(rows) if cut else rows, longest=longest)
+    named = hubs.select("src")
+    rows = durable(to_rows(edges.join(named, "src", "left_anti")))
+    blocks = durable(to_blocks(edges.join(named, "src", "left_semi"), longest))
+    return Adjacency(rows, hubs, blocks, longest)
+
+
 def storage_bytes(rows: int, cols: int, nnz: int, fmt: str, index: int = 8, value: int = 4) -> int:
     """Bytes of a sparse matrix: coordinates, or a pointer array with one entry per row or column."""
     pointers = {"coo": 0, "csr": rows + 1, "csc": cols + 1}[fmt]

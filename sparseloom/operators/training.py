@@ -15,8 +15,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..sources.tables import durable, ensure_importable
-from .features import fetch_features
+from .features import feature_words, fetch_features
 from .framework import SampleSpec, make_batches, sample_minibatches
+from .grid import Grid
 
 
 @dataclass(frozen=True)
@@ -27,11 +28,13 @@ class ModelSpec:
     layers: int = 3
     rate: float = 0.01
     seed: int = 5
+    #: Precision of vectors, weights and gradients.
+    dtype: str = "float64"
 
     def weights(self) -> list[np.ndarray]:
         rng = np.random.default_rng(self.seed)
         sizes = [self.inputs, *[self.hidden] * (self.layers - 1), self.classes]
-        return [rng.normal(0, np.sqrt(2 / (2 * a)), (2 * a, b)) for a, b in zip(sizes, sizes[1:])]
+        return [rng.normal(0, np.sqrt(2 / (2 * a)), (2 * a, b)).astype(self.dtype) for a, b in zip(sizes, sizes[1:])]
 
 
 @dataclass
@@ -51,6 +54,14 @@ def local_minibatch(layers: list[tuple[int, np.ndarray, np.ndarray]], ids: np.nd
     return Minibatch([(at(s), at(d)) for _, s, d in sorted(layers, key=lambda e: e[0])], x, at(roots), labels)
 
 
+def _add_rows(into: np.ndarray, at: np.ndarray, values: np.ndarray) -> None:
+    """into[at] += values, where numbers may repeat."""
+    if len(at):
+        order = np.argsort(at, kind="stable")
+        first = np.flatnonzero(np.diff(at[order], prepend=-1))
+        into[at[order][first]] += np.add.reduceat(values[order], first)
+
+
 def forward(m: Minibatch, weights: list[np.ndarray]) -> np.ndarray:
     """Class scores of the batch's own vertices; keeps what the backward pass needs."""
     h, m.state = m.x, []
@@ -59,8 +70,8 @@ def forward(m: Minibatch, weights: list[np.ndarray]) -> np.ndarray:
         src, dst = pairs
         count = np.maximum(np.bincount(src, minlength=len(h)), 1)[:, None]
         mean = np.zeros_like(h)
-        np.add.at(mean, src, h[dst])
-        mean /= count
+        _add_rows(mean, src, h[dst])
+        mean /= count.astype(h.dtype)
         both = np.concatenate([h, mean], axis=1)
         z = both @ w
         m.state.append((both, z, src, dst, count))
@@ -81,7 +92,7 @@ def loss_and_gradients(m: Minibatch, weights: list[np.ndarray]) -> tuple[float,
     g[known, m.labels[known]] -= 1
     g[~known] = 0
     top = np.zeros_like(m.state[-1][1])
-    np.add.at(top, m.roots, g)
+    _add_rows(top, m.roots, g)
     out: list[np.ndarray] = [np.zeros_like(w) for w in weights]
     for k in range(len(weights) - 1, -1, -1):
         both, z, src, dst, count = m.state[k]
@@ -90,7 +101,7 @@ def loss_and_gradients(m: Minibatch, weights: list[np.ndarray]) -> tuple[float,
         gb = gz @ weights[k].T
         width = both.shape[1] // 2
         top = gb[:, :width].copy()
-        np.add.at(top, dst, (gb[:, width:] / count)[src])
+        _add_rows(top, dst, (gb[:, width:] / count.astype(gb.dtype))[src])
     return loss, n, out
 
 
@@ -102,9 +113,9 @@ def minibatch_rows(sampled: DataFrame, features: DataFrame, batches: DataFrame,
     return marked.join(vectors, "batch").join(edges, "batch", "left")
 
 
-def _unpack(row: dict, layers: int) -> Minibatch:
+def _unpack(row: dict, layers: int, dtype="float64") -> Minibatch:
     ids = np.array([r["v"] for r in row["vectors"]], np.int64)
-    x = np.array([r["vec"] for r in row["vectors"]], float)
+    x = np.array([r["vec"] for r in row["vectors"]], dtype)
     roots = np.array([r["v"] for r in row["roots"]], np.int64)
     labels = np.array([r["label"] for r in row["roots"]], np.int64)
     kept = np.isin(roots, ids)
@@ -126,7 +137,7 @@ class Adam:
         for k, (w, g) in enumerate(zip(weights, gradients)):
             self.m[k] = 0.9 * self.m[k] + 0.1 * g
             self.v[k] = 0.999 * self.v[k] + 0.001 * g * g
-            out.append(w - self.rate * (self.m[k] / (1 - 0.9**self.t)) / (np.sqrt(self.v[k] / (1 - 0.999**self.t)) + 1e-8))
+            out.append((w - self.rate * (self.m[k] / (1 - 0.9**self.t)) / (np.sqrt(self.v[k] / (1 - 0.999**self.t)) + 1e-8)).astype(w.dtype))
         return out
 
 
@@ -142,7 +153,7 @@ def step_gradients(rows: DataFrame, weights: list[np.ndarray], layers: int) -> t
         total, loss, n = [np.zeros_like(w) for w in sent.value], 0.0, 0
         for batch in found:
             for row in batch.to_pylist():
-                a, b, g = loss_and_gradients(_unpack(row, layers), sent.value)
+                a, b, g = loss_and_gradients(_unpack(row, layers, sent.value[0].dtype), sent.value)
                 loss, n = loss + a, n + b
                 total = [x + y for x, y in zip(total, g)]
         yield pa.RecordBatch.from_pylist(
@@ -159,20 +170,30 @@ def step_gradients(rows: DataFrame, weights: list[np.ndarray], layers: int) -> t
 
 @dataclass
 class EpochReport:
+    """`seconds` by phase; `remote_words`: feature words that another block row owns, if a grid was given."""
+
     epoch: int
     loss: float
     labelled: int
     steps: int
     seconds: dict[str, float]
+    k: int = 0
+    remote_words: int | None = None
+
+    @property
+    def sampling_share(self) -> float:
+        return self.seconds["sampling"] / max(1e-9, sum(self.seconds.values()))
 
 
 def train(
     edges: DataFrame, features: DataFrame, labels: DataFrame, train_vertices: DataFrame, model: ModelSpec, spec: SampleSpec, batch_size: int,
-    epochs: int = 1, processes: int = 4, k: int | None = None, weights: list[np.ndarray] | None = None,
+    epochs: int = 1, processes: int = 4, k: int | None = None, weights: list[np.ndarray] | None = None, adjacency=None, memory: int | None = None,
+    words_over: Grid | None = None,
 ) -> tuple[list[np.ndarray], list[EpochReport]]:
     """Bulk-synchronous training: sample k batches at once, fetch, then one update per `processes` batches.
 
-    Samples depend on seed, epoch and batch only, so any k gives the same weights.
+    Samples depend on seed, epoch and batch only, so any k gives the same weights. Without k all batches are sampled together,
+    or as many as the planner finds room for in `memory` bytes for each process.
     """
     from dataclasses import replace
     from time import perf_counter
@@ -182,26 +203,39 @@ def train(
     for epoch in range(epochs):
         batches = durable(make_batches(train_vertices, batch_size, spec.seed, epoch))
         count = (batches.agg(F.max("batch")).first()[0] or 0) + 1 if not batches.isEmpty() else 0
-        seconds, loss, n, steps = {"sampling": 0.0, "fetch": 0.0, "propagation": 0.0}, 0.0, 0, 0
-        width = k or max(1, count)
-        width = -(-width // processes) * processes
+        seconds, loss, n, steps, words = {"sampling": 0.0, "fetch": 0.0, "propagation": 0.0}, 0.0, 0, 0, 0
+        if k is None and memory is not None:
+            from ..plans.planner import plan_epoch
+
+            width = plan_epoch(edges, features, count, batch_size, spec.fanout, processes, memory).k
+        else:
+            width = k or max(1, count)
+        pending, held = [np.zeros_like(w) for w in weights], 0  # gradients of the step under way
         for low in range(0, count, width):
-            bulk = batches.where(f"batch >= {low} AND batch < {low + width}")
+            end = min(low + width, count)
+            bulk = batches.where(f"batch >= {low} AND batch < {end}")
             t = perf_counter()
-            sampled = durable(sample_minibatches(edges, bulk, replace(spec, seed=spec.seed + 1000 * epoch)))
+            sampled = durable(sample_minibatches(edges, bulk, replace(spec, seed=spec.seed + 1000 * epoch), adjacency))
             seconds["sampling"] += perf_counter() - t
             t = perf_counter()
             rows = durable(minibatch_rows(sampled, features, bulk, labels, model.layers))
             seconds["fetch"] += perf_counter() - t
+            if words_over is not None:
+                words += feature_words(sampled, words_over, model.inputs).agg(F.sum("remote_words")).first()[0] or 0
             t = perf_counter()
-            for first in range(low, min(low + width, count), processes):
-                some = rows.where(f"batch >= {first} AND batch < {first + processes}")
-                a, b, g = step_gradients(some, weights, model.layers)
-                loss, n, steps = loss + a, n + b, steps + 1
-                if b:
-                    weights = optimizer.step(weights, [x / b for x in g])
+            first = low
+            while first < end:
+                last = min((first // processes + 1) * processes, end)
+                a, b, g = step_gradients(rows.where(f"batch >= {first} AND batch < {last}"), weights, model.layers)
+                loss, n, held, pending = loss + a, n + b, held + b, [x + y for x, y in zip(pending, g)]
+                if last % processes == 0 or last == count:
+                    steps += 1
+                    if held:
+                        weights = optimizer.step(weights, [x / held for x in pending])
+                    pending, held = [np.zeros_like(w) for w in weights], 0
+                first = last
             seconds["propagation"] += perf_counter() - t
-        reports.append(EpochReport(epoch, loss / max(1, n), n, steps, seconds))
+        reports.append(EpochReport(epoch, loss / max(1, n), n, steps, seconds, width, words if words_over is not None else None))
     return weights, reports
 
 
@@ -218,7 +252,7 @@ def evaluate(edges: DataFrame, features: DataFrame, labels: DataFrame, vertices:
     def work(found: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in found:
             for row in batch.to_pylist():
-                m = _unpack(row, layers)
+                m = _unpack(row, layers, sent.value[0].dtype)
                 ids = np.array([r["v"] for r in row["vectors"]], np.int64)
                 scores = forward(m, sent.value)
                 yield pa.RecordBatch.from_arrays(

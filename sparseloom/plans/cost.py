@@ -8,6 +8,7 @@ from math import log2, sqrt
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..operators.features import feature_words  # noqa: F401
 from ..operators.grid import Grid
 
 
@@ -52,13 +53,6 @@ def best_c(p: int, most: int | None = None) -> int:
     return min(allowed, key=lambda c: scaling(p, c))
 
 
-def feature_words(sampled: DataFrame, grid: Grid, width: int) -> DataFrame:
-    """Remote feature words per batch: distinct needed vertices whose owner is another block row."""
-    ids = sampled.select("batch", F.col("src").alias("v")).union(sampled.select("batch", "dst")).distinct()
-    remote = F.pmod("v", F.lit(grid.rows)) != F.pmod("batch", F.lit(grid.rows))
-    return ids.groupBy("batch").agg(F.count(F.lit(1)).alias("vertices"), (F.sum(remote.cast("long")) * width).alias("remote_words"))
-
-
 def speedup(baseline: float, ours: float) -> float:
     return baseline / ours
 
@@ -86,6 +80,15 @@ def shape_report(sampled: DataFrame) -> DataFrame:
     )
 
 
+def inclusion_error(drawn: DataFrame, expected: DataFrame) -> DataFrame:
+    """Total variation and chi square of counted draws (col, drawn) against the shares that they should have (col, share)."""
+    total = drawn.agg(F.sum("drawn")).first()[0] or 0
+    both = expected.join(drawn, "col", "full").select(F.coalesce("drawn", F.lit(0)).alias("drawn"), F.coalesce("share", F.lit(0.0)).alias("share"))
+    gap = F.col("drawn") / F.lit(float(max(1, total))) - F.col("share")
+    chi = F.when(F.col("share") > 0, gap * gap / F.col("share") * total)
+    return both.agg((F.sum(F.abs(gap)) / 2).alias("variation"), F.sum(chi).alias("chi_square"))
+
+
 def accuracy(predicted: DataFrame) -> DataFrame:
     """Share of labelled rows (label, predicted) that are right."""
     return predicted.where("label IS NOT NULL").agg(F.avg((F.col("label") == F.col("predicted")).cast("double")).alias("accuracy"))

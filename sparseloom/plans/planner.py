@@ -4,11 +4,13 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
 from ..operators.grid import Grid
+from ..sources.tables import BROADCAST_BYTES
 from .cost import best_c
 
-BROADCAST_BYTES = 512 * 1024 * 1024
-
 
 @dataclass(frozen=True)
 class Choice:
@@ -40,3 +42,11 @@ def choose(
     while k > 1 and bulk_bytes(k, b, fanout) > p * per_process * 0.4:
         k = -(-k // 2)
     return Choice(strategy, Grid(p, c), k)
+
+
+def plan_epoch(edges: DataFrame, features: DataFrame, batches: int, b: int, fanout: tuple[int | None, ...], p: int, memory: int, bucketed: bool = False) -> Choice:
+    """`choose` with the sizes counted; a hop that takes every neighbour counts with the mean degree."""
+    n_edges, sources = edges.agg(F.count(F.lit(1)), F.approx_count_distinct("src")).first()
+    n, width = features.agg(F.count(F.lit(1)), F.max(F.size("vec"))).first()
+    degree = -(-n_edges // max(1, sources))
+    return choose(n_edges, n, width or 0, batches, b, tuple(degree if s is None else s for s in fanout), p, memory, bucketed)

@@ -77,7 +77,9 @@ def minibatch_files(t, spark):
     return spark.read.parquet(path).groupBy("batch", L("layer").alias("layer")).agg(_n())
 
 
-query("generated_graph")(lambda t, spark: generator.generated_edges(spark, vertices=2000, edges=20000, skew=3).groupBy("src").agg(_n("deg")))
+_X = "((i % 2147483647 * 48271 + 1 + 84 * 69621) % 2147483647)"
+_U = f"(({_X} * {_X} % 2147483647 * 69621 + i) % 2147483647 / 2147483647.0::DOUBLE)"
+query("generated_graph", f"SELECT CAST(floor(2000::DOUBLE * u * u * u) AS BIGINT) AS src, count(*) AS deg FROM (SELECT {_U} AS u FROM range(20000) AS g(i)) GROUP BY 1")(lambda t, spark: generator.generated_edges(spark, vertices=2000, edges=20000, skew=3).groupBy("src").agg(_n("deg")))
 
 # ------------------------------------------------------------------ projection, filter, functions
 
@@ -187,7 +189,11 @@ query("agg_basic", "SELECT l_returnflag, l_linestatus, round(sum(l_quantity), 2)
     lambda t: t.lineitem.groupBy("l_returnflag", "l_linestatus").agg(F.round(F.sum("l_quantity"), 2).alias("s"), _n(), F.round(F.avg("l_discount"), 6).alias("a"), F.min("l_shipdate").alias("lo"), F.max("l_shipdate").alias("hi"))
 )
 query("agg_distinct", "SELECT l_suppkey, count(DISTINCT l_partkey) AS parts, count(DISTINCT l_orderkey) AS orders FROM lineitem GROUP BY 1")(lambda t: t.lineitem.groupBy("l_suppkey").agg(F.countDistinct("l_partkey").alias("parts"), F.countDistinct("l_orderkey").alias("orders")))
-query("agg_approx_distinct")(lambda t: t.lineitem.groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey", 0.02).alias("parts")))
+query("agg_approx_distinct", "SELECT l_returnflag, count(DISTINCT l_partkey) AS parts, true AS within FROM lineitem GROUP BY 1")(
+    lambda t: t.lineitem.groupBy("l_returnflag").agg(F.countDistinct("l_partkey").alias("parts"), F.approx_count_distinct("l_partkey", 0.02).alias("a")).select(
+        "l_returnflag", "parts", (F.abs(F.col("a") - F.col("parts")) <= 0.06 * F.col("parts")).alias("within")
+    )
+)
 query("agg_collect", "SELECT o_custkey, list_sort(list(o_orderkey)) AS orders FROM orders GROUP BY 1")(lambda t: t.orders.groupBy("o_custkey").agg(F.array_sort(F.collect_list("o_orderkey")).alias("orders")))
 _CUBE = "SELECT r_name, c_mktsegment, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY "
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -101,22 +102,25 @@ def positions_sql(graph: str, vertices: str, fanout: tuple[int, ...], size: int
     return f"WITH edges AS ({graph}), {rows}, {batches_sql(vertices, size)}, {', '.join(out)} {union}"
 
 
-def its_sql(s: int, layer: int, draws: int, prob: str = "prob") -> str:
-    """CTEs prefixed, hits, picked: first-hit draws from prefix sums of `prob`."""
+def its_sql(s: int, layer: int, draws: int, prob: str = "prob", at: str = "") -> str:
+    """CTEs prefixed, hits, picked (names end in `at`): first-hit draws from prefix sums of `prob`; rows still short are completed by a race."""
     r = u52_sql(str(SEED), "batch", str(layer), "row_id", "t")
+    key = f"-ln(({u52_sql(str(SEED + draw.COMPLETING), 'batch', str(layer), 'row_id', 'col')} + 0.5) / 4503599627370496.0) / w"
     return (
-        f"prefixed AS (SELECT *, CAST(sum(w) OVER (PARTITION BY batch, row_id ORDER BY col) AS BIGINT) AS hi, CAST(sum(w) OVER (PARTITION BY batch, row_id) AS BIGINT) AS total FROM {prob}), "
-        f"draws AS (SELECT batch, row_id, t, {r} % total AS r FROM (SELECT DISTINCT batch, row_id, total FROM prefixed), range({draws}) AS g(t)), "
-        f"hits AS (SELECT p.batch, p.row_id, p.col, d.t FROM prefixed p JOIN draws d ON p.batch = d.batch AND p.row_id = d.row_id AND d.r >= p.hi - p.w AND d.r < p.hi), "
-        f"firsts AS (SELECT batch, row_id, col, min(t) AS t FROM hits GROUP BY ALL), "
-        f"picked AS (SELECT batch, row_id, col, rank FROM (SELECT *, row_number() OVER (PARTITION BY batch, row_id ORDER BY t) AS rank FROM firsts) WHERE rank <= {s})"
+        f"prefixed{at} AS (SELECT *, CAST(sum(w) OVER (PARTITION BY batch, row_id ORDER BY col) AS BIGINT) AS hi, CAST(sum(w) OVER (PARTITION BY batch, row_id) AS BIGINT) AS total FROM {prob}), "
+        f"draws{at} AS (SELECT batch, row_id, t, {r} % total AS r FROM (SELECT DISTINCT batch, row_id, total FROM prefixed{at}), range({draws}) AS g(t)), "
+        f"hits{at} AS (SELECT p.batch, p.row_id, p.col, d.t FROM prefixed{at} p JOIN draws{at} d ON p.batch = d.batch AND p.row_id = d.row_id AND d.r >= p.hi - p.w AND d.r < p.hi), "
+        f"firsts{at} AS (SELECT p.batch, p.row_id, p.col, p.w, h.t FROM {prob} p LEFT JOIN (SELECT batch, row_id, col, min(t) AS t FROM hits{at} GROUP BY ALL) h ON p.batch = h.batch AND p.row_id = h.row_id AND p.col = h.col), "
+        f"short{at} AS (SELECT batch, row_id, count(t) < {s} AS open FROM firsts{at} GROUP BY ALL), "
+        f"keyed{at} AS (SELECT f.*, CASE WHEN t IS NULL THEN {key.replace('batch', 'f.batch').replace('row_id', 'f.row_id')} END AS key FROM firsts{at} f JOIN short{at} x ON f.batch = x.batch AND f.row_id = x.row_id WHERE t IS NOT NULL OR open), "
+        f"picked{at} AS (SELECT batch, row_id, col, rank FROM (SELECT *, row_number() OVER (PARTITION BY batch, row_id ORDER BY t NULLS LAST, key, col) AS rank FROM keyed{at}) WHERE rank <= {s})"
     )
 
 
-def layer_prob_sql(frontier: str = "front", power: int = 2) -> str:
+def layer_prob_sql(frontier: str = "front", power: int = 2, at: str = "") -> str:
     w = " * ".join(["e"] * power)
     return (
-        f"prob AS (SELECT batch, CAST(0 AS BIGINT) AS row_id, col, {w} AS w FROM (SELECT f.batch, e.dst AS col, count(*) AS e "
+        f"prob{at} AS (SELECT batch, CAST(0 AS BIGINT) AS row_id, col, {w} AS w FROM (SELECT f.batch, e.dst AS col, count(*) AS e "
         f"FROM (SELECT DISTINCT batch, v FROM {frontier}) f JOIN edges e ON f.v = e.src GROUP BY ALL))"
     )
 
@@ -189,6 +193,42 @@ query("node_pushdown", node_sql(COPURCHASE, PARTS, FANOUT))(_node(FANOUT, strate
 query("node_positions", positions_sql(COPURCHASE, PARTS, FANOUT))(_node(FANOUT, strategy="bucketed", method="positions"))
 query("node_positions_paper", positions_sql(COPURCHASE, PARTS, PAPER_FANOUT, 1024))(_node(PAPER_FANOUT, 1024, strategy="bucketed", method="positions"))
 query("node_grid", node_sql(COPURCHASE, PARTS, (5,)))(_node((5,), strategy="grid", grid=Grid(8, 2)))
+query("node_grid_3hop", node_sql(COPURCHASE, PARTS, FANOUT))(_node(FANOUT, strategy="grid", grid=Grid(8, 2)))
+query("node_positions_replicated", positions_sql(COPURCHASE, PARTS, FANOUT))(_node(FANOUT, strategy="replicated", method="positions"))
+_WEIGHTED = (
+    "SELECT a.l_partkey AS src, b.l_partkey AS dst, count(*) AS val FROM (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem) a "
+    "JOIN (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem) b ON a.l_orderkey = b.l_orderkey WHERE a.l_partkey <> b.l_partkey GROUP BY 1, 2"
+)
+
+
+@query(
+    "node_weighted",
+    f"WITH edges AS ({_WEIGHTED}), {batches_sql(PARTS)} SELECT batch, CAST(1 AS BIGINT) AS layer, pos AS row_id, src, dst, rank FROM (SELECT batch, pos, src, dst, row_number() OVER (PARTITION BY batch, pos "
+    f"ORDER BY -ln(({u52_sql(str(SEED), 'batch', '1', 'pos', 'dst')} + 0.5) / 4503599627370496.0) / val, dst) AS rank FROM batches JOIN edges ON v = src) WHERE rank <= 5",
+)
+def node_weighted(spark, d):
+    """Neighbours drawn by how many orders hold both parts."""
+    t = tables.load(spark, d)
+    return sample_minibatches(graphs.weighted_copurchase_graph(t), _training(t.part, "p_partkey"), SampleSpec(NodeWise(weight="val"), (5,), SEED))
+
+
+class HubAverse(NodeWise):
+    """A sampler of a user's own: neighbours of few neighbours are likelier, by a million over their degree."""
+
+    equal_weights = False
+
+    def weigh(self, frontier: DataFrame, edges: DataFrame) -> DataFrame:
+        deg = edges.groupBy(F.col("src").alias("col")).agg(F.floor(F.lit(1_000_000) / F.count(F.lit(1))).cast("long").alias("w"))
+        return super().weigh(frontier, edges).drop("w").join(deg, "col").select("batch", "row_id", "col", "w", "src")
+
+
+samplers.register_sampler("hub_averse", HubAverse)
+query(
+    "custom_sampler",
+    f"WITH edges AS ({COPURCHASE}), deg AS (SELECT src AS col, 1000000 // count(*) AS w FROM edges GROUP BY 1), {batches_sql(PARTS)} "
+    "SELECT batch, CAST(1 AS BIGINT) AS layer, pos AS row_id, src, dst, rank FROM (SELECT batch, pos, src, dst, row_number() OVER (PARTITION BY batch, pos "
+    f"ORDER BY -ln(({u52_sql(str(SEED), 'batch', '1', 'pos', 'dst')} + 0.5) / 4503599627370496.0) / w, dst) AS rank FROM batches JOIN edges ON v = src JOIN deg ON dst = col) WHERE rank <= 5",
+)(lambda s, d: sample_minibatches(*_parts(s, d), SampleSpec("hub_averse", (5,), SEED)))
 
 
 @query("node_sample_distinct", node_sql(COPURCHASE, PARTS, FANOUT, distinct=True))
@@ -266,13 +306,52 @@ query("its_arrow", f"{_ITS}, {its_sql(32, 1, 128)} SELECT batch, row_id, col, ra
 )
 
 
-@query("hub_two_level")
+_AT = u52_sql(str(SEED), "0", "1", "src", "t")
+_LEFT = u52_sql(str(SEED + draw.COMPLETING), "0", "1", "src", "p")
+
+
+@query(
+    "hub_two_level",
+    f"WITH a AS (SELECT src, list(dst ORDER BY dst) AS nbrs, count(*) AS deg FROM ({SUPPLIES}) GROUP BY 1), hit AS (SELECT src, p, min(t) AS t FROM (SELECT src, t, {_AT} % deg AS p FROM a, range(20) AS g(t)) GROUP BY ALL), "
+    "place AS (SELECT src, nbrs, unnest(range(deg)) AS p FROM a), keyed AS (SELECT x.src, x.nbrs, x.p, h.t FROM place x LEFT JOIN hit h ON x.src = h.src AND x.p = h.p), "
+    f"ranked AS (SELECT *, row_number() OVER (PARTITION BY src ORDER BY t NULLS LAST, CASE WHEN t IS NULL THEN {_LEFT} END, p) AS rank FROM keyed) "
+    "SELECT CAST(0 AS BIGINT) AS batch, src AS row_id, nbrs[p + 1] AS col, rank FROM ranked WHERE rank <= 5",
+)
 def hub_two_level(spark, d):
     edges = graphs.supplies_graph(tables.load(spark, d))
     frontier = graphs.degrees(edges).select(F.lit(0).cast("long").alias("batch"), F.col("v").alias("row_id"), "v", "deg")
     return draw.two_level(frontier, matrix.to_blocks(edges, 64), 5, SEED, 1)
 
 
+@query(
+    "its_complete",
+    f"WITH edges AS ({SUPPLIES}), prob AS (SELECT CAST(0 AS BIGINT) AS batch, src AS row_id, dst AS col, 1 + dst % 50 * (dst % 50) AS w FROM edges), {its_sql(24, 1, 16)} SELECT batch, row_id, col, rank FROM picked",
+)
+def its_complete(spark, d):
+    """Fewer draws than columns asked for: every row is completed."""
+    edges = graphs.supplies_graph(tables.load(spark, d))
+    w = 1 + F.col("dst") % 50 * (F.col("dst") % 50)
+    return draw.its_fixed(edges.select(F.lit(0).cast("long").alias("batch"), F.col("src").alias("row_id"), F.col("dst").alias("col"), w.alias("w")), 24, SEED, 1, 16)
+
+
+@query(
+    "hub_positions",
+    positions_sql(SUPPLIES, "SELECT s_suppkey AS v FROM supplier", (7,)),
+)
+def hub_positions(spark, d):
+    """Hubs in blocks: rows of more than 64 neighbours are never one array."""
+    t = tables.load(spark, d)
+    edges, spec = graphs.supplies_graph(t), SampleSpec(NodeWise(), (7,), SEED, "positions", "bucketed")
+    return sample_minibatches(edges, _training(t.supplier, "s_suppkey"), spec, matrix.to_adjacency(edges, 64))
+
+
+@query("hub_pushdown", node_sql(SUPPLIES, "SELECT s_suppkey AS v FROM supplier", (7,)))
+def hub_pushdown(spark, d):
+    t = tables.load(spark, d)
+    edges, spec = graphs.supplies_graph(t), SampleSpec(NodeWise(), (7,), SEED, strategy="bucketed")
+    return sample_minibatches(edges, _training(t.supplier, "s_suppkey"), spec, matrix.to_adjacency(edges, 64))
+
+
 # ------------------------------------------------------------------ layer-wise samplers
 
 _EXTRACT = "SELECT DISTINCT f.batch, e.src, e.dst FROM (SELECT DISTINCT batch, v FROM front) f JOIN edges e ON f.v = e.src"
@@ -285,6 +364,43 @@ def _layer_spec(fanout=(32,), sampler=None, draws: int = 128) -> SampleSpec:
 
 
 query("layer_sample", f"{_LAYER} {_LAYER_OUT}")(lambda s, d: sample_minibatches(*_parts(s, d), _layer_spec()))
+query("layer_bucketed", f"{_LAYER} {_LAYER_OUT}")(lambda s, d: sample_minibatches(*_parts(s, d), replace(_layer_spec(), strategy="bucketed")))
+query("layer_grid", f"{_LAYER} {_LAYER_OUT}")(lambda s, d: sample_minibatches(*_parts(s, d), replace(_layer_spec(), strategy="grid", grid=Grid(16, 2))))
+_RACE = f"picked AS (SELECT batch, row_id, col, rank FROM (SELECT *, row_number() OVER (PARTITION BY batch ORDER BY -ln(({_KEY} + 0.5) / 4503599627370496.0) / w, col) AS rank FROM prob) WHERE rank <= {{}})"
+query("layer_default", f"{_ITS}, {_RACE.format(32)} {_LAYER_OUT}")(lambda s, d: sample_minibatches(*_parts(s, d), SampleSpec(LayerWise(), (32,), SEED)))
+#: Batch and sample size of the study's layer-wise experiments.
+LAYER_BATCH = 512
+query("layer_paper", f"{_ITS.replace(batches_sql(PARTS), batches_sql(PARTS, LAYER_BATCH))}, {_RACE.format(LAYER_BATCH)} {_LAYER_OUT}")(
+    lambda s, d: sample_minibatches(*_parts(s, d, LAYER_BATCH), SampleSpec(LayerWise(), (LAYER_BATCH,), SEED))
+)
+query("layer_full_hood", f"{_ITS} SELECT batch, CAST(1 AS BIGINT) AS layer, CAST(0 AS BIGINT) AS row_id, src, dst, dense_rank() OVER (PARTITION BY batch ORDER BY dst) AS rank FROM ({_EXTRACT})")(
+    lambda s, d: sample_minibatches(*_parts(s, d), SampleSpec(LayerWise(), (None,), SEED))
+)
+
+
+@query("layer_grid_rows", f"{_ITS} {_EXTRACT}")
+def layer_grid_rows(spark, d):
+    edges, batches = _parts(spark, d)
+    return grid.extract_rows_grid(LayerWise().init_frontier(batches), edges, Grid(16, 2))
+
+
+@query("layer_grid_cols", f"{_LAYER} SELECT batch, src, dst, rank - 1 AS local_col FROM ({_LAYER_OUT})")
+def layer_grid_cols(spark, d):
+    edges, frontier, _, prob = _layer_prob(spark, d)
+    found = grid.extract_columns_grid(samplers.extract_rows(frontier, edges), draw.its_fixed(prob, 32, SEED, 1, 128), Grid(16, 2))
+    return found.select("batch", "src", "dst", (F.col("rank") - 1).alias("local_col"))
+
+
+@query(
+    "layer_default_law",
+    "WITH edges AS (SELECT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst FROM (VALUES " + ", ".join(f"({a}, {b}), ({b}, {a})" for a, b in graphs.WORKED6) + ") AS t(src, dst)), "
+    f"front AS (SELECT b AS batch, v FROM range(4096) AS g(b), (VALUES (CAST(1 AS BIGINT)), (5)) AS x(v)), {layer_prob_sql()}, {_RACE.format(1)} SELECT dst AS col, count(DISTINCT batch) AS drawn FROM ({_LAYER_OUT}) GROUP BY 1",
+)
+def layer_default_law(spark, d):
+    """The worked example, one vertex for each of 4096 batches, by the default draw: vertex 4 must come in 4 of 7 cases."""
+    batches = spark.range(4096).select(F.col("id").alias("batch"), F.explode(F.array(F.lit(1).cast("long"), F.lit(5).cast("long"))).alias("v"))
+    sampled = sample_minibatches(graphs.worked6(spark), batches, SampleSpec(LayerWise(), (1,), SEED))
+    return sampled.groupBy(F.col("dst").alias("col")).agg(F.countDistinct("batch").alias("drawn"))
 
 
 @query("layer_row_extract", f"{_ITS} {_EXTRACT}")
@@ -309,18 +425,18 @@ query("layer_col_extract", _COLUMNS)(lambda s, d: _columns(s, d, None))
 query("layer_col_extract_chunked", _COLUMNS)(lambda s, d: _columns(s, d, 4))
 
 
-def _second_layer() -> str:
-    two = its_sql(32, 2, 128)
-    first = f"WITH edges AS ({COPURCHASE}), {batches_sql(PARTS)}, front AS (SELECT batch, v FROM batches), {layer_prob_sql()}, {two}"
-    rename = lambda text: text.replace("prefixed", "prefixed2").replace("draws AS", "draws2 AS").replace("JOIN draws d", "JOIN draws2 d").replace("hits AS", "hits2 AS").replace("FROM hits ", "FROM hits2 ").replace("firsts", "firsts2").replace("picked AS", "picked2 AS").replace("FROM prob)", "FROM prob2)")
-    front2 = "front2 AS (SELECT batch, col AS v FROM picked)"
-    prob2 = layer_prob_sql("front2").replace("prob AS", "prob2 AS")
+def _second_layer(include_self: bool = False) -> str:
+    """Two layers: the drawn vertices of the first are the frontier of the second, with or without their own frontier."""
+    own = " UNION SELECT batch, v FROM front" if include_self else ""
+    first = f"WITH edges AS ({COPURCHASE}), {batches_sql(PARTS)}, front AS (SELECT batch, v FROM batches), {layer_prob_sql()}, {its_sql(32, 2, 128)}"
+    second = f"front2 AS (SELECT batch, col AS v FROM picked{own}), {layer_prob_sql('front2', at='2')}, {its_sql(32, 1, 128, 'prob2', '2')}"
     out1 = _LAYER_OUT.replace("CAST(1 AS BIGINT) AS layer", "CAST(2 AS BIGINT) AS layer")
     out2 = _LAYER_OUT.replace("FROM front)", "FROM front2)").replace("JOIN picked p", "JOIN picked2 p")
-    return f"{first}, {front2}, {prob2}, {rename(its_sql(32, 1, 128))} {out1} UNION ALL {out2}"
+    return f"{first}, {second} {out1} UNION ALL {out2}"
 
 
 query("layer_sample_2layer", _second_layer())(lambda s, d: sample_minibatches(*_parts(s, d), _layer_spec((32, 32))))
+query("layer_include_self", _second_layer(True))(lambda s, d: sample_minibatches(*_parts(s, d), _layer_spec((32, 32), LayerWise(include_self=True))))
 
 _INDEPENDENT = (
     f"WITH edges AS ({COPURCHASE}), {batches_sql(PARTS)}, front AS (SELECT batch, v FROM batches), deg AS (SELECT src AS col, count(*) AS w FROM edges GROUP BY 1), "
@@ -329,7 +445,7 @@ _INDEPENDENT = (
 query("layer_independent", f"{_INDEPENDENT} {_LAYER_OUT}")(lambda s, d: sample_minibatches(*_parts(s, d), _layer_spec(sampler=LayerIndependent())))
 
 
-@query("independent_shared")
+@query("independent_shared", f"{_INDEPENDENT} SELECT batch, row_id, col, rank FROM picked")
 def independent_shared(spark, d):
     edges, batches = _parts(spark, d)
     return samplers.independent_draws(edges, batches.agg(F.max("batch")).first()[0] + 1, 32, SEED)
@@ -354,20 +470,25 @@ query("layer_coverage", _coverage_sql(_LAYER))(_coverage(LayerWise()))
 query("layer_coverage_independent", _coverage_sql(_INDEPENDENT))(_coverage(LayerIndependent()))
 
 
-@query("layer_debiased")
+@query(
+    "layer_debiased",
+    f"{_LAYER}, p AS (SELECT batch, col, w * 1.0 / sum(w) OVER (PARTITION BY batch) AS p FROM prob), raw AS (SELECT s.*, 1 / (32 * p.p) AS raw FROM ({_LAYER_OUT}) s JOIN p ON s.batch = p.batch AND s.dst = p.col) "
+    "SELECT batch, layer, row_id, src, dst, rank, round(raw / sum(raw) OVER (PARTITION BY batch, src), 9) AS scale FROM raw",
+)
 def layer_debiased(spark, d):
     edges, batches = _parts(spark, d)
     _, _, _, prob = _layer_prob(spark, d)
-    return samplers.debiased(sample_minibatches(edges, batches, _layer_spec()), prob, 32)
+    found = samplers.debiased(sample_minibatches(edges, batches, _layer_spec()), prob, 32)
+    return found.select("batch", "layer", "row_id", "src", "dst", "rank", F.round("scale", 9).alias("scale"))
 
 
-_W6 = "(VALUES " + ", ".join(f"({a}, {b}), ({b}, {a})" for a, b in [(0, 1), (0, 2), (1, 2), (1, 4), (3, 4), (3, 5), (4, 5)]) + ")"
+_W6 = "(VALUES " + ", ".join(f"({a}, {b}), ({b}, {a})" for a, b in graphs.WORKED6) + ")"
 
 
 @query(
     "sampler_inclusion_worked6",
     f"WITH edges AS (SELECT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst FROM {_W6} AS t(src, dst)), front AS (SELECT b AS batch, v FROM range(4096) AS g(b), (VALUES (CAST(1 AS BIGINT)), (5)) AS x(v)), "
-    f"{layer_prob_sql()}, {its_sql(2, 1, 16)} SELECT col, count(*) AS drawn FROM picked GROUP BY col",
+    f"{layer_prob_sql()}, {its_sql(2, 1, 16)}, m AS (SELECT batch, col, row_number() OVER (PARTITION BY batch ORDER BY min(t)) AS rank FROM hits GROUP BY batch, col) SELECT col, count(*) AS drawn FROM m WHERE rank <= 2 GROUP BY col",
 )
 def sampler_inclusion_worked6(spark, d):
     batches = spark.range(4096).select(F.col("id").alias("batch"), F.explode(F.array(F.lit(1).cast("long"), F.lit(5).cast("long"))).alias("v"))
@@ -388,7 +509,14 @@ def _product_inputs(spark, d):
 
 _PRODUCT = f"SELECT a.src AS row, b.dst AS col, count(*) AS val FROM ({BIPARTITE}) a JOIN ({PART_SUPPLIERS}) b ON a.dst = b.src GROUP BY 1, 2"
 query("spgemm", _PRODUCT)(lambda s, d: matrix.spgemm(*_product_inputs(s, d)))
-query("replicated_spgemm", _PRODUCT)(lambda s, d: matrix.spgemm(*[f(m) for f, m in zip((lambda m: m, F.broadcast), _product_inputs(s, d))]))
+
+
+@query("replicated_spgemm", _PRODUCT)
+def replicated_spgemm(spark, d):
+    left, right = _product_inputs(spark, d)
+    return matrix.spgemm(left, F.broadcast(right) if tables.small_enough(right) else right)
+
+
 query("grid_spgemm_c1", _PRODUCT)(lambda s, d: grid.spgemm_grid(*_product_inputs(s, d), Grid(4, 1)))
 query("grid_spgemm_c2", _PRODUCT)(lambda s, d: grid.spgemm_grid(*_product_inputs(s, d), Grid(16, 2)))
 query("grid_oblivious", _PRODUCT)(lambda s, d: grid.spgemm_grid(*_product_inputs(s, d), Grid(8, 2), aware=False))
@@ -571,7 +699,14 @@ query(
     "WITH x AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings), s AS (SELECT a.vec_id AS src, b.vec_id AS dst, round(list_cosine_similarity(a.e, b.e), 9) AS sim FROM x a JOIN x b ON a.vec_id <> b.vec_id) "
     "SELECT src, dst, round(sim, 4) AS sim, rank FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY sim DESC, dst) AS rank FROM s) WHERE rank <= 16",
 )(lambda s, d: graphs.similarity_graph(tables.load(s, d), 16).select("src", "dst", F.round("sim", 4).alias("sim"), F.col("rank").cast("long").alias("rank")))
-query("graph_neardup")(lambda s, d: graphs.neardup_graph(tables.load(s, d)))
+_WORDS = r"list_filter(string_split_regex(lower(coalesce(text, '')), '\s+'), lambda x: x <> '')"
+query(
+    "graph_neardup",
+    f"WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents), h AS (SELECT DISTINCT doc_id, unnest(list_transform(range(greatest(1, len(w) - 4)), lambda i: array_to_string(w[i + 1 : i + 5], ' '))) AS h FROM d WHERE len(w) > 0), "
+    "f AS (SELECT h, count(*) AS df, min(doc_id) AS hub FROM h GROUP BY 1 HAVING count(*) >= 2), k AS (SELECT h.doc_id, f.h, f.hub, f.df FROM h JOIN f USING (h)), "
+    "e AS (SELECT a.doc_id AS src, b.doc_id AS dst FROM k a JOIN k b USING (h) WHERE a.df <= 20 AND a.doc_id <> b.doc_id UNION ALL SELECT doc_id, hub FROM k WHERE df > 20 AND doc_id <> hub UNION ALL SELECT hub, doc_id FROM k WHERE df > 20 AND doc_id <> hub) "
+    "SELECT DISTINCT src, dst, CAST(1 AS BIGINT) AS val FROM e",
+)(lambda s, d: graphs.neardup_graph(tables.load(s, d)))
 query("graph_symmetrize", f"WITH g AS ({BIPARTITE}) SELECT DISTINCT src, dst, CAST(1 AS BIGINT) AS val FROM (SELECT src, dst FROM g UNION ALL SELECT dst, src FROM g)")(lambda s, d: graphs.symmetrize(graphs.bipartite_graph(tables.load(s, d))))
 query("graph_dedupe", "SELECT DISTINCT l_orderkey AS src, l_partkey AS dst, CAST(1 AS BIGINT) AS val FROM lineitem")(
     lambda s, d: graphs.dedupe(tables.load(s, d).lineitem.select(F.col("l_orderkey").alias("src"), F.col("l_partkey").alias("dst")))

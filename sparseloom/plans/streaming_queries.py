@@ -19,14 +19,14 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "stream_session": lambda s, d: stream.replay(stream.sessions(stream.edge_stream(s, d)), "complete"),
     "stream_dedup": lambda s, d: stream.replay(stream.dedup(stream.edge_stream(s, d))),
     "stream_join": lambda s, d: stream.replay(stream.view_purchase_join(s, d)),
-    "stream_late": lambda s, d: stream.late_rows(stream.edge_stream(s, d)),
+    "stream_late": lambda s, d: stream.late_rows(stream.edge_stream(s, d)).agg(F.sum("rows").alias("rows"), F.sum("dropped").alias("dropped")),
 }
 
 
-def _reservoir(spark: SparkSession, d: str) -> DataFrame:
-    """The last state of each user: the largest sample of it that was written."""
-    out = stream.replay(stream.reservoir(stream.edge_stream(spark, d)), "update")
-    return out.select("user_id", "event_id", "rank").distinct()
+def _reservoir(spark: SparkSession, d: str, files_per_trigger: int | None = None) -> DataFrame:
+    """The last state of each user."""
+    out = stream.replay(stream.reservoir(stream.edge_stream(spark, d, files_per_trigger)), "update")
+    return stream.last_state(out, "user_id").select("user_id", "event_id", "rank")
 
 
 def _arrival(spark: SparkSession, d: str) -> DataFrame:
@@ -55,6 +55,7 @@ ORACLES: dict[str, str] = {
     ),
     "stream_dedup": "SELECT DISTINCT event_id, user_id FROM events",
     "stream_join": "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTE",
+    "stream_late": "SELECT count(*) AS rows, CAST(0 AS BIGINT) AS dropped FROM events",
     "stream_reservoir": f"SELECT user_id, event_id, rank FROM (SELECT user_id, event_id, row_number() OVER (PARTITION BY user_id ORDER BY {_KEY}, event_id) AS rank FROM events) WHERE rank <= 5",
     "stream_bulk_sampling": (
         "WITH e AS (SELECT DISTINCT o_custkey AS src, l_partkey AS dst FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE o_custkey IN (SELECT user_id FROM events)) "

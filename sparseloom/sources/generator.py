@@ -8,8 +8,18 @@ from pyspark.sql import SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 
+#: A prime below 2^31, so that products of two numbers below it fit into 64 bits.
+PRIME = 2147483647
+
+
+def scrambled(i, seed: int):
+    """Numbers from 0 up to 1, a function of the counters i alone: a linear step, a square, a linear step."""
+    x = (i % PRIME * 48271 + 1 + seed * 69621) % PRIME
+    return (x * x % PRIME * 69621 + i) % PRIME / PRIME
+
+
 class EdgeGenerator(DataSource):
-    """Options: vertices, edges, skew (1 is even; larger gathers edges at few vertices), seed, partitions."""
+    """Options: vertices, edges, skew (a whole number; 1 is even, larger gathers edges at few vertices), seed, partitions."""
 
     @classmethod
     def name(cls) -> str:
@@ -39,13 +49,14 @@ class _Reader(DataSourceReader):
         import pyarrow as pa
 
         o, parts = self.options, int(self.options["partitions"])
-        n = int(o["edges"]) // parts + (partition.number < int(o["edges"]) % parts)
-        rng = np.random.default_rng([int(o["seed"]), partition.number])
-        for at in range(0, n, 100_000):
-            m = min(100_000, n - at)
-            src = (rng.random(m) ** o["skew"] * o["vertices"]).astype(np.int64)
-            dst = (rng.random(m) * o["vertices"]).astype(np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(src), pa.array(dst), pa.array(np.ones(m, np.int64))], ["src", "dst", "val"])
+        first, end = (int(o["edges"]) * k // parts for k in (partition.number, partition.number + 1))
+        for at in range(first, end, 100_000):
+            i = np.arange(at, min(end, at + 100_000))
+            share, src = scrambled(i, 2 * int(o["seed"])), float(o["vertices"])
+            for _ in range(int(o["skew"])):
+                src = src * share
+            src, dst = src.astype(np.int64), (float(o["vertices"]) * scrambled(i, 2 * int(o["seed"]) + 1)).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(src), pa.array(dst), pa.array(np.ones(len(i), np.int64))], ["src", "dst", "val"])
 
 
 def generated_edges(spark: SparkSession, **options) -> object:

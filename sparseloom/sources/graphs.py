@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.ranges import range_of
 from ..functions.rng import u52
 from .tables import Tables, durable, ensure_importable
 
@@ -21,6 +22,13 @@ def copurchase_graph(t: Tables) -> DataFrame:
     return _edges(pairs, F.col("a.l_partkey"), F.col("b.l_partkey"))
 
 
+def weighted_copurchase_graph(t: Tables) -> DataFrame:
+    """Parts bought in one order, both directions; `val` counts the orders."""
+    lines = t.lineitem.select("l_orderkey", "l_partkey").distinct()
+    pairs = lines.alias("a").join(lines.alias("b"), "l_orderkey").where("a.l_partkey <> b.l_partkey")
+    return pairs.groupBy(F.col("a.l_partkey").alias("src"), F.col("b.l_partkey").alias("dst")).agg(F.count(F.lit(1)).alias("val"))
+
+
 #: Distance between the id ranges of the trade graph's vertex kinds.
 TRADE_STRIDE = 10_000_000_000
 
@@ -99,15 +107,51 @@ def similarity_graph(t: Tables, m: int | None = 16, tau: float | None = None, bl
     return near.select("src", "dst", F.lit(1).cast("long").alias("val"), "sim")
 
 
-def similarity_graph_lsh(t: Tables, radius: float, bucket: float = 2.0, tables: int = 4) -> DataFrame:
-    """Approximate neighbours by random projections, for large vector sets: pairs within an L2 radius."""
-    from pyspark.ml.feature import BucketedRandomProjectionLSH
-    from pyspark.ml.functions import array_to_vector
+def similarity_graph_lsh(t: Tables, m: int = 16, bits: int = 5, tables: int = 48, seed: int = 1) -> DataFrame:
+    """Nearest vectors by cosine, approximately: the m best among those that meet, for sets whose square is out of reach.
 
-    rows = t.embeddings.select("vec_id", array_to_vector("embedding").alias("x"))
-    model = BucketedRandomProjectionLSH(inputCol="x", outputCol="h", bucketLength=bucket, numHashTables=tables, seed=1).fit(rows)
-    pairs = model.approxSimilarityJoin(rows, rows, radius, "d").where("datasetA.vec_id <> datasetB.vec_id")
-    return _edges(pairs, F.col("datasetA.vec_id"), F.col("datasetB.vec_id"))
+    Vectors meet where the signs of `bits` random projections agree, in any of `tables` draws of projections; those that meet are compared
+    exactly. More tables find more of the neighbours, more bits make cells smaller. The vectors themselves go to a cell once for each table;
+    a cell of more than `CELL` vectors is cut by further projections.
+    """
+    import numpy as np
+    import pandas as pd
+
+    rows = t.embeddings.select("vec_id", F.col("embedding").cast("array<double>").alias("x"))
+    width = rows.agg(F.max(F.size("x"))).first()[0] or 1
+    n = rows.count()
+    planes = np.random.default_rng(seed).normal(size=(tables, bits + max(0, (n // CELL).bit_length()), width))
+
+    def place(frames):
+        for f in frames:
+            x = np.array(f["x"].tolist(), float).reshape(len(f), -1)
+            for k, p in enumerate(planes):
+                signs = (x @ p.T > 0) @ (1 << np.arange(len(p)))
+                yield pd.DataFrame({"vec_id": f["vec_id"], "x": f["x"], "cell": signs * tables + k})
+
+    def meet(frame: pd.DataFrame) -> pd.DataFrame:
+        x = np.array(frame["x"].tolist())
+        x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-30)
+        ids, found = frame["vec_id"].to_numpy(), []
+        for at in range(0, len(x), CELL):
+            sim = np.round(x[at : at + CELL] @ x.T, 9)
+            sim[ids[at : at + CELL, None] == ids[None, :]] = -2
+            k = min(m, len(x))
+            j = np.argpartition(-sim, k - 1, axis=1)[:, :k]
+            i = np.repeat(np.arange(len(sim)), k)
+            found.append(pd.DataFrame({"src": ids[at + i], "dst": ids[j.ravel()], "sim": sim[i, j.ravel()]}))
+        found = pd.concat(found)
+        return found[found["sim"] > -2]
+
+    cells = rows.mapInPandas(place, "vec_id long, x array<double>, cell long")
+    pairs = cells.groupBy("cell").applyInPandas(meet, "src long, dst long, sim double").distinct()
+    best = Window.partitionBy("src").orderBy(F.desc("sim"), "dst")
+    near = pairs.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= m)
+    return near.select("src", "dst", F.lit(1).cast("long").alias("val"), "sim", "rank")
+
+
+#: Vectors in one cell of the approximate search, on average, at most.
+CELL = 4096
 
 
 def neardup_graph(t: Tables, shingle: int = 5, least: int = 2, most: int = 20) -> DataFrame:
@@ -167,19 +211,16 @@ def vertices_of(e: DataFrame) -> DataFrame:
     return e.select(F.col("src").alias("v")).union(e.select("dst")).distinct()
 
 
-def relabel(e: DataFrame, buckets: int = 256) -> tuple[DataFrame, DataFrame]:
+def relabel(e: DataFrame, together: int = 1 << 16) -> tuple[DataFrame, DataFrame]:
     """Dense ids 0..n-1 in key order: (edges with new ids, v to new id).
 
-    Vertices are ranked inside ranges of the key and shifted by the ranges' running counts, so
-    no task sees all of them.
+    Vertices are ranked inside ranges of the key and shifted by the ranges' running counts. Ranges are cut at quantiles and hold
+    about `together` vertices, so no task sees many more, however the keys lie.
     """
-    v = vertices_of(e)
-    low, high = v.agg(F.min("v"), F.max("v")).first()
-    width = max(1, ((high or 0) - (low or 0)) // buckets + 1)
-    ranged = v.withColumn("part", F.floor((F.col("v") - F.lit(low or 0)) / F.lit(width)).cast("long"))
-    offsets = running_offsets(ranged)
+    v = durable(vertices_of(e))
+    ranged = v.withColumn("part", range_of(v, "v", min(4096, v.count() // together + 1)))
     inside = Window.partitionBy("part").orderBy("v")
-    ids = ranged.join(F.broadcast(offsets), "part").select("v", (F.col("offset") + F.row_number().over(inside) - 1).cast("long").alias("id"))
+    ids = durable(ranged.join(F.broadcast(running_offsets(ranged)), "part").select("v", (F.col("offset") + F.row_number().over(inside) - 1).cast("long").alias("id")))
     a, b = ids.withColumnsRenamed({"v": "src", "id": "s"}), ids.withColumnsRenamed({"v": "dst", "id": "d"})
     return e.join(a, "src").join(b, "dst").select(F.col("s").alias("src"), F.col("d").alias("dst"), "val"), ids
 
@@ -228,7 +269,10 @@ def split(vs: DataFrame, seed: int = 42, train: int = 60, validate: int = 20) ->
     return vs.withColumn("split", F.when(r < train, "train").when(r < train + validate, "validate").otherwise("test"))
 
 
+#: Edges of the worked example, one direction each.
+WORKED6 = [(0, 1), (0, 2), (1, 2), (1, 4), (3, 4), (3, 5), (4, 5)]
+
+
 def worked6(spark) -> DataFrame:
     """Six vertices, seven undirected edges: small enough to enumerate."""
-    pairs = [(0, 1), (0, 2), (1, 2), (1, 4), (3, 4), (3, 5), (4, 5)]
-    return spark.createDataFrame([(a, b, 1) for x in pairs for a, b in (x, x[::-1])], "src long, dst long, val long")
+    return spark.createDataFrame([(a, b, 1) for x in WORKED6 for a, b in (x, x[::-1])], "src long, dst long, val long")

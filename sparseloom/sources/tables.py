@@ -77,6 +77,24 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+#: What may be sent to every task.
+BROADCAST_BYTES = 512 * 1024 * 1024
+
+
+def small_enough(rows: DataFrame, limit: int = BROADCAST_BYTES) -> bool:
+    """Whether a table's rows, with all that their arrays and texts hold, are within the limit: counted, not estimated."""
+    width = {"long": 8, "bigint": 8, "int": 4, "double": 8, "float": 4, "boolean": 1}
+    size = F.lit(0).cast("long")
+    for name, kind in rows.dtypes:
+        if kind.startswith("array<"):
+            size += F.coalesce(F.size(name), F.lit(0)) * width.get(kind[6:-1], 16) + 16
+        elif kind in ("string", "binary"):
+            size += F.coalesce(F.octet_length(name), F.lit(0)) + 16
+        else:
+            size += width.get(kind, 16)
+    return (rows.agg(F.sum(size)).first()[0] or 0) <= limit
+
+
 EDGE_SCHEMA = "src long, dst long, val long"
 
 
@@ -102,13 +120,18 @@ def write_edges(edges: DataFrame, path: str, fmt: str = "parquet", mode: str = "
     return path
 
 
-def save_adjacency(edges: DataFrame, name: str, buckets: int = 16) -> DataFrame:
+def save_adjacency(edges: DataFrame, name: str, buckets: int = 16, path: str | None = None) -> DataFrame:
     """Adjacency rows as a bucketed, sorted table: joins on src need no exchange of the graph."""
     from sparseloom.operators.matrix import to_rows
 
-    spark = edges.sparkSession
-    to_rows(edges).write.mode("overwrite").bucketBy(buckets, "src").sortBy("src").format("parquet").saveAsTable(name)
-    return spark.table(name)
+    return save_bucketed(to_rows(edges), name, buckets, path)
+
+
+def save_bucketed(rows: DataFrame, name: str, buckets: int, path: str | None = None) -> DataFrame:
+    """Rows by buckets of `src`, sorted inside, as a table; in the warehouse, or below a path of one's own."""
+    writer = rows.write.mode("overwrite").bucketBy(buckets, "src").sortBy("src").format("parquet")
+    (writer.option("path", path) if path else writer).saveAsTable(name)
+    return rows.sparkSession.table(name)
 
 
 def save_minibatches(sampled: DataFrame, path: str, batches_per_bulk: int = 16) -> str:

@@ -23,7 +23,8 @@ def replay(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Run a finite stream to its end and give what it wrote.
 
     `append` goes to files in the shared folder. `complete` and `update` write every micro-batch to its own
-    folder; the last one holds the whole result of `complete`.
+    folder; the last one holds the whole result of `complete`. Rows of `update` carry their micro-batch (column `trigger`), and a
+    later one replaces what an earlier one said.
     """
     spark = stream.sparkSession
     path = shared_folder(spark, "stream")
@@ -34,13 +35,15 @@ def replay(stream: DataFrame, mode: str = "append") -> DataFrame:
     last: list[int] = []
 
     def keep(batch: DataFrame, number: int) -> None:
-        batch.write.mode("overwrite").parquet(f"{path}/out/{number}")
+        tagged = batch if mode == "complete" else batch.withColumn("trigger", F.lit(number).cast("long"))
+        tagged.write.mode("overwrite").parquet(f"{path}/out/{number}")
         last.append(number)
 
     q = stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start()
     q.awaitTermination()
     if not last:
-        return spark.createDataFrame([], stream.schema)
+        empty = spark.createDataFrame([], stream.schema)
+        return empty if mode == "complete" else empty.withColumn("trigger", F.lit(0).cast("long"))
     return spark.read.parquet(*([f"{path}/out/{last[-1]}"] if mode == "complete" else [f"{path}/out/{n}" for n in sorted(set(last))]))
 
 
@@ -90,6 +93,12 @@ def reservoir(stream: DataFrame, s: int = 5, seed: int = 42) -> DataFrame:
     )
 
 
+def last_state(updates: DataFrame, key: str) -> DataFrame:
+    """Of what a stream in `update` mode wrote, the rows of each key's last micro-batch."""
+    newest = updates.groupBy(key).agg(F.max("trigger").alias("trigger"))
+    return updates.join(newest, [key, "trigger"]).drop("trigger")
+
+
 def on_arrival(stream: DataFrame, sample: Callable[[DataFrame], DataFrame]) -> DataFrame:
     """Each micro-batch of roots is sampled in bulk as it arrives."""
     spark = stream.sparkSession

@@ -10,7 +10,7 @@ from sparseloom.operators.framework import SampleSpec, make_batches, sample_mini
 from sparseloom.operators.grid import Grid, comm_ledger, spgemm_grid
 from sparseloom.operators.samplers import LayerIndependent, LayerWise, NodeWise
 from sparseloom.plans import cost
-from sparseloom.plans.planner import choose
+from sparseloom.plans.planner import choose, plan_epoch
 from sparseloom.sources import graphs, tables
 
 
@@ -253,3 +253,190 @@ def test_two_level_draws_are_neighbours(spark, sf):
     pairs = rows(edges.select("src", "dst"))
     found = [(r["row_id"], r["col"]) for r in got.collect()]
     assert set(found) <= pairs and len(found) == len(set(found)) == 5 * edges.select("src").distinct().count()
+
+
+# ------------------------------------------------------------------ law, refusals, registered samplers
+
+
+def worked_batches(spark, n):
+    return spark.range(n).select(F.col("id").alias("batch"), F.explode(F.array(F.lit(1).cast("long"), F.lit(5).cast("long"))).alias("v"))
+
+
+def test_the_default_draw_follows_the_sampler(spark, w6):
+    assert (SampleSpec().method, SampleSpec(LayerWise()).method, SampleSpec(NodeWise(weight="val")).method) == ("race_uniform", "race", "race")
+    n = 3000
+    sampled = sample_minibatches(w6, worked_batches(spark, n), SampleSpec(LayerWise(), (2,), 7))
+    drawn = sampled.select("batch", F.col("dst").alias("col")).distinct().groupBy("col").agg(F.count(F.lit(1)).alias("drawn"))
+    expected = spark.createDataFrame([(4, 6 / 14), (0, 4 / 21), (2, 4 / 21), (3, 4 / 21)], "col long, share double")
+    error = cost.inclusion_error(drawn, expected).first()
+    assert error["variation"] < 0.02 and error["chi_square"] < 16
+    wrong = cost.inclusion_error(drawn, expected.withColumn("share", F.lit(0.25))).first()
+    assert wrong["variation"] > 0.1
+    literal = sample_minibatches(w6, worked_batches(spark, n), SampleSpec(LayerWise(power=1), (1,), 7)).select("batch", "dst").distinct()
+    assert abs(literal.where("dst = 4").count() / n - 2 / 5) < 0.03
+
+
+@pytest.mark.parametrize(
+    "options",
+    [
+        {"sampler": LayerWise(), "method": "race_uniform"}, {"sampler": LayerWise(), "method": "positions", "strategy": "bucketed"}, {"method": "its", "strategy": "bucketed"},
+        {"method": "race", "strategy": "replicated"}, {"sampler": LayerIndependent(), "strategy": "grid", "grid": Grid(4, 2)}, {"sampler": LayerIndependent(), "strategy": "bucketed"},
+        {"strategy": "grid"}, {"strategy": "nowhere"}, {"method": "guess"}, {"method": "race", "options": (("draws", 3),)}, {"sampler": NodeWise(weight="val"), "strategy": "bucketed"},
+        {"sampler": NodeWise(weight="val"), "method": "race_uniform"},
+    ],
+)
+def test_what_is_not_built_is_refused(options):
+    with pytest.raises(ValueError):
+        SampleSpec(**options)
+
+
+def test_options_take_effect(spark, w6):
+    b = spark.createDataFrame([(k, 0, 1) for k in range(200)], "batch long, pos long, v long")
+    for strategy in ("shuffle", "bucketed"):
+        plain, fast = (rows(sample_minibatches(w6, b, SampleSpec(fanout=(1,), strategy=strategy, options=o))) for o in ((), (("rng", "fast"),)))
+        assert plain != fast and len(fast) == 200
+    plan = sample_minibatches(w6, b, SampleSpec(fanout=(1,), options=(("rng", "fast"),)))._jdf.queryExecution().executedPlan().toString()
+    assert "xxhash64" in plan and "md5" not in plan
+
+
+@pytest.mark.parametrize("strategy, grid", [("shuffle", None), ("bucketed", None), ("grid", Grid(4, 2))])
+def test_every_neighbour_under_each_strategy(spark, w6, strategy, grid):
+    b = batches_of(spark, (1, 5))
+    for sampler in (NodeWise(), LayerWise()):
+        got = sample_minibatches(w6, b, SampleSpec(sampler, (None,), strategy=strategy, grid=grid))
+        assert {(r["src"], r["dst"]) for r in got.collect()} == {(1, 0), (1, 2), (1, 4), (5, 3), (5, 4)}
+
+
+def test_registered_samplers_and_weights(spark, w6):
+    class First(NodeWise):
+        """Always the neighbour with the smallest number: all others weigh nothing beside it."""
+
+        equal_weights = False
+
+        def weigh(self, frontier, edges):
+            return super().weigh(frontier, edges).withColumn("w", F.when(F.col("col") < 3, 10**9).otherwise(1))
+
+    samplers.register_sampler("first", First)
+    b = spark.createDataFrame([(k, 0, 1) for k in range(300)], "batch long, pos long, v long")
+    got = Counter(r["dst"] for r in sample_minibatches(w6, b, SampleSpec("first", (1,))).collect())
+    assert set(got) <= {0, 2} and sum(got.values()) == 300
+    weighted = w6.withColumn("val", F.when(F.col("dst") == 4, 8).otherwise(1))
+    got = Counter(r["dst"] for r in sample_minibatches(weighted, b, SampleSpec(NodeWise(weight="val"), (1,))).collect())
+    assert abs(got[4] / 300 - 0.8) < 0.08
+
+
+def test_rounds_equal_a_plain_loop(spark):
+    prob = {(b, c): 1 + (c * c * (b + 1)) % 97 * 40 * (c < 4) for b in range(5) for c in range(30)}
+    frame = spark.createDataFrame([(b, 0, c, w) for (b, c), w in prob.items()], "batch long, row_id long, col long, w long")
+    got: dict = {}
+    for r in draw.its_rounds(frame, 12, 5, 1).collect():
+        got.setdefault(r["batch"], []).append((r["rank"], r["col"]))
+    for b in range(5):
+        left, picked, drawn = {c: prob[b, c] for c in range(30)}, [], 0
+        while len(picked) < 12:
+            missing, cols = 12 - len(picked), sorted(left)
+            ends, total = [], 0
+            for c in cols:
+                total += left[c]
+                ends.append(total)
+            hits = []
+            for t in range(drawn, drawn + 4 * missing):
+                r = reference.u52(5, b, 1, 0, t) % total
+                c = next(c for c, e in zip(cols, ends) if r < e)
+                if c not in hits:
+                    hits.append(c)
+            drawn += 4 * missing
+            picked += hits[:missing]
+            left = {c: w for c, w in left.items() if c not in picked}
+        assert [c for _, c in sorted(got[b])] == picked
+
+
+def test_hub_rows_in_blocks_give_the_same_draws(spark):
+    star = spark.createDataFrame([(v, 100 + n) for v in range(4) for n in range(10 if v else 900)], "src long, dst long").withColumn("val", F.lit(1))
+    b = spark.createDataFrame([(k, 0, k % 4) for k in range(200)], "batch long, pos long, v long")
+    whole, cut = matrix.to_adjacency(star), matrix.to_adjacency(star, 64)
+    assert whole.blocks is None and cut.hubs.count() == 1 and cut.blocks.agg(F.max(F.size("nbrs"))).first()[0] == 64
+    for method in ("positions", "race_uniform"):
+        spec = SampleSpec(fanout=(6,), method=method, strategy="bucketed")
+        assert rows(sample_minibatches(star, b, spec, whole)) == rows(sample_minibatches(star, b, spec, cut))
+    layer = SampleSpec(LayerWise(), (6,), strategy="bucketed")
+    assert rows(sample_minibatches(star, b, layer, cut)) == rows(sample_minibatches(star, b, SampleSpec(LayerWise(), (6,))))
+
+
+def test_plans_at_rest(spark, sf):
+    """One exchange a hop where the graph lies in buckets; nothing of the graph moves; the grid's draw moves nothing more."""
+    t = tables.load(spark, sf)
+    edges = graphs.copurchase_graph(t)
+    b = make_batches(t.part.select(F.col("p_partkey").alias("v")), 64)
+    stored = tables.save_bucketed(matrix.to_rows(edges), "adjacency_at_rest", 4)
+    frontier = NodeWise().init_frontier(tables.durable(b)).hint("merge")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        text = lambda df: df._jdf.queryExecution().executedPlan().toString()
+        assert text(samplers.positions(frontier, matrix.Adjacency(stored), 5, 42, 1)).count("Exchange") == 1
+        assert text(samplers.pushdown(frontier, matrix.Adjacency(stored), 5, 42, 1)).count("Exchange") == 1
+        replicated = matrix.Adjacency(stored).replicated()
+        assert text(samplers.positions(NodeWise().init_frontier(tables.durable(b)), replicated, 5, 42, 1)).count("Exchange hashpartitioning") == 0
+        q = matrix.row_selector(tables.durable(b))
+        a = tables.durable(edges).withColumnsRenamed({"src": "row", "dst": "col"})
+        product = spgemm_grid(q, a, Grid(8, 2), keys=("batch",))
+        prob = product.select("batch", F.col("row").alias("row_id"), "col", F.col("val").alias("w"), F.lit(0).cast("long").alias("src"))
+        assert text(samplers.race_rows(prob, 5, 42, 1)).count("Exchange") <= text(product).count("Exchange") + 1
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+        spark.conf.set("spark.sql.adaptive.enabled", "true")
+
+
+def test_sizes_are_checked_before_anything_is_sent(spark, w6):
+    assert tables.small_enough(w6, 14 * 24) and not tables.small_enough(w6, 14 * 24 - 1)
+    wide = spark.createDataFrame([(1, [1.0] * 100)], "v long, vec array<float>")
+    assert tables.small_enough(wide, 424) and not tables.small_enough(wide, 423)
+    features = spark.createDataFrame([(v, [float(v)] * 4) for v in range(6)], "v long, vec array<float>")
+    b = batches_of(spark, (0, 1), (4, 5))
+    sampled = sample_minibatches(w6, b, SampleSpec(fanout=(2,)))
+    from sparseloom.operators.features import fetch_features, fetch_features_cached
+
+    for limit in (200, 1 << 20):
+        near = fetch_features_cached(sampled, features, w6, 1.0, limit=limit)
+        assert rows(near.select("batch", "v")) == rows(fetch_features(sampled, features).select("batch", "v"))
+        assert (near.where("near").select("v").distinct().count() <= 2) == (limit == 200)
+    choice = plan_epoch(w6, features, 10, 64, (5, None), 4, 1 << 20)
+    assert choice.k >= 1 and choice.strategy == "replicated"
+
+
+def test_independent_draws_equal_prefix_sums_over_all_vertices(spark):
+    edges = spark.createDataFrame([(v, n) for v in range(40) for n in range(1 + v % 7)], "src long, dst long")
+    got: dict = {}
+    for r in samplers.independent_draws(edges, 20, 6, 5).collect():
+        got.setdefault(r["batch"], []).append((r["rank"], r["col"]))
+    ends, total = [], 0
+    for v in range(40):
+        total += 1 + v % 7
+        ends.append(total)
+    for b in range(20):
+        picked, k = [], 0
+        while len(picked) < 6:
+            r = reference.u52(5, b, 1, 0, k) % total
+            v = next(v for v, e in enumerate(ends) if r < e)
+            picked += [v] if v not in picked else []
+            k += 1
+        assert [c for _, c in sorted(got[b])] == picked
+    skewed = spark.createDataFrame([(0, k) for k in range(5000)] + [(v, 0) for v in range(1, 40)], "src long, dst long")
+    short = Counter(r["batch"] for r in samplers.independent_draws(skewed, 4, 30, 5, draws=8).collect())
+    assert short == dict.fromkeys(range(4), 30)
+    assert Counter(r["batch"] for r in samplers.independent_draws(edges, 3, 50, 5).collect()) == dict.fromkeys(range(3), 40)
+
+
+def test_relabel_of_keys_in_narrow_clusters(spark):
+    pairs = [(k, 10**10 + k) for k in range(300)] + [(10**10 + k, 3 * 10**10) for k in range(300)]
+    frame = spark.createDataFrame(pairs, "src long, dst long").withColumn("val", F.lit(1).cast("long"))
+    _, ids = graphs.relabel(frame, together=50)
+    assert [r["id"] for r in ids.orderBy("v").collect()] == list(range(601))
+
+
+def test_recall_of_the_approximate_similarity_graph(spark, sf):
+    t = tables.load(spark, sf)
+    exact, near = graphs.similarity_graph(t, m=8), graphs.similarity_graph_lsh(t, m=8)
+    want, got = rows(exact.select("src", "dst")), rows(near.select("src", "dst"))
+    assert len(want & got) / len(want) >= 0.9 and max(Counter(a for a, _ in got).values()) <= 8
