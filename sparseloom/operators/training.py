@@ -239,13 +239,13 @@ def train(
     return weights, reports
 
 
-def evaluate(edges: DataFrame, features: DataFrame, labels: DataFrame, vertices: DataFrame, weights: list[np.ndarray], spec: SampleSpec, batch_size: int) -> DataFrame:
+def evaluate(edges: DataFrame, features: DataFrame, labels: DataFrame, vertices: DataFrame, weights: list[np.ndarray], spec: SampleSpec, batch_size: int, adjacency=None) -> DataFrame:
     """(v, label, predicted) of the vertices under a test fan-out."""
     import pyarrow as pa
 
     layers = len(weights)
     batches = durable(make_batches(vertices, batch_size, spec.seed))
-    rows = minibatch_rows(sample_minibatches(edges, batches, spec), features, batches, labels, layers)
+    rows = minibatch_rows(sample_minibatches(edges, batches, spec, adjacency), features, batches, labels, layers)
     ensure_importable(rows.sparkSession)
     sent = rows.sparkSession.sparkContext.broadcast(weights)
 

@@ -8,7 +8,7 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.rng import u52_sql
+from ..functions.rng import BITS, u52, u52_sql
 from ..operators import baselines, draw, features, framework, grid, matrix, samplers
 from ..operators.framework import SampleSpec, make_batches, sample_minibatches
 from ..operators.grid import Grid
@@ -745,6 +745,7 @@ def worked6_prob(spark, d):
 
 
 def _neardup_task(spark, d):
+    """Near-duplicate documents, the language as label, their n-grams as features."""
     from ..operators import training
 
     t = tables.load(spark, d)
@@ -756,6 +757,48 @@ def _neardup_task(spark, d):
     return training, edges, vectors, labels, vs
 
 
+def _planted_task(spark, d):
+    """The trade graph with a planted label: which of four directions the mean of a customer's neighbours' vectors leans to.
+
+    A vertex's own vector says nothing about it, so that what is learnt is learnt from the graph.
+    """
+    from ..operators import training
+
+    t = tables.load(spark, d)
+    edges = tables.durable(graphs.trade_graph(t))
+    vertices = graphs.vertices_of(edges)
+    draws = [(u52(SEED, "vec", i, F.col("v")) / float(1 << BITS) - 0.5).cast("float") for i in range(PLANTED_WIDTH)]
+    vectors = tables.durable(vertices.select("v", F.array(*draws).alias("vec")))
+    roots = t.customer.select(F.col("c_custkey").alias("v"))
+    asked = roots.select(F.lit(0).cast("long").alias("batch"), F.col("v").alias("row_id"), "v")
+    near = NodeWise().weigh(asked, edges).select("row_id", F.col("src"), F.col("col").alias("dst"))
+    mean = features.mean_features(near.withColumn("batch", F.lit(0).cast("long")), vectors)
+    lean = F.array_max(F.slice("vec", 1, 4))
+    labels = tables.durable(mean.select(F.col("src").alias("v"), (F.array_position(F.slice("vec", 1, 4), lean) - 1).cast("int").alias("label")))
+    return training, edges, vectors, labels, graphs.split(labels.select("v"), SEED)
+
+
+#: Width of the planted task's vectors; the first four positions carry the label.
+PLANTED_WIDTH = 8
+#: The study's accuracy runs: layers, hidden width, epochs, training and test fan-out, batches to one update.
+ACCURACY = {"hidden": 256, "epochs": 20, "fanout": PAPER_FANOUT, "test_fanout": (20, 20, 20), "processes": 4}
+
+
+def accuracy_run(task, k: int | None = None, graph_free: bool = False, size: int = BATCH, epochs: int | None = None, hidden: int | None = None):
+    """Weights, epoch reports and test accuracy of a three-layer model on a task; graph-free: the same model without any edge."""
+    training, edges, vectors, labels, vs = task
+    width = vectors.agg(F.max(F.size("vec"))).first()[0]
+    classes = labels.agg(F.max("label")).first()[0] + 1
+    model = training.ModelSpec(width, hidden or ACCURACY["hidden"], classes, layers=3, rate=0.005, dtype="float32")
+    used = tables.durable(edges.limit(0)) if graph_free else edges
+    adjacency = matrix.to_adjacency(used)
+    spec = SampleSpec(NodeWise("distinct"), ACCURACY["fanout"], SEED, "positions", "bucketed")
+    train = tables.durable(vs.where("split = 'train'"))
+    weights, reports = training.train(used, vectors, labels, train, model, spec, size, epochs or ACCURACY["epochs"], ACCURACY["processes"], k, adjacency=adjacency)
+    found = training.evaluate(used, vectors, labels, vs.where("split = 'test'"), weights, replace(spec, fanout=ACCURACY["test_fanout"]), 4 * size, adjacency)
+    return weights, reports, cost.accuracy(found).first()[0]
+
+
 @query("train_epoch")
 def train_epoch(spark, d):
     training, edges, vectors, labels, vs = _neardup_task(spark, d)
@@ -764,13 +807,21 @@ def train_epoch(spark, d):
     return spark.createDataFrame([(r.epoch, r.loss, r.labelled, r.steps) for r in reports], "epoch long, loss double, labelled long, steps long")
 
 
-@query("train_accuracy")
-def train_accuracy(spark, d):
-    training, edges, vectors, labels, vs = _neardup_task(spark, d)
-    model = training.ModelSpec(64, 32, 4, layers=2, rate=0.02)
-    weights, _ = training.train(edges, vectors, labels, vs.where("split = 'train'"), model, SampleSpec(fanout=(5, 3), seed=SEED), 64, epochs=4)
-    out = training.evaluate(edges, vectors, labels, vs.where("split = 'test'"), weights, SampleSpec(fanout=(20, 20), seed=SEED), 256)
-    return cost.accuracy(out)
+def _accuracies(make) -> Query:
+    """Test accuracy of the study's model, with the graph and without it."""
+
+    def run(spark, d):
+        task, rows = make(spark, d), []
+        for graph_free in (False, True):
+            _, reports, found = accuracy_run(task, graph_free=graph_free)
+            rows.append((not graph_free, float(found), reports[-1].loss, reports[-1].sampling_share))
+        return spark.createDataFrame(rows, "graph boolean, accuracy double, last_loss double, sampling_share double")
+
+    return run
+
+
+query("train_accuracy")(_accuracies(_planted_task))
+query("train_accuracy_language")(_accuracies(_neardup_task))
 
 
 @query("layer_wise_train")
