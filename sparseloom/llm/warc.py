@@ -13,7 +13,7 @@ resolved as "unvalidated". Of a revisit's headers only those that a 304 answer m
 the stored ones; all others, such as the content's length and type, stay as they were stored.
 
 Defined results: a response at the same instant as the revisit is not earlier; of responses at one
-instant the one with the largest record id counts, then the one with the largest validators, then the largest payload;
+instant the one with the largest record id counts, then the one with the largest validators, then one by a hash of the payload;
 revisits with a null or empty URL, a null time or without an earlier response are "missing". Every revisit row gives a row
 of its own, repeated rows and rows with a null or shared record id too, and responses without a record id count like others;
 an empty table gives no rows; other columns are ignored. Pages without an id stand for no records.
@@ -121,13 +121,14 @@ def resolve_revisits(records: DataFrame, slices: int = SLICES) -> DataFrame:
         .select("visit.record_id", "key", "ts", F.col("visit.headers").alias("update"), "base", "outcome")
     )
     stands = F.col("outcome").isin("resolved", "unvalidated")
-    stored = full.groupBy("key", F.struct("ts", F.col("record_id").alias("id"), *validators).alias("base"))
-    stored = stored.agg(F.max_by(F.struct(F.col("headers").alias("stored"), "payload"), F.coalesce("payload", F.lit(""))).alias("content"))
-    stored = stored.select(F.col("key").alias("own_key"), F.col("base").alias("own_base"), "content.stored", "content.payload")
-    same = F.col("key") == F.col("own_key")
-    for c in ("ts", "id", *validators):
-        same &= F.col(f"base.{c}").eqNullSafe(F.col(f"own_base.{c}"))
-    with_base = answered.where(stands).join(stored, same).drop("own_key", "own_base")
+    # one name for a response's key, time, id and validators: its content is grouped, moved and met by it once
+    ref = lambda base: F.md5(F.to_json(F.struct("key", base.alias("base"))))
+    stored = full.select(
+        ref(F.struct("ts", F.col("record_id").alias("id"), *validators)).alias("ref"), F.struct(F.col("headers").alias("stored"), "payload").alias("content"),
+        F.xxhash64(F.coalesce("payload", F.lit(""))).alias("order"),
+    )
+    stored = stored.groupBy("ref").agg(F.max_by("content", "order").alias("content")).select("ref", "content.stored", "content.payload")
+    with_base = answered.where(stands).withColumn("ref", ref(F.col("base"))).join(stored, "ref").drop("ref")
     without = answered.where(~stands).withColumns({"stored": nothing("map<string,string>"), "payload": nothing("string")})
     no_place = outside.select(
         "record_id", "key", "ts", F.col("headers").alias("update"), nothing(base_type).alias("base"), F.lit("missing").alias("outcome"),
