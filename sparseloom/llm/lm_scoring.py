@@ -14,8 +14,8 @@ log-weight is a sum, the sums of its exponentials are one matrix product, made i
 What comes from the corpus covers all of it: token counts N and V, shared outputs and noise come
 from the counts of every training document, and the gradient steps use every training token. Documents become
 numbers once, are dealt to shards of about `SHARD_TOKENS` by a hash of id and text, and each shard learns from its documents
-in hash order, a buffer at a time. The shards' parameters are averaged, in levels, and the next round starts from there;
-partitioning changes nothing. Context classes grow in number with the corpus. Only the `hot` most frequent tokens (a
+in hash order, a buffer at a time. The shards' parameters are averaged, in levels. A first round over some of the shards gives
+all of them a common start, from which the second round learns from every token; partitioning changes nothing. Context classes grow in number with the corpus. Only the `hot` most frequent tokens (a
 fixed number) go out to the workers; counts of the others are joined by token.
 
 Defined results: null and empty texts are one end token; repeated rows each give a row; a null
@@ -47,10 +47,13 @@ DIMENSIONS = 40
 SHARD_TOKENS = 8_000_000
 #: Tokens that are brought into random order together, tokens of one gradient step, and noise tokens that the step shares.
 BUFFER_TOKENS = 1 << 18
-STEP_TOKENS = 8192
-SHARED_NOISE = 128
-#: Shards whose parameters one task averages, and rows of them that may come to the driver.
+STEP_TOKENS = 2048
+SHARED_NOISE = 64
+#: Shards whose parameters one task averages, and parameters in one row on their way.
 FAN_IN = 8
+PIECE = 1 << 18
+#: The first round is a start for all: one in so many shards learns.
+START_SHARE = 8
 #: The end of a text. No token can be equal to it, as tokens hold no blank.
 END = b" "
 _COUNTED_AT_ONCE = 300_000
@@ -77,6 +80,9 @@ def shared_class(token: bytes) -> int:
     if not token.isascii():
         wide = [c for c in token.decode("utf-8", "replace") if c > "\x7f"]
         return _ENDINGS + ord(wide[-1]) % _WIDE
+    last = token[-1]
+    if 0x61 <= last <= 0x7A:
+        return last - 0x60
     stem = token.rstrip(b".,;:!?\"')]}|*#$%&")
     return stem[-1] - 0x60 if stem and 0x61 <= stem[-1] <= 0x7A else 0
 
@@ -218,19 +224,21 @@ class LogBilinear:
 
     def log10(self, far: np.ndarray, near: np.ndarray, target: np.ndarray) -> np.ndarray:
         found = np.empty(len(target))
-        for i in range(0, len(target), STEP_TOKENS):
-            f, c, t = far[i : i + STEP_TOKENS], near[i : i + STEP_TOKENS], target[i : i + STEP_TOKENS]
-            weight = np.einsum("ij,ij->i", self.far[f] + self.near[c], self.out[t]) + self.bias[t]
-            found[i : i + STEP_TOKENS] = weight - self.norm[f, c]
+        for i in range(0, len(target), 8192):
+            f, c, t = far[i : i + 8192], near[i : i + 8192], target[i : i + 8192]
+            terms = self.far.take(f, 0)
+            terms += self.near.take(c, 0)
+            terms *= self.out.take(t, 0)
+            found[i : i + 8192] = terms.sum(axis=1) + self.bias.take(t) - self.norm[f, c]
         return found / np.log(10.0)
 
 
 def _sums(rows: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Distinct row numbers, and the sum of `values` of each."""
     order = np.argsort(rows, kind="stable")
-    ordered = rows[order]
+    ordered = rows.take(order)
     at = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]]))
-    return ordered[at], np.add.reduceat(values[order], at)
+    return ordered[at], np.add.reduceat(values.take(order, 0), at)
 
 
 class Learner:
@@ -262,17 +270,25 @@ class Learner:
 
     def _step(self, f: np.ndarray, c: np.ndarray, t: np.ndarray, rng: np.random.Generator, each: np.float32, rate: float) -> None:
         far, near, out, bias = self.params
-        context, own = far[f] + near[c], out[t]
+        context, own = far.take(f, 0), out.take(t, 0)
+        context += near.take(c, 0)
         # the tokens themselves: told apart from noise by the difference of log-weight and log-noise
-        odds = np.einsum("ij,ij->i", context, own) + bias[t, 0] - self.log_noise[t] - np.log(each)
+        odds = np.einsum("ij,ij->i", context, own) + bias[:, 0].take(t) - self.log_noise.take(t) - np.log(each)
         wrong = 1 / (1 + np.exp(odds))
         # noise tokens shared by the step, each counting for noise_each / SHARED_NOISE
         k = np.minimum(np.searchsorted(self.upto, rng.random(SHARED_NOISE) * self.upto[-1], side="right"), len(out) - 1)
-        odds = context @ out[k].T
-        odds += bias[k, 0] - self.log_noise[k] - np.log(each)
-        fake = (each / np.float32(SHARED_NOISE)) / (1 + np.exp(-odds))
+        noise = out.take(k, 0)
+        fake = context @ noise.T
+        fake += bias[k, 0] - self.log_noise[k] - np.log(each)
+        np.negative(fake, out=fake)
+        np.exp(fake, out=fake)
+        fake += 1
+        np.divide(each / np.float32(SHARED_NOISE), fake, out=fake)
         size = np.float32(1 / np.sqrt(len(t)))
-        g_context = (wrong[:, None] * own - fake @ out[k]) * size
+        own *= wrong[:, None]
+        own -= fake @ noise
+        own *= size
+        g_context = own
         # the last column is the bias's
         rows = np.concatenate([np.column_stack([wrong[:, None] * context, wrong]), -np.column_stack([fake.T @ context, fake.sum(axis=0)])]) * size
         at, g = _sums(np.concatenate([t, k]), rows)
@@ -294,7 +310,7 @@ class Learner:
 def train(
     docs: DataFrame, vocab: Vocabulary, dimensions: int = DIMENSIONS, rounds: int = 2, seed: int = 11, shard_tokens: int = SHARD_TOKENS
 ) -> LogBilinear:
-    """Every round, each shard learns from the average of the last; then exact normalisation."""
+    """Rounds in which shards learn from the average of the last, some in the first and all in the others; then exact normalisation."""
     learner = Learner(vocab.output_tokens(), vocab.n_contexts, dimensions, seed)
     shards = max(1, -(-vocab.total // shard_tokens))
     dealt = encode_training(docs, vocab).withColumn("shard", F.pmod("key", F.lit(shards)))
@@ -320,7 +336,7 @@ def train(
                         if held:
                             use()
                         if weight:
-                            yield _parameters(shard, weight, own.state())
+                            yield from _parameters(shard, weight, own.state())
                         own.restore(state)
                         shard, weight, rng = s, 0, np.random.default_rng([seed, now, s])
                     held.append(np.frombuffer(raw.as_buffer(), np.int32).copy())
@@ -330,48 +346,51 @@ def train(
             if held:
                 use()
             if weight:
-                yield _parameters(shard, weight, own.state())
+                yield from _parameters(shard, weight, own.state())
 
-        learnt = map_batches(dealt, learn, "shard long, weight long, state binary")
-        weight, state = _average(learnt, shards)
-        if weight:
+        some = dealt.where(F.col("shard") % START_SHARE == 0) if turn == 0 and rounds > 1 else dealt
+        state = _average(map_batches(some, learn, _ROWS), shards, len(learner.state()))
+        if state is not None:
             learner.restore(state)
         sent.unpersist()
     return learner.normalised()
 
 
-def _parameters(shard: int, weight: int, state: np.ndarray) -> pa.RecordBatch:
-    columns = pa.array([shard], pa.int64()), pa.array([weight], pa.int64()), pa.array([state.astype(np.float32).tobytes()], pa.binary())
-    return pa.RecordBatch.from_arrays(list(columns), ["shard", "weight", "state"])
+_ROWS = "shard long, piece int, weight long, state binary"
 
 
-def _average(learnt: DataFrame, shards: int) -> tuple[int, np.ndarray | None]:
-    """Weighted mean of the shards' states, in levels of `FAN_IN`; in order, so that it is the same every time."""
-    while shards > FAN_IN:
+def _parameters(shard: int, weight: int, state: np.ndarray, first: int = 0) -> Iterator[pa.RecordBatch]:
+    for k, at in enumerate(range(0, len(state), PIECE), first):
+        raw = state[at : at + PIECE].astype(np.float32).tobytes()
+        columns = pa.array([shard], pa.int64()), pa.array([k], pa.int32()), pa.array([weight], pa.int64()), pa.array([raw], pa.binary())
+        yield pa.RecordBatch.from_arrays(list(columns), ["shard", "piece", "weight", "state"])
+
+
+def _average(learnt: DataFrame, shards: int, size: int) -> np.ndarray | None:
+    """Weighted mean of the shards' states, in levels of `FAN_IN`, in order, so that it is the same every time; one state comes to the driver."""
+    pieces = -(-size // PIECE)
+    while shards > 1:
         shards = -(-shards // FAN_IN)
-        parts = learnt.withColumn("part", F.floor(F.col("shard") / FAN_IN).cast("long")).repartition(shards, "part").sortWithinPartitions("part", "shard")
-        learnt = map_batches(parts.select("part", "weight", "state"), _averaged, "shard long, weight long, state binary")
-    whole, total = 0, None
-    for row in sorted(learnt.collect(), key=lambda r: r["shard"]):  # at most FAN_IN rows
-        x = np.frombuffer(row["state"], np.float32) * float(row["weight"])
-        whole, total = whole + row["weight"], x if total is None else total + x
-    return whole, None if total is None else total / whole
+        part = learnt.withColumn("part", F.floor(F.col("shard") / FAN_IN).cast("long"))
+        part = part.repartition(min(10_000, shards * pieces), "part", "piece").sortWithinPartitions("part", "piece", "shard")
+        learnt = map_batches(part.select("part", "piece", "weight", "state"), _averaged, _ROWS)
+    rows = sorted(learnt.collect(), key=lambda r: r["piece"])
+    return np.concatenate([np.frombuffer(r["state"], np.float32) for r in rows]) if rows else None
 
 
 def _averaged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """One row for each run of equal `part`: summed weight and mean state."""
-    part, weight, total = None, 0, None
+    """One row for each run of equal `part` and `piece`: summed weight and mean state."""
+    key, weight, total = None, 0, None
     for batch in batches:
-        for p, w, raw in zip(*(batch.column(k) for k in range(3))):
-            p, w = p.as_py(), w.as_py()
-            x = np.frombuffer(raw.as_buffer(), np.float32) * float(w)
-            if p != part:
-                if part is not None:
-                    yield _parameters(part, weight, total / weight)
-                part, weight, total = p, 0, 0.0
+        for p, k, w, raw in zip(*(batch.column(c) for c in range(4))):
+            w, x = w.as_py(), np.frombuffer(raw.as_buffer(), np.float32) * float(w.as_py())
+            if (p.as_py(), k.as_py()) != key:
+                if key is not None:
+                    yield from _parameters(key[0], weight, total / weight, key[1])
+                key, weight, total = (p.as_py(), k.as_py()), 0, 0.0
             weight, total = weight + w, total + x
-    if part is not None:
-        yield _parameters(part, weight, total / weight)
+    if key is not None:
+        yield from _parameters(key[0], weight, total / weight, key[1])
 
 
 def score(docs: DataFrame, counted: DataFrame, vocab: Vocabulary, model: LogBilinear) -> DataFrame:
