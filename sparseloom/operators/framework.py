@@ -134,9 +134,10 @@ def _at_hand(edges: DataFrame, spec: SampleSpec, adjacency) -> DataFrame | matri
     """The graph in the form that the strategy joins with."""
     if isinstance(adjacency, DataFrame):
         adjacency = matrix.Adjacency(adjacency)
-    if spec.strategy in ("bucketed", "replicated") and not isinstance(spec.sampler, LayerIndependent):
+    in_rows = spec.strategy in ("bucketed", "replicated") or spec.strategy == "shuffle" and spec.node_wise and spec.method == "race_uniform"
+    if in_rows:
         if adjacency is None:
-            adjacency = matrix.to_adjacency(durable(edges) if len(spec.fanout) > 1 else edges, cut=len(spec.fanout) > 1)
+            adjacency = matrix.to_adjacency(edges, cut=len(spec.fanout) > 1)
         if spec.strategy == "replicated" and small_enough(adjacency.rows):
             return adjacency.replicated()
         return adjacency  # too large a graph for every process stays where it is

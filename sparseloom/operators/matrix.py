@@ -114,21 +114,27 @@ class Adjacency:
     """A graph at rest in rows.
 
     `rows`: src, deg, nbrs, of all sources with up to `longest` neighbours; `hubs`: src, deg of the others, and `blocks`: their
-    src, blk, cum_before, nbrs. Without hubs these are None.
+    src, blk, cum_before, nbrs. Without hubs these are None. `spread`: tasks that a frontier is dealt to: its rows are few and small,
+    but each stands for many draws, so that sizes in bytes say little about the work. None where the rows lie in buckets and say so themselves.
     """
 
     rows: DataFrame
     hubs: DataFrame | None = None
     blocks: DataFrame | None = None
     longest: int = LONGEST_ROW
+    spread: int | None = None
+    by: tuple[str, ...] = ("v",)
 
     def replicated(self) -> Adjacency:
-        """With the rows sent to every task; blocks stay where they are."""
-        return replace(self, rows=F.broadcast(self.rows))
+        """With the rows sent to every task; blocks stay where they are. The frontier is split by its own rows."""
+        return replace(self, rows=F.broadcast(self.rows), by=("batch", "row_id"))
+
+    def dealt(self, frontier: DataFrame) -> DataFrame:
+        return frontier if self.spread is None else frontier.repartition(self.spread, *self.by)
 
     def expand(self, frontier: DataFrame) -> DataFrame:
         """(batch, row_id, src, col): the frontier's whole rows; only the frontier moves to a bucketed table."""
-        cols = ["batch", "row_id", "src", F.explode("nbrs").alias("col")]
+        frontier, cols = self.dealt(frontier), ["batch", "row_id", "src", F.explode("nbrs").alias("col")]
         out = frontier.join(self.rows.select("src", "nbrs"), F.col("v") == F.col("src")).select(*cols)
         if self.blocks is None:
             return out
@@ -136,16 +142,17 @@ class Adjacency:
 
 
 def to_adjacency(edges: DataFrame, longest: int = LONGEST_ROW, cut: bool = True) -> Adjacency:
-    """Rows for most sources, blocks for hubs: no array grows with a hub."""
-    deg = edges.groupBy("src").agg(F.count(F.lit(1)).alias("deg"))
-    hubs = durable(deg.where(F.col("deg") > longest))
+    """Rows for most sources, blocks for hubs: no array grows with a hub. The edges are made once; `cut`: so are the rows."""
+    edges = durable(edges.select("src", "dst"))
+    spread = int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    hubs = durable(edges.groupBy("src").agg(F.count(F.lit(1)).alias("deg")).where(F.col("deg") > longest))
     if hubs.isEmpty():
         rows = to_rows(edges)
-        return Adjacency(durable(rows) if cut else rows, longest=longest)
+        return Adjacency(durable(rows) if cut else rows, longest=longest, spread=spread)
     named = hubs.select("src")
     rows = durable(to_rows(edges.join(named, "src", "left_anti")))
     blocks = durable(to_blocks(edges.join(named, "src", "left_semi"), longest))
-    return Adjacency(rows, hubs, blocks, longest)
+    return Adjacency(rows, hubs, blocks, longest, spread)
 
 
 def storage_bytes(rows: int, cols: int, nnz: int, fmt: str, index: int = 8, value: int = 4) -> int:

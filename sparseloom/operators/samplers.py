@@ -12,7 +12,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.ranges import range_of, upto_cuts
-from ..functions.rng import h52, u52
+from ..functions.rng import digits52, h52, stem, u52
 from ..sources.tables import durable, shared_folder
 from . import draw, matrix
 from .matrix import Adjacency
@@ -257,11 +257,15 @@ def pushdown(frontier: DataFrame, adjacency: Adjacency, s: int, seed: int, layer
     same one that `race` with unit weights gives. Works on a bucketed adjacency without moving it. Of a row in blocks,
     each block gives its `s` smallest draws, and the smallest of these are kept.
     """
-    keyed = F.transform("nbrs", lambda n: F.struct(_key(rng, seed, F.col("batch"), layer, F.col("row_id"), n).alias("key"), n.alias("dst")))
-    picks = F.slice(F.sort_array(keyed), 1, s)
+    at = [seed, F.col("batch"), layer, F.col("row_id")]
+    # what the draws of one row have in common is put together once, before the join
+    frontier = adjacency.dealt(frontier)
+    asked = frontier.withColumn("stem", stem(*at)) if rng == "md5" else frontier
+    key = (lambda n: digits52(F.col("stem"), n)) if rng == "md5" else (lambda n: u52(*at, n, kind=rng))
+    picks = F.slice(F.sort_array(F.transform("nbrs", lambda n: F.struct(key(n).alias("key"), n.alias("dst")))), 1, s)
 
     def found(rows: DataFrame) -> DataFrame:
-        met = frontier.join(rows.select("src", "nbrs"), F.col("v") == F.col("src"))
+        met = asked.join(rows.select("src", "nbrs"), F.col("v") == F.col("src"))
         return met.select("batch", "row_id", "src", F.posexplode(picks).alias("at", "pick"))
 
     out = found(adjacency.rows).select("batch", "row_id", "src", F.col("pick.dst").alias("dst"), (F.col("at") + 1).cast("long").alias("rank"))
@@ -280,6 +284,7 @@ def positions(frontier: DataFrame, adjacency: Adjacency, s: int, seed: int, laye
     samples are others than those of `race`, which needs a random number for each neighbour. Of a row in blocks, only the blocks
     that hold a drawn position are read.
     """
+    frontier = adjacency.dealt(frontier)
     met = frontier.join(adjacency.rows.select("src", "nbrs"), F.col("v") == F.col("src"))
     found = F.transform(_positions(F.size("nbrs").cast("long"), s, seed, layer, rng), lambda p: F.element_at("nbrs", (p + 1).cast("int")))
     out = met.select("batch", "row_id", "src", F.posexplode(found).alias("at", "dst"))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 from dataclasses import replace
 
@@ -192,6 +193,16 @@ query("node_replicated", node_sql(COPURCHASE, PARTS, FANOUT))(_node(FANOUT, stra
 query("node_pushdown", node_sql(COPURCHASE, PARTS, FANOUT))(_node(FANOUT, strategy="bucketed"))
 query("node_positions", positions_sql(COPURCHASE, PARTS, FANOUT))(_node(FANOUT, strategy="bucketed", method="positions"))
 query("node_positions_paper", positions_sql(COPURCHASE, PARTS, PAPER_FANOUT, 1024))(_node(PAPER_FANOUT, 1024, strategy="bucketed", method="positions"))
+
+
+@query("node_bucketed_table", positions_sql(COPURCHASE, PARTS, FANOUT))
+def node_bucketed_table(spark, d):
+    """The adjacency as a bucketed table: in each hop only the frontier moves."""
+    edges, batches = _parts(spark, d)
+    rows = tables.save_bucketed(matrix.to_rows(edges), f"adjacency_{uuid.uuid4().hex}", 8, tables.shared_folder(spark, "adjacency"))
+    return sample_minibatches(edges, batches, SampleSpec(NodeWise(), FANOUT, SEED, "positions", "bucketed"), rows)
+
+
 query("node_grid", node_sql(COPURCHASE, PARTS, (5,)))(_node((5,), strategy="grid", grid=Grid(8, 2)))
 query("node_grid_3hop", node_sql(COPURCHASE, PARTS, FANOUT))(_node(FANOUT, strategy="grid", grid=Grid(8, 2)))
 query("node_positions_replicated", positions_sql(COPURCHASE, PARTS, FANOUT))(_node(FANOUT, strategy="replicated", method="positions"))
@@ -707,6 +718,11 @@ query(
     "e AS (SELECT a.doc_id AS src, b.doc_id AS dst FROM k a JOIN k b USING (h) WHERE a.df <= 20 AND a.doc_id <> b.doc_id UNION ALL SELECT doc_id, hub FROM k WHERE df > 20 AND doc_id <> hub UNION ALL SELECT hub, doc_id FROM k WHERE df > 20 AND doc_id <> hub) "
     "SELECT DISTINCT src, dst, CAST(1 AS BIGINT) AS val FROM e",
 )(lambda s, d: graphs.neardup_graph(tables.load(s, d)))
+_SHINGLES = f"SELECT DISTINCT k, unnest(list_transform(range(greatest(1, len(w) - 4)), lambda i: array_to_string(w[i + 1 : i + 5], ' '))) AS h FROM (SELECT {{}} AS k, {_WORDS} AS w FROM {{}}) WHERE len(w) > 0"
+query(
+    "graph_benchmark",
+    f"SELECT DISTINCT a.k AS src, b.k AS dst, CAST(1 AS BIGINT) AS val FROM ({_SHINGLES.format('item_id', 'benchmark')}) a JOIN ({_SHINGLES.format('doc_id', 'documents')}) b USING (h)",
+)(lambda s, d: graphs.benchmark_graph(tables.load(s, d)))
 query("graph_symmetrize", f"WITH g AS ({BIPARTITE}) SELECT DISTINCT src, dst, CAST(1 AS BIGINT) AS val FROM (SELECT src, dst FROM g UNION ALL SELECT dst, src FROM g)")(lambda s, d: graphs.symmetrize(graphs.bipartite_graph(tables.load(s, d))))
 query("graph_dedupe", "SELECT DISTINCT l_orderkey AS src, l_partkey AS dst, CAST(1 AS BIGINT) AS val FROM lineitem")(
     lambda s, d: graphs.dedupe(tables.load(s, d).lineitem.select(F.col("l_orderkey").alias("src"), F.col("l_partkey").alias("dst")))

@@ -187,6 +187,19 @@ def neardup_graph(t: Tables, shingle: int = 5, least: int = 2, most: int = 20) -
     return _edges(pairs.union(both), "src", "dst")
 
 
+def benchmark_graph(t: Tables, shingle: int = 5) -> DataFrame:
+    """Benchmark item to every document with which it shares a word shingle; in the JVM, over whole texts."""
+
+    def shingles(df: DataFrame, key: str) -> DataFrame:
+        words = F.filter(F.split(F.lower(F.coalesce("text", F.lit(""))), r"\s+"), lambda w: w != "")
+        at = F.sequence(F.lit(1), F.greatest(F.size("w") - (shingle - 1), F.lit(1)))
+        spread = df.select(key, words.alias("w")).where(F.size("w") > 0).select(key, F.explode(F.array_distinct(F.transform(at, lambda i: F.array_join(F.slice("w", i, shingle), " ")))).alias("text"))
+        return spread.select(key, F.md5("text").alias("h"))
+
+    items, docs = shingles(t.benchmark, "item_id"), shingles(t.documents, "doc_id")
+    return _edges(items.join(docs, "h"), "item_id", "doc_id")
+
+
 # ------------------------------------------------------------------ edits
 
 
