@@ -30,6 +30,24 @@ def texts(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Data
     )
 
 
+def fold(doc_id, folds: int):
+    """crc32 of the id's decimal text, modulo the number of folds (column); a null id counts as the empty text."""
+    return F.pmod(F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")), F.lit(folds).cast("long"))
+
+
+class Remembered(dict):
+    """A dict that computes and keeps what it lacks; long keys are not kept."""
+
+    def __init__(self, make):
+        self.make = make
+
+    def __missing__(self, key):
+        value = self.make(key)
+        if len(key) <= 64:
+            self[key] = value
+        return value
+
+
 def map_batches(
     df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str
 ) -> DataFrame:

@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, map_batches, texts
+from .common import durable, fold, map_batches, texts
 
 FOLDS = 7
 HELD_OUT_FOLD = 2
@@ -64,11 +64,6 @@ def tokens(text: str) -> list[bytes]:
     return [*text.encode("utf-8", "replace").lower().split(), END]
 
 
-def fold(doc_id):
-    """crc32 of the id's decimal text, modulo the number of folds (column)."""
-    return F.pmod(F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")), F.lit(FOLDS).cast("long"))
-
-
 #: Classes of tokens by spelling: by the last letter, or the last letter beyond ASCII.
 _ENDINGS = 27
 _WIDE = 24
@@ -105,7 +100,7 @@ def count_training_tokens(docs: DataFrame) -> DataFrame:
                     counts = Counter()
         yield rows(counts)
 
-    training = docs.where(fold(F.col("doc_id")) != HELD_OUT_FOLD).select("text")
+    training = docs.where(fold(F.col("doc_id"), FOLDS) != HELD_OUT_FOLD).select("text")
     partial = map_batches(training, work, "token binary, shared int, n long")
     return partial.groupBy("token", "shared").agg(F.sum("n").alias("n"))
 
@@ -197,7 +192,7 @@ def encode_training(docs: DataFrame, vocab: Vocabulary) -> DataFrame:
             columns = batch.column(0), pa.array([len(x) for x in found], pa.int64()), pa.array([x.tobytes() for x in found], pa.binary())
             yield pa.RecordBatch.from_arrays(list(columns), ["key", "n", "outputs"])
 
-    training = docs.where(fold(F.col("doc_id")) != HELD_OUT_FOLD).select(F.xxhash64("doc_id", "text").alias("key"), "text")
+    training = docs.where(fold(F.col("doc_id"), FOLDS) != HELD_OUT_FOLD).select(F.xxhash64("doc_id", "text").alias("key"), "text")
     return map_batches(training, work, "key long, n long, outputs binary")
 
 
@@ -440,7 +435,7 @@ def score(docs: DataFrame, counted: DataFrame, vocab: Vocabulary, model: LogBili
         F.sum(F.col("score") + extra).alias("score"),
     )
     return summed.select(
-        "doc_id", (fold(F.col("doc_id")) == HELD_OUT_FOLD).alias("held_out"), "n_tokens", "n_known",
+        "doc_id", (fold(F.col("doc_id"), FOLDS) == HELD_OUT_FOLD).alias("held_out"), "n_tokens", "n_known",
         F.lit(vocab.total).cast("long").alias("train_tokens"), "base_score", "score",
     )
 

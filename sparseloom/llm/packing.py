@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import durable, map_batches, row_schema, texts, tokenizer_path
+from .common import Remembered, durable, map_batches, row_schema, texts, tokenizer_path
 from .unicode_classes import LETTERS, NUMBERS, UNUSUAL, byte_symbols
 
 MAX_LENGTH = 2048
@@ -54,8 +54,8 @@ class WordIds:
         self.special = re.compile("|".join(special)) if special else None
         self.remembered = remembered
         self.symbols = dict(enumerate(byte_symbols()))
-        self.words: dict[str, bytes] = _Missing(self._split_word)
-        self.pieces: dict[str, bytes] = _Missing(self._ask_piece)
+        self.words: dict[str, bytes] = Remembered(self._split_word)
+        self.pieces: dict[str, bytes] = Remembered(self._ask_piece)
 
     def encode(self, body: str) -> bytes:
         """The text's ids as little-endian unsigned 32-bit numbers."""
@@ -77,19 +77,6 @@ class WordIds:
         return b"".join([t.id.to_bytes(4, "little") for t in found])
 
 
-class _Missing(dict):
-    """A dict that computes and keeps what it lacks; long keys are not kept."""
-
-    def __init__(self, make):
-        self.make = make
-
-    def __missing__(self, key: str) -> bytes:
-        value = self.make(key)
-        if len(key) <= 64:
-            self[key] = value
-        return value
-
-
 _LOADED: dict[str, WordIds] = {}
 
 

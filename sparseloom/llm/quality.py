@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import keep_rows, map_batches, texts
+from .common import fold, keep_rows, map_batches, texts
 
 FOLDS = 5
 HELD_OUT_FOLD = 0
@@ -90,11 +90,6 @@ def features(text: str) -> list[float]:
     return out
 
 
-def fold(doc_id):
-    """crc32 of the id's decimal text, modulo the number of folds (column)."""
-    return F.pmod(F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")), F.lit(FOLDS).cast("long"))
-
-
 @dataclass(frozen=True)
 class Ranking:
     """Standardised linear scores and the curve that turns them into 0..1."""
@@ -146,7 +141,7 @@ def train(
 ) -> Ranking:
     """Fit on a bounded, hash-chosen set of labelled documents outside the held-out fold."""
     marked = labels.select(F.col(id_col).cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("mark"))
-    marked = marked.where("doc_id IS NOT NULL AND mark IS NOT NULL").where(fold(F.col("doc_id")) != HELD_OUT_FOLD)
+    marked = marked.where("doc_id IS NOT NULL AND mark IS NOT NULL").where(fold(F.col("doc_id"), FOLDS) != HELD_OUT_FOLD)
     marked = marked.groupBy("doc_id").agg(F.max("mark").alias("mark"))
     marked = marked.withColumn("order", F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(_ORDERS)))
     # all but a little over `max_labelled` leave before the sort, so that its last task stays small at any size
@@ -186,7 +181,7 @@ def classify(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, m
     model = train(docs, labels, max_labelled, threshold=threshold)
     scored = score(docs, model)
     return scored.select(
-        "doc_id", (fold(F.col("doc_id")) == HELD_OUT_FOLD).alias("held_out"), "score",
+        "doc_id", (fold(F.col("doc_id"), FOLDS) == HELD_OUT_FOLD).alias("held_out"), "score",
         (F.col("score") >= threshold).cast("int").alias("predicted"),
     )
 

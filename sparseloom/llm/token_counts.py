@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_batches, texts, tokenizer_path
+from .common import Remembered, map_batches, texts, tokenizer_path
 from .unicode_classes import LETTERS, NUMBERS, UNUSUAL, byte_symbols
 
 #: Pieces that a worker remembers; beyond it, the memory is emptied and filled anew.
@@ -57,8 +57,8 @@ class ByteMerges:
         self.special = re.compile("|".join(map(re.escape, special))) if special else None
         self.general = None
         self.remembered = remembered
-        self.chunks: dict[str, int] = _Missing(lambda chunk: sum(map(self.counts.__getitem__, _PLAIN_PIECES.findall(chunk))))
-        self.counts: dict[str, int] = _Missing(lambda piece: self.count_piece(piece.encode()))
+        self.chunks: dict[str, int] = Remembered(lambda chunk: sum(map(self.counts.__getitem__, _PLAIN_PIECES.findall(chunk))))
+        self.counts: dict[str, int] = Remembered(lambda piece: self.count_piece(piece.encode()))
 
     def count_piece(self, piece: bytes) -> int:
         """Tokens of one piece: its bytes less the merges."""
@@ -111,19 +111,6 @@ class ByteMerges:
         return len(found) + sum(map(self._count, self.special.split(text)))
 
 
-class _Missing(dict):
-    """A dict that computes and keeps what it lacks; long keys are not kept."""
-
-    def __init__(self, make):
-        self.make = make
-
-    def __missing__(self, key: str) -> int:
-        value = self.make(key)
-        if len(key) <= 64:
-            self[key] = value
-        return value
-
-
 _LOADED: dict[str, ByteMerges] = {}
 
 
