@@ -2,7 +2,8 @@
 
 A layer takes each vertex's own vector and the mean of its drawn neighbours' vectors, side by side, times a
 weight matrix, with a rectifier between layers; the last layer's outputs are class scores. Kernels are
-numpy, one minibatch at a time; gradients leave the executors already summed per task.
+numpy, one minibatch at a time. Steps follow each other and are small, so that one task makes all steps of a bulk in turn:
+minibatches are gathered by all tasks, and weights and optimizer go in and come out once for each bulk.
 """
 
 from __future__ import annotations
@@ -62,21 +63,35 @@ def _add_rows(into: np.ndarray, at: np.ndarray, values: np.ndarray) -> None:
         into[at[order][first]] += np.add.reduceat(values[order], first)
 
 
+def _reach(m: Minibatch) -> list[tuple[np.ndarray, ...]]:
+    """For each layer, from the inputs on: the vertices that it is computed for, its distinct edges from them, and the vertices that these need below."""
+    n, need, out = len(m.x), np.unique(m.roots), []
+    for src, dst in reversed(m.edges):
+        asked = np.zeros(n, bool)
+        asked[need] = True
+        kept = asked[src]
+        src, dst = np.divmod(np.unique(src[kept] * n + dst[kept]), max(1, n))
+        below = np.unique(np.concatenate([need, dst]))
+        out.append((need, src, dst, below))
+        need = below
+    return out[::-1]
+
+
 def forward(m: Minibatch, weights: list[np.ndarray]) -> np.ndarray:
-    """Class scores of the batch's own vertices; keeps what the backward pass needs."""
-    h, m.state = m.x, []
-    for k, (w, (src, dst)) in enumerate(zip(weights, m.edges)):
-        pairs = np.unique(np.stack([src, dst]), axis=1) if len(src) else np.zeros((2, 0), np.int64)
-        src, dst = pairs
-        count = np.maximum(np.bincount(src, minlength=len(h)), 1)[:, None]
-        mean = np.zeros_like(h)
+    """Class scores of the batch's own vertices; keeps what the backward pass needs. A layer computes what the roots see of it."""
+    layers, m.state = _reach(m)[: len(weights)], []
+    h = m.x[layers[0][3]]
+    for k, (w, (need, src, dst, below)) in enumerate(zip(weights, layers)):
+        own, src, dst = np.searchsorted(below, need), np.searchsorted(need, src), np.searchsorted(below, dst)
+        count = np.maximum(np.bincount(src, minlength=len(need)), 1)[:, None]
+        mean = np.zeros((len(need), h.shape[1]), h.dtype)
         _add_rows(mean, src, h[dst])
         mean /= count.astype(h.dtype)
-        both = np.concatenate([h, mean], axis=1)
+        both = np.concatenate([h[own], mean], axis=1)
         z = both @ w
-        m.state.append((both, z, src, dst, count))
+        m.state.append((both, z, src, dst, count, own, len(below)))
         h = np.maximum(z, 0) if k + 1 < len(weights) else z
-    return h[m.roots]
+    return h[np.searchsorted(layers[-1][0], m.roots)]
 
 
 def loss_and_gradients(m: Minibatch, weights: list[np.ndarray]) -> tuple[float, int, list[np.ndarray]]:
@@ -92,16 +107,18 @@ def loss_and_gradients(m: Minibatch, weights: list[np.ndarray]) -> tuple[float,
     g[known, m.labels[known]] -= 1
     g[~known] = 0
     top = np.zeros_like(m.state[-1][1])
-    _add_rows(top, m.roots, g)
+    _add_rows(top, np.searchsorted(np.unique(m.roots), m.roots), g)
     out: list[np.ndarray] = [np.zeros_like(w) for w in weights]
     for k in range(len(weights) - 1, -1, -1):
-        both, z, src, dst, count = m.state[k]
+        both, z, src, dst, count, own, n_below = m.state[k]
         gz = top if k + 1 == len(weights) else top * (z > 0)
         out[k] = both.T @ gz
-        gb = gz @ weights[k].T
-        width = both.shape[1] // 2
-        top = gb[:, :width].copy()
-        _add_rows(top, dst, (gb[:, width:] / count.astype(gb.dtype))[src])
+        if k:
+            gb = gz @ weights[k].T
+            width = both.shape[1] // 2
+            top = np.zeros((n_below, width), gb.dtype)
+            top[own] = gb[:, :width]
+            _add_rows(top, dst, (gb[:, width:] / count.astype(gb.dtype))[src])
     return loss, n, out
 
 
@@ -113,16 +130,23 @@ def minibatch_rows(sampled: DataFrame, features: DataFrame, batches: DataFrame,
     return marked.join(vectors, "batch").join(edges, "batch", "left")
 
 
-def _unpack(row: dict, layers: int, dtype="float64") -> Minibatch:
-    ids = np.array([r["v"] for r in row["vectors"]], np.int64)
-    x = np.array([r["vec"] for r in row["vectors"]], dtype)
-    roots = np.array([r["v"] for r in row["roots"]], np.int64)
-    labels = np.array([r["label"] for r in row["roots"]], np.int64)
-    kept = np.isin(roots, ids)
-    edges = row["edges"] or []
-    each = [(k, np.array([e["src"] for e in edges if e["layer"] == k], np.int64), np.array([e["dst"] for e in edges if e["layer"] == k], np.int64)) for k in range(1, layers + 1)]
-    each = [(k, s[(ok := np.isin(s, ids) & np.isin(d, ids))], d[ok]) for k, s, d in each]
-    return local_minibatch(each, ids, x, roots[kept], labels[kept])
+def _minibatches(batch, layers: int, dtype="float64") -> Iterator[tuple[np.ndarray, Minibatch]]:
+    """Each row of an Arrow batch as (global ids, minibatch), from the arrays as they lie."""
+
+    def column(name: str, r: int, *fields: str) -> list:
+        held = batch.column(batch.schema.get_field_index(name)).slice(r, 1).flatten()
+        return [held.field(f) for f in fields]
+
+    for r in range(batch.num_rows):
+        v, vec = column("vectors", r, "v", "vec")
+        ids = v.to_numpy(zero_copy_only=False).astype(np.int64)
+        x = vec.flatten().to_numpy(zero_copy_only=False).astype(dtype).reshape(len(ids), -1)
+        roots, labels = (a.to_numpy(zero_copy_only=False).astype(np.int64) for a in column("roots", r, "v", "label"))
+        kept = np.isin(roots, ids)
+        layer, src, dst = (a.to_numpy(zero_copy_only=False).astype(np.int64) for a in column("edges", r, "layer", "src", "dst"))
+        ok = np.isin(src, ids) & np.isin(dst, ids)
+        each = [(k, src[at], dst[at]) for k in range(1, layers + 1) for at in [ok & (layer == k)]]
+        yield ids, local_minibatch(each, ids, x, roots[kept], labels[kept])
 
 
 class Adam:
@@ -141,31 +165,83 @@ class Adam:
         return out
 
 
-def step_gradients(rows: DataFrame, weights: list[np.ndarray], layers: int) -> tuple[float, int, list[np.ndarray]]:
-    """Summed loss, labelled roots and gradients of some batches; one row per task and layer comes back."""
+@dataclass
+class Progress:
+    """What passes from one bulk to the next: weights, optimizer, the gradients of the step under way, and sums for the report."""
+
+    weights: list[np.ndarray]
+    optimizer: Adam
+    pending: list[np.ndarray] | None = None
+    held: int = 0
+    loss: float = 0.0
+    labelled: int = 0
+    steps: int = 0
+
+    def add(self, m: Minibatch) -> None:
+        loss, n, gradients = loss_and_gradients(m, self.weights)
+        self.loss, self.labelled, self.held = self.loss + loss, self.labelled + n, self.held + n
+        self.pending = gradients if self.pending is None else [x + y for x, y in zip(self.pending, gradients)]
+
+    def step(self) -> None:
+        self.steps += 1
+        if self.held:
+            self.weights = self.optimizer.step(self.weights, [x / self.held for x in self.pending])
+        self.pending, self.held = None, 0
+
+
+#: Minibatches in one Arrow batch.
+TOGETHER = 8
+
+
+def _few_together(spark, action):
+    """Run an action whose rows are whole minibatches: few of them at a time go to a Python worker."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(TOGETHER))
+    try:
+        return action()
+    finally:
+        spark.conf.set(name, before)
+
+
+def run_steps(rows: DataFrame, progress: Progress, low: int, end: int, count: int, processes: int, layers: int) -> Progress:
+    """All updates of the batches from `low` up to `end`, one for each `processes` batches, in the order of the batches."""
+    import pickle
+
     import pyarrow as pa
 
     spark = rows.sparkSession
     ensure_importable(spark)
-    sent = spark.sparkContext.broadcast(weights)
+    sent = spark.sparkContext.broadcast(progress)
 
     def work(found: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total, loss, n = [np.zeros_like(w) for w in sent.value], 0.0, 0
+        now, at = sent.value, low
+
+        def close(upto: int) -> None:
+            # batches without any row count for their step too
+            nonlocal at
+            for b in range(at, upto):
+                if (b + 1) % processes == 0 or b + 1 == count:
+                    now.step()
+            at = max(at, upto)
+
         for batch in found:
-            for row in batch.to_pylist():
-                a, b, g = loss_and_gradients(_unpack(row, layers, sent.value[0].dtype), sent.value)
-                loss, n = loss + a, n + b
-                total = [x + y for x, y in zip(total, g)]
-        yield pa.RecordBatch.from_pylist(
-            [{"layer": k, "loss": loss, "n": n, "data": g.ravel().tolist()} for k, g in enumerate(total)],
-            pa.schema([("layer", pa.int32()), ("loss", pa.float64()), ("n", pa.int64()), ("data", pa.list_(pa.float64()))]),
-        )
-
-    parts = rows.mapInArrow(work, "layer int, loss double, n long, data array<double>").toPandas()
+            numbers = batch.column(batch.schema.get_field_index("batch")).to_pylist()
+            for b, (_, m) in zip(numbers, _minibatches(batch, layers, now.weights[0].dtype)):
+                close(b)
+                now.add(m)
+        close(end)
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(now)], pa.binary())], ["state"])
+
+    ordered = rows.select("batch", "vectors", "roots", "edges").coalesce(1).sortWithinPartitions("batch")
+    found = _few_together(spark, ordered.mapInArrow(work, "state binary").collect)
     sent.unpersist()
-    out = [np.sum(np.stack(parts[parts.layer == k]["data"].to_list()), axis=0).reshape(w.shape) if (parts.layer == k).any() else np.zeros_like(w) for k, w in enumerate(weights)]
-    first = parts[parts.layer == 0]
-    return float(first["loss"].sum()), int(first["n"].sum()), out
+    if found:
+        return pickle.loads(bytes(found[0]["state"]))
+    for b in range(low, end):
+        if (b + 1) % processes == 0 or b + 1 == count:
+            progress.step()
+    return progress
 
 
 @dataclass
@@ -199,18 +275,18 @@ def train(
     from time import perf_counter
 
     weights = weights or model.weights()
-    optimizer, reports = Adam(model.rate), []
+    progress, reports = Progress(weights, Adam(model.rate)), []
     for epoch in range(epochs):
         batches = durable(make_batches(train_vertices, batch_size, spec.seed, epoch))
         count = (batches.agg(F.max("batch")).first()[0] or 0) + 1 if not batches.isEmpty() else 0
-        seconds, loss, n, steps, words = {"sampling": 0.0, "fetch": 0.0, "propagation": 0.0}, 0.0, 0, 0, 0
+        progress = replace(progress, pending=None, held=0, loss=0.0, labelled=0, steps=0)
+        seconds, words = {"sampling": 0.0, "fetch": 0.0, "propagation": 0.0}, 0
         if k is None and memory is not None:
             from ..plans.planner import plan_epoch
 
             width = plan_epoch(edges, features, count, batch_size, spec.fanout, processes, memory).k
         else:
             width = k or max(1, count)
-        pending, held = [np.zeros_like(w) for w in weights], 0  # gradients of the step under way
         for low in range(0, count, width):
             end = min(low + width, count)
             bulk = batches.where(f"batch >= {low} AND batch < {end}")
@@ -223,20 +299,10 @@ def train(
             if words_over is not None:
                 words += feature_words(sampled, words_over, model.inputs).agg(F.sum("remote_words")).first()[0] or 0
             t = perf_counter()
-            first = low
-            while first < end:
-                last = min((first // processes + 1) * processes, end)
-                a, b, g = step_gradients(rows.where(f"batch >= {first} AND batch < {last}"), weights, model.layers)
-                loss, n, held, pending = loss + a, n + b, held + b, [x + y for x, y in zip(pending, g)]
-                if last % processes == 0 or last == count:
-                    steps += 1
-                    if held:
-                        weights = optimizer.step(weights, [x / held for x in pending])
-                    pending, held = [np.zeros_like(w) for w in weights], 0
-                first = last
+            progress = run_steps(rows, progress, low, end, count, processes, model.layers)
             seconds["propagation"] += perf_counter() - t
-        reports.append(EpochReport(epoch, loss / max(1, n), n, steps, seconds, width, words if words_over is not None else None))
-    return weights, reports
+        reports.append(EpochReport(epoch, progress.loss / max(1, progress.labelled), progress.labelled, progress.steps, seconds, width, words if words_over is not None else None))
+    return progress.weights, reports
 
 
 def evaluate(edges: DataFrame, features: DataFrame, labels: DataFrame, vertices: DataFrame, weights: list[np.ndarray], spec: SampleSpec, batch_size: int, adjacency=None) -> DataFrame:
@@ -251,16 +317,14 @@ def evaluate(edges: DataFrame, features: DataFrame, labels: DataFrame, vertices:
 
     def work(found: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in found:
-            for row in batch.to_pylist():
-                m = _unpack(row, layers, sent.value[0].dtype)
-                ids = np.array([r["v"] for r in row["vectors"]], np.int64)
+            for ids, m in _minibatches(batch, layers, sent.value[0].dtype):
                 scores = forward(m, sent.value)
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(ids[m.roots]), pa.array([int(x) if x >= 0 else None for x in m.labels], pa.int64()), pa.array(scores.argmax(axis=1), pa.int64())],
                     ["v", "label", "predicted"],
                 )
 
-    return rows.mapInArrow(work, "v long, label long, predicted long")
+    return _few_together(rows.sparkSession, lambda: durable(rows.mapInArrow(work, "v long, label long, predicted long")))
 
 
 def text_features(documents: DataFrame, width: int = 64, n: int = 3) -> DataFrame:
