@@ -7,19 +7,26 @@ from dataclasses import replace
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.tables import shared_folder
+from ..sources.tables import durable, shared_folder
 from . import matrix
 from .framework import SampleSpec, in_bulks, sample_minibatches
 
 
-def per_batch_loop(edges: DataFrame, batches: DataFrame, spec: SampleSpec, count: int) -> DataFrame:
-    """The same samples by one job after the other, one batch each; the graph replicated as in the compared system."""
+def per_batch_loop(edges: DataFrame | None, batches: DataFrame, spec: SampleSpec, count: int, adjacency: matrix.Adjacency | None = None, jobs: int | None = None) -> DataFrame:
+    """The same samples by one job after the other, one batch each; the graph replicated as in the compared system.
+
+    With `jobs`, at most so many: where there are more batches, a job takes several, and the number of jobs does not grow with the input.
+    """
     one_by_one = replace(spec, strategy="replicated")
-    adjacency = matrix.to_adjacency(edges)
-    folder = shared_folder(edges.sparkSession, "per-batch")
-    for b, part in enumerate(in_bulks(edges, batches, one_by_one, 1, count, adjacency)):
-        part.write.parquet(f"{folder}/{b}")
-    return edges.sparkSession.read.parquet(*[f"{folder}/{b}" for b in range(count)])
+    if adjacency is None:
+        adjacency = matrix.to_adjacency(edges)
+    batches = durable(batches)
+    together = 1 if jobs is None else max(1, -(-count // jobs))
+    folder, parts = shared_folder(batches.sparkSession, "per-batch"), []
+    for part in in_bulks(edges, batches, one_by_one, together, count, adjacency):
+        parts.append(f"{folder}/{len(parts)}")
+        part.write.parquet(parts[-1])
+    return batches.sparkSession.read.parquet(*parts)
 
 
 def full_neighborhood(edges: DataFrame, batches: DataFrame, hops: int) -> DataFrame:
