@@ -11,7 +11,7 @@ from .grid import Grid
 
 def needed_vertices(sampled: DataFrame, roots: DataFrame | None = None) -> DataFrame:
     """Distinct (batch, v): both ends of every sampled edge, and the batch's own vertices."""
-    ids = sampled.select("batch", F.col("src").alias("v")).union(sampled.select("batch", "dst"))
+    ids = sampled.select("batch", F.explode(F.array("src", "dst")).alias("v"))  # in one pass: the last hop is not drawn twice
     if roots is not None:
         ids = ids.union(roots.select("batch", "v"))
     return ids.distinct()
@@ -38,11 +38,13 @@ def fetch_features_cached(sampled: DataFrame, features: DataFrame, edges: DataFr
 
     As many hot vertices as `fraction` says, or as their vectors leave room for below `limit` bytes.
     """
-    ids = needed_vertices(sampled, roots)
+    ids = needed_vertices(sampled, roots).where("v IS NOT NULL")
     width = features.agg(F.max(F.size("vec"))).first()[0] or 1
     hot = durable(features.select("v", "vec").join(F.broadcast(hot_vertices(edges, fraction, limit // (16 * width + 32))), "v"))
     near = ids.join(F.broadcast(hot), "v").select("batch", "v", "vec", F.lit(True).alias("near"))
-    cold = ids.join(F.broadcast(hot.select("v")), "v", "left_anti").join(features.select("v", "vec"), "v")
+    # not an anti join: that would be pushed below the ids' exchange, and the samples drawn again for this tier
+    missed = ids.join(F.broadcast(hot.select("v", F.lit(True).alias("hit"))), "v", "left").where("hit IS NULL")
+    cold = missed.join(features.select("v", "vec"), "v")
     return near.unionByName(cold.select("batch", "v", "vec", F.lit(False).alias("near")))
 
 
