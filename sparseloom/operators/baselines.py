@@ -7,7 +7,7 @@ from dataclasses import replace
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.tables import durable, shared_folder
+from ..sources.tables import durable, ensure_importable, shared_folder
 from . import matrix
 from .framework import SampleSpec, in_bulks, sample_minibatches
 
@@ -29,17 +29,113 @@ def per_batch_loop(edges: DataFrame | None, batches: DataFrame, spec: SampleSpec
     return batches.sparkSession.read.parquet(*parts)
 
 
-def full_neighborhood(edges: DataFrame, batches: DataFrame, hops: int) -> DataFrame:
-    """(batch, hop, vertices, edges): everything within reach, unsampled, repeats merged per batch."""
-    front, out = batches.select("batch", "v").distinct(), None
+def full_neighborhood(edges: DataFrame | None, batches: DataFrame, hops: int, columns: DataFrame | None = None) -> DataFrame:
+    """(batch, hop, vertices, edges): everything within reach, unsampled, repeats merged per batch.
+
+    The graph's columns are dealt to blocks, and every batch's frontier meets every block: a block marks which of its own vertices
+    are reached, so that no visited edge leaves its task, and only the frontiers move. `columns`: the graph at hand as (dst, srcs).
+    """
+    ensure_importable(batches.sparkSession)
+    columns = matrix.to_cols(edges) if columns is None else columns
+    blocks = max(LEAST_BLOCKS, int(batches.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 12)
+    graph = columns.select(F.pmod(F.hash("dst"), F.lit(blocks)).alias("blk"), F.col("dst").cast("long").alias("dst"), F.col("srcs").cast("array<long>").alias("srcs"))
+    front = batches.where("v IS NOT NULL").groupBy("batch").agg(F.collect_set(F.col("v").cast("long")).alias("vs")).mapInArrow(_packed, "batch long, held binary")
+    out = None
     for h in range(1, hops + 1):
-        met = front.join(edges.select("src", "dst"), F.col("v") == F.col("src"))
-        part = met.groupBy("batch").agg(F.countDistinct("dst").alias("vertices"), F.count(F.lit(1)).alias("edges")).withColumn("hop", F.lit(h).cast("long"))
+        sent = front.withColumn("blk", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+        met = graph.groupBy("blk").cogroup(sent.select("blk", "batch", "held").groupBy("blk")).applyInArrow(_reached(h < hops), "batch long, vertices long, edges long, held binary")
+        part = met.groupBy("batch").agg(F.sum("vertices").alias("vertices"), F.sum("edges").alias("edges")).withColumn("hop", F.lit(h).cast("long"))
         out = part if out is None else out.unionByName(part)
-        front = met.select("batch", F.col("dst").alias("v")).distinct()
+        front = met.select("batch", "held")
     return out
 
 
+#: Blocks of the graph's columns at least.
+LEAST_BLOCKS = 8
+
+
+def _pack(vs) -> bytes:
+    """Ascending ids as their first one and the gaps, in as few bytes as the largest gap needs."""
+    import numpy as np
+
+    gaps = np.diff(vs)
+    width = next((w for w in (1, 2, 4) if not len(gaps) or gaps.max() < 1 << 8 * w), 8)
+    return bytes([width]) + np.int64(vs[0]).tobytes() + gaps.astype(f"<u{width}").tobytes()
+
+
+def _unpack(held: bytes):
+    import numpy as np
+
+    gaps = np.frombuffer(held, f"<u{held[0]}", offset=9)
+    out = np.empty(len(gaps) + 1, np.int64)
+    out[0] = np.frombuffer(held, "<i8", 1, 1)[0]
+    out[1:] = gaps
+    return np.cumsum(out)
+
+
+def _packed(frames):
+    import numpy as np
+    import pyarrow as pa
+
+    for frame in frames:
+        held = [_pack(np.sort(np.array(vs, np.int64))) for vs in frame.column("vs").to_pylist()]
+        yield pa.RecordBatch.from_arrays([frame.column("batch"), pa.array(held, pa.binary())], ["batch", "held"])
+
+
+def _reached(onward: bool):
+    """For one block of columns and all frontiers: per batch, how many of the block's vertices are reached, by how many edges; and which, if they go on."""
+
+    def work(graph, fronts):
+        import numpy as np
+        import pyarrow as pa
+
+        if not len(graph) or not len(fronts):
+            return pa.table({"batch": pa.array([], pa.int64()), "vertices": pa.array([], pa.int64()), "edges": pa.array([], pa.int64()), "held": pa.array([], pa.binary())})
+        graph = graph.sort_by("dst")
+        dst = graph.column("dst").to_numpy()
+        srcs = graph.column("srcs").combine_chunks()
+        flat, lengths = srcs.flatten().to_numpy(), srcs.value_lengths().to_numpy()
+        order = np.argsort(flat, kind="stable")
+        to = np.repeat(np.arange(len(dst), dtype=np.int32), lengths)[order]
+        ids, starts = np.unique(flat[order], return_index=True)
+        starts, many = starts.astype(np.int64), np.diff(np.append(starts, len(flat)))
+        low, span = int(ids[0]), int(ids[-1]) - int(ids[0]) + 1
+        place = None
+        if span <= 8 * len(ids) + 1024:  # ids lie close: a table finds them
+            place = np.full(span, -1, np.int32)
+            place[ids - low] = np.arange(len(ids))
+        numbers = fronts.column("batch").to_numpy()
+        held, turn, found = fronts.column("held"), np.argsort(numbers, kind="stable"), []
+        cuts = np.flatnonzero(np.diff(numbers[turn])) + 1
+        for own in np.split(turn, cuts):
+            v = np.concatenate([_unpack(held[int(k)].as_py()) for k in own])
+            if place is not None:
+                v = v[(v >= low) & (v < low + span)]
+                at = place[v - low]
+                at = at[at >= 0]
+            else:
+                at = np.minimum(np.searchsorted(ids, v), len(ids) - 1)
+                at = at[ids[at] == v]
+            if not len(at):
+                continue
+            n = many[at]
+            ends = np.cumsum(n)
+            seen = np.zeros(len(dst), bool)
+            for a in range(0, len(at), TOGETHER):  # in pieces: a frontier of hubs visits more edges than memory holds
+                b = min(a + TOGETHER, len(at))
+                base = ends[a - 1] if a else 0
+                seen[to[np.repeat(starts[at[a:b]] - (ends[a:b] - n[a:b] - base), n[a:b]) + np.arange(ends[b - 1] - base)]] = True
+            found.append((int(numbers[own[0]]), int(np.count_nonzero(seen)), int(ends[-1]), _pack(dst[seen]) if onward else None))
+        columns = list(zip(*found)) or [[]] * 4
+        return pa.table({k: pa.array(x, kind) for k, x, kind in zip(("batch", "vertices", "edges", "held"), columns, (pa.int64(), pa.int64(), pa.int64(), pa.binary()))})
+
+    return work
+
+
+#: Vertices of a frontier whose rows are looked up at once.
+TOGETHER = 4096
+
+
 def serial_run(edges: DataFrame, batches: DataFrame, spec: SampleSpec) -> DataFrame:
     """The same samples from a single partition."""
     return sample_minibatches(edges.coalesce(1), batches.coalesce(1), spec)
