@@ -88,34 +88,42 @@ def _reached(onward: bool):
     def work(graph, fronts):
         import numpy as np
         import pyarrow as pa
+        import pyarrow.compute as pc
 
         if not len(graph) or not len(fronts):
             return pa.table({"batch": pa.array([], pa.int64()), "vertices": pa.array([], pa.int64()), "edges": pa.array([], pa.int64()), "held": pa.array([], pa.binary())})
-        graph = graph.sort_by("dst")
-        dst = graph.column("dst").to_numpy()
-        srcs = graph.column("srcs").combine_chunks()
-        flat, lengths = srcs.flatten().to_numpy(), srcs.value_lengths().to_numpy()
-        order = np.argsort(flat, kind="stable")
-        to = np.repeat(np.arange(len(dst), dtype=np.int32), lengths)[order]
-        ids, starts = np.unique(flat[order], return_index=True)
-        starts, many = starts.astype(np.int64), np.diff(np.append(starts, len(flat)))
-        low, span = int(ids[0]), int(ids[-1]) - int(ids[0]) + 1
-        place = None
-        if span <= 8 * len(ids) + 1024:  # ids lie close: a table finds them
-            place = np.full(span, -1, np.int32)
-            place[ids - low] = np.arange(len(ids))
+        dst, srcs = graph.column("dst").to_numpy(), graph.column("srcs")
+        lengths = np.concatenate([c.value_lengths().to_numpy() for c in srcs.chunks])
+        ends = [pc.min_max(c.flatten()) for c in srcs.chunks if len(c.flatten())]
+        low = min(x["min"].as_py() for x in ends)
+        span = max(x["max"].as_py() for x in ends) - low + 1
+        ids = None
+        if span <= 8 * int(lengths.sum()) + 1024 and span < 1 << 31:  # ids lie close: their distance is their number
+            at_src = np.concatenate([(c.flatten().to_numpy() - low).astype(np.int32) for c in srcs.chunks])
+        else:
+            ids, at_src = np.unique(np.concatenate([c.flatten().to_numpy() for c in srcs.chunks]), return_inverse=True)
+            span = len(ids)
+        many = np.bincount(at_src, minlength=span)
+        starts = np.concatenate([[0], np.cumsum(many)[:-1]])
+        # the block's entries by source, a stretch of sources at a time: sorting all at once would take several times their memory
+        owner, to, done = np.repeat(np.arange(len(dst), dtype=np.int32), lengths), np.empty(len(at_src), np.int32), 0
+        edges_of = np.linspace(0, span, STRETCHES + 1).astype(np.int64)
+        for first, last in zip(edges_of[:-1], edges_of[1:]):
+            some = np.flatnonzero((at_src >= first) & (at_src < last))
+            to[done : done + len(some)] = owner[some[np.argsort(at_src[some], kind="stable")]]
+            done += len(some)
+        del owner, at_src
         numbers = fronts.column("batch").to_numpy()
         held, turn, found = fronts.column("held"), np.argsort(numbers, kind="stable"), []
         cuts = np.flatnonzero(np.diff(numbers[turn])) + 1
         for own in np.split(turn, cuts):
             v = np.concatenate([_unpack(held[int(k)].as_py()) for k in own])
-            if place is not None:
-                v = v[(v >= low) & (v < low + span)]
-                at = place[v - low]
-                at = at[at >= 0]
+            if ids is None:
+                at = v[(v >= low) & (v < low + span)] - low
             else:
                 at = np.minimum(np.searchsorted(ids, v), len(ids) - 1)
                 at = at[ids[at] == v]
+            at = at[many[at] > 0]
             if not len(at):
                 continue
             n = many[at]
@@ -125,13 +133,15 @@ def _reached(onward: bool):
                 b = min(a + TOGETHER, len(at))
                 base = ends[a - 1] if a else 0
                 seen[to[np.repeat(starts[at[a:b]] - (ends[a:b] - n[a:b] - base), n[a:b]) + np.arange(ends[b - 1] - base)]] = True
-            found.append((int(numbers[own[0]]), int(np.count_nonzero(seen)), int(ends[-1]), _pack(dst[seen]) if onward else None))
+            found.append((int(numbers[own[0]]), int(np.count_nonzero(seen)), int(ends[-1]), _pack(np.sort(dst[seen])) if onward else None))
         columns = list(zip(*found)) or [[]] * 4
         return pa.table({k: pa.array(x, kind) for k, x, kind in zip(("batch", "vertices", "edges", "held"), columns, (pa.int64(), pa.int64(), pa.int64(), pa.binary()))})
 
     return work
 
 
+#: Stretches in which a block's entries are sorted.
+STRETCHES = 8
 #: Vertices of a frontier whose rows are looked up at once.
 TOGETHER = 4096
 
