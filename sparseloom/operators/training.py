@@ -3,12 +3,13 @@
 A layer takes each vertex's own vector and the mean of its drawn neighbours' vectors, side by side, times a
 weight matrix, with a rectifier between layers; the last layer's outputs are class scores. Kernels are
 numpy, one minibatch at a time. Steps follow each other and are small, so that one task makes all steps of a bulk in turn:
-minibatches are gathered by all tasks, and weights and optimizer go in and come out once for each bulk.
+minibatches are gathered by all tasks, and weights and optimizer go in and come out once for each bulk. The minibatches of one step see the
+same weights, so that the task works on them in as many threads; there is nothing else to do meanwhile.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -55,12 +56,35 @@ def local_minibatch(layers: list[tuple[int, np.ndarray, np.ndarray]], ids: np.nd
     return Minibatch([(at(s), at(d)) for _, s, d in sorted(layers, key=lambda e: e[0])], x, at(roots), labels)
 
 
-def _add_rows(into: np.ndarray, at: np.ndarray, values: np.ndarray) -> None:
-    """into[at] += values, where numbers may repeat."""
-    if len(at):
-        order = np.argsort(at, kind="stable")
-        first = np.flatnonzero(np.diff(at[order], prepend=-1))
-        into[at[order][first]] += np.add.reduceat(values[order], first)
+#: Rows that still have values to add, below which each is finished on its own.
+FEW_ROWS = 16
+
+
+def _row_sums(n: int, at: np.ndarray, values: np.ndarray, of: np.ndarray) -> np.ndarray:
+    """Sums of values[of] by row `at`, of n rows: the first value of every row, then the second of those that have one, and so on."""
+    order = np.argsort(at, kind="stable")
+    of, counts = of[order], np.bincount(at, minlength=n)
+    rows = np.argsort(-counts, kind="stable")
+    counts, starts = counts[rows], (np.cumsum(counts) - counts)[rows]
+    sums, t = np.zeros((n, values.shape[1]), values.dtype), 0
+    while (live := int(np.searchsorted(-counts, -t))) >= FEW_ROWS:
+        now = values[of[starts[:live] + t]]
+        if t:
+            sums[:live] += now
+        else:
+            sums[:live] = now
+        t += 1
+    for k in range(live):
+        sums[k] += values[of[starts[k] + t : starts[k] + counts[k]]].sum(axis=0)
+    out = np.empty_like(sums)
+    out[rows] = sums
+    return out
+
+
+def _distinct(x: np.ndarray) -> np.ndarray:
+    """Sorted and without repeats; by sorting, which is faster here than a table."""
+    x = np.sort(x)
+    return x[np.concatenate([[True], x[1:] != x[:-1]])] if len(x) else x
 
 
 def _reach(m: Minibatch) -> list[tuple[np.ndarray, ...]]:
@@ -70,8 +94,9 @@ def _reach(m: Minibatch) -> list[tuple[np.ndarray, ...]]:
         asked = np.zeros(n, bool)
         asked[need] = True
         kept = asked[src]
-        src, dst = np.divmod(np.unique(src[kept] * n + dst[kept]), max(1, n))
-        below = np.unique(np.concatenate([need, dst]))
+        src, dst = np.divmod(_distinct(src[kept] * n + dst[kept]), max(1, n))
+        asked[dst] = True
+        below = np.flatnonzero(asked)
         out.append((need, src, dst, below))
         need = below
     return out[::-1]
@@ -82,10 +107,13 @@ def forward(m: Minibatch, weights: list[np.ndarray]) -> np.ndarray:
     layers, m.state = _reach(m)[: len(weights)], []
     h = m.x[layers[0][3]]
     for k, (w, (need, src, dst, below)) in enumerate(zip(weights, layers)):
-        own, src, dst = np.searchsorted(below, need), np.searchsorted(need, src), np.searchsorted(below, dst)
+        place = np.empty(len(m.x), np.int64)
+        place[need] = np.arange(len(need))
+        src = place[src]
+        place[below] = np.arange(len(below))
+        own, dst = place[need], place[dst]
         count = np.maximum(np.bincount(src, minlength=len(need)), 1)[:, None]
-        mean = np.zeros((len(need), h.shape[1]), h.dtype)
-        _add_rows(mean, src, h[dst])
+        mean = _row_sums(len(need), src, h, dst)
         mean /= count.astype(h.dtype)
         both = np.concatenate([h[own], mean], axis=1)
         z = both @ w
@@ -106,8 +134,8 @@ def loss_and_gradients(m: Minibatch, weights: list[np.ndarray]) -> tuple[float,
     g = p.copy()
     g[known, m.labels[known]] -= 1
     g[~known] = 0
-    top = np.zeros_like(m.state[-1][1])
-    _add_rows(top, np.searchsorted(np.unique(m.roots), m.roots), g)
+    own = np.unique(m.roots)
+    top = _row_sums(len(own), np.searchsorted(own, m.roots), g, np.arange(len(g)))
     out: list[np.ndarray] = [np.zeros_like(w) for w in weights]
     for k in range(len(weights) - 1, -1, -1):
         both, z, src, dst, count, own, n_below = m.state[k]
@@ -116,9 +144,8 @@ def loss_and_gradients(m: Minibatch, weights: list[np.ndarray]) -> tuple[float,
         if k:
             gb = gz @ weights[k].T
             width = both.shape[1] // 2
-            top = np.zeros((n_below, width), gb.dtype)
-            top[own] = gb[:, :width]
-            _add_rows(top, dst, (gb[:, width:] / count.astype(gb.dtype))[src])
+            top = _row_sums(n_below, dst, gb[:, width:] / count.astype(gb.dtype), src)
+            top[own] += gb[:, :width]
     return loss, n, out
 
 
@@ -130,23 +157,32 @@ def minibatch_rows(sampled: DataFrame, features: DataFrame, batches: DataFrame,
     return marked.join(vectors, "batch").join(edges, "batch", "left")
 
 
-def _minibatches(batch, layers: int, dtype="float64") -> Iterator[tuple[np.ndarray, Minibatch]]:
-    """Each row of an Arrow batch as (global ids, minibatch), from the arrays as they lie."""
+def _among(x: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """Whether each is one of the sorted ids."""
+    return ids[np.minimum(np.searchsorted(ids, x), len(ids) - 1)] == x if len(ids) else np.zeros(len(x), bool)
+
 
-    def column(name: str, r: int, *fields: str) -> list:
+def _minibatch(batch, r: int, layers: int, dtype="float64") -> tuple[np.ndarray, Minibatch]:
+    """A row of an Arrow batch as (global ids, minibatch), from the arrays as they lie."""
+
+    def column(name: str, *fields: str) -> list:
         held = batch.column(batch.schema.get_field_index(name)).slice(r, 1).flatten()
         return [held.field(f) for f in fields]
 
-    for r in range(batch.num_rows):
-        v, vec = column("vectors", r, "v", "vec")
-        ids = v.to_numpy(zero_copy_only=False).astype(np.int64)
-        x = vec.flatten().to_numpy(zero_copy_only=False).astype(dtype).reshape(len(ids), -1)
-        roots, labels = (a.to_numpy(zero_copy_only=False).astype(np.int64) for a in column("roots", r, "v", "label"))
-        kept = np.isin(roots, ids)
-        layer, src, dst = (a.to_numpy(zero_copy_only=False).astype(np.int64) for a in column("edges", r, "layer", "src", "dst"))
-        ok = np.isin(src, ids) & np.isin(dst, ids)
-        each = [(k, src[at], dst[at]) for k in range(1, layers + 1) for at in [ok & (layer == k)]]
-        yield ids, local_minibatch(each, ids, x, roots[kept], labels[kept])
+    v, vec = column("vectors", "v", "vec")
+    ids = v.to_numpy(zero_copy_only=False).astype(np.int64)
+    x = vec.flatten().to_numpy(zero_copy_only=False).astype(dtype).reshape(len(ids), -1)
+    roots, labels = (a.to_numpy(zero_copy_only=False).astype(np.int64) for a in column("roots", "v", "label"))
+    kept = _among(roots, ids)
+    layer, src, dst = (a.to_numpy(zero_copy_only=False).astype(np.int64) for a in column("edges", "layer", "src", "dst"))
+    ok = _among(src, ids) & _among(dst, ids)
+    each = [(k, src[at], dst[at]) for k in range(1, layers + 1) for at in [ok & (layer == k)]]
+    return ids, local_minibatch(each, ids, x, roots[kept], labels[kept])
+
+
+def _minibatches(batch, layers: int, dtype="float64") -> Iterator[tuple[np.ndarray, Minibatch]]:
+    """All rows of an Arrow batch."""
+    return (_minibatch(batch, r, layers, dtype) for r in range(batch.num_rows))
 
 
 class Adam:
@@ -177,8 +213,7 @@ class Progress:
     labelled: int = 0
     steps: int = 0
 
-    def add(self, m: Minibatch) -> None:
-        loss, n, gradients = loss_and_gradients(m, self.weights)
+    def add(self, loss: float, n: int, gradients: list[np.ndarray]) -> None:
         self.loss, self.labelled, self.held = self.loss + loss, self.labelled + n, self.held + n
         self.pending = gradients if self.pending is None else [x + y for x, y in zip(self.pending, gradients)]
 
@@ -204,6 +239,40 @@ def _few_together(spark, action):
         spark.conf.set(name, before)
 
 
+def steps_of(found: Iterable, now: Progress, low: int, end: int, count: int, processes: int, layers: int, threads: int) -> Progress:
+    """All updates from Arrow batches whose rows are minibatches in order."""
+    from concurrent.futures import ThreadPoolExecutor
+
+    at, due = low, []
+
+    def gradients(held: tuple):
+        return loss_and_gradients(_minibatch(*held, layers, now.weights[0].dtype)[1], now.weights)
+
+    def settle() -> None:
+        # the minibatches of a step see the same weights; their gradients are summed in order
+        for x in pool.map(gradients, due):
+            now.add(*x)
+        due.clear()
+
+    def close(upto: int) -> None:
+        # batches without any row count for their step too
+        nonlocal at
+        for b in range(at, upto):
+            if (b + 1) % processes == 0 or b + 1 == count:
+                settle()
+                now.step()
+        at = max(at, upto)
+
+    with ThreadPoolExecutor(threads) as pool:
+        for batch in found:
+            for r, b in enumerate(batch.column(batch.schema.get_field_index("batch")).to_pylist()):
+                close(b)
+                due.append((batch, r))
+        close(end)
+        settle()
+    return now
+
+
 def run_steps(rows: DataFrame, progress: Progress, low: int, end: int, count: int, processes: int, layers: int) -> Progress:
     """All updates of the batches from `low` up to `end`, one for each `processes` batches, in the order of the batches."""
     import pickle
@@ -215,22 +284,10 @@ def run_steps(rows: DataFrame, progress: Progress, low: int, end: int, count: in
     sent = spark.sparkContext.broadcast(progress)
 
     def work(found: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, at = sent.value, low
-
-        def close(upto: int) -> None:
-            # batches without any row count for their step too
-            nonlocal at
-            for b in range(at, upto):
-                if (b + 1) % processes == 0 or b + 1 == count:
-                    now.step()
-            at = max(at, upto)
+        import os
 
-        for batch in found:
-            numbers = batch.column(batch.schema.get_field_index("batch")).to_pylist()
-            for b, (_, m) in zip(numbers, _minibatches(batch, layers, now.weights[0].dtype)):
-                close(b)
-                now.add(m)
-        close(end)
+        threads = max(1, min(processes, len(os.sched_getaffinity(0))))
+        now = steps_of(found, sent.value, low, end, count, processes, layers, threads)
         yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(now)], pa.binary())], ["state"])
 
     ordered = rows.select("batch", "vectors", "roots", "edges").coalesce(1).sortWithinPartitions("batch")
