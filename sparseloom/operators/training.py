@@ -20,6 +20,7 @@ from ..sources.tables import durable, ensure_importable
 from .features import feature_words, fetch_features
 from .framework import SampleSpec, make_batches, sample_minibatches
 from .grid import Grid
+from .matrix import to_adjacency
 
 
 @dataclass(frozen=True)
@@ -224,6 +225,8 @@ class Progress:
         self.pending, self.held = None, 0
 
 
+#: Neighbours of a vertex that race in one task.
+BLOCK = 1024
 #: Minibatches in one Arrow batch.
 TOGETHER = 8
 
@@ -332,6 +335,10 @@ def train(
     from time import perf_counter
 
     weights = weights or model.weights()
+    train_vertices = durable(train_vertices)  # read several times in each epoch
+    if adjacency is None and spec.node_wise and spec.method == "race_uniform" and spec.strategy == "shuffle":
+        # made once for all epochs; a race draws for every neighbour, so that the draws of a hub are dealt out by its blocks
+        adjacency = to_adjacency(edges, BLOCK)
     progress, reports = Progress(weights, Adam(model.rate)), []
     for epoch in range(epochs):
         batches = durable(make_batches(train_vertices, batch_size, spec.seed, epoch))
